@@ -3,8 +3,18 @@
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from fsmeta.llm.common import table
+from fsmeta.llm.common import crc_mod, table
+
+
+def op1_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from fsmeta.llm import language_id
+
+    docs = table(spark, sf_dir, "documents")
+    out = F.coalesce(crc_mod(F.col("doc_id"), 4) == 2, F.lit(False))
+    model = language_id.fit(docs, ~out)
+    return language_id.identify(docs, model).withColumn("held_out", out)
 
 
 def op3_token_output(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -13,14 +23,36 @@ def op3_token_output(spark: SparkSession, sf_dir: str) -> DataFrame:
     return store_tokens(table(spark, sf_dir, "documents"), tokenizer="byte_bpe_50k.json", end_id=2)
 
 
+def op5_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from fsmeta.llm.mixing import mix
+
+    return mix(table(spark, sf_dir, "documents"))
+
+
+def op6_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from fsmeta.llm.quality_rules import judge
+
+    good = table(spark, sf_dir, "labels").filter("quality = 1").select("doc_id")
+    return judge(table(spark, sf_dir, "documents"), good)
+
+
 def op8_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     from fsmeta.llm.token_counts import count_tokens
 
     return count_tokens(table(spark, sf_dir, "documents"), tokenizer="word_bpe_49k.json", limit=2048)
 
 
+def op10_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from fsmeta.llm import quality_classifier as qc
+
+    docs = table(spark, sf_dir, "documents")
+    model = qc.fit(docs, table(spark, sf_dir, "labels"), crc_mod(F.col("k"), 5) != 0)
+    out = qc.score(docs, model, keep=("doc_id",))
+    return out.select("doc_id", F.coalesce(crc_mod(F.col("doc_id"), 5) == 0, F.lit(False)).alias("held_out"), "score", (F.col("score") >= 0.3).cast("int").alias("predicted"))
+
+
 def queries() -> dict:
-    return {f.__name__: f for f in (op3_token_output, op8_token_counts)}
+    return {f.__name__: f for f in (op1_language_id, op3_token_output, op5_mixing, op6_quality_rules, op8_token_counts, op10_quality_classifier)}
 
 
 def oracle_sql() -> dict[str, str]:
