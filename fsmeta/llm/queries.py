@@ -36,6 +36,12 @@ def op6_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return judge(table(spark, sf_dir, "documents"), good)
 
 
+def op7_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from fsmeta.llm.jaccard_join import join_components
+
+    return join_components(table(spark, sf_dir, "documents"), span=5, percent=75)
+
+
 def op8_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     from fsmeta.llm.token_counts import count_tokens
 
@@ -52,7 +58,7 @@ def op10_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_language_id, op3_token_output, op5_mixing, op6_quality_rules, op8_token_counts, op10_quality_classifier)}
+    return {f.__name__: f for f in (op1_language_id, op3_token_output, op5_mixing, op6_quality_rules, op7_jaccard_join, op8_token_counts, op10_quality_classifier)}
 
 
 def oracle_sql() -> dict[str, str]:
