@@ -9,12 +9,11 @@ from __future__ import annotations
 
 import re
 
-import regex
-
-#: The split patterns that the two public vocabularies come with.
-BYTE_LEVEL = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+")
-WORD_END = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+")
-PLAIN = re.compile("[^\t\n\x0b\x0c\r\x20-\x7e\xa1-įı-ɏ]")
+#: The split patterns that the two public vocabularies come with, for plain texts,
+#: where a letter is what is alphanumeric but no digit.
+BYTE_LEVEL = re.compile(r"'(?:[stmd]|re|ve|ll)| ?[^\W\d_]+| ?\d+| ?(?:[^\s\w]|_)+|\s+(?!\S)|\s+")
+WORD_END = re.compile(r"'(?:[stmd]|re|ve|ll)|[^\W\d_]+|\d|(?:[^\s\w]|_)+")
+PLAIN = re.compile("[^\t\n\x0b\x0c\r\x20-\x7e\xa1-\xb1\xb4-\xb8\xba\xbb\xbf-įı-ɏ]")
 
 _LOADED: dict = {}
 
@@ -41,3 +40,24 @@ def specials(tokenizer) -> list[str]:
 
 def plain(text: str, special: list[str]) -> bool:
     return PLAIN.search(text) is None and not ("<|" in text and any(s in text for s in special))
+
+
+class Cache(dict):
+    """What one worker has worked out for pre-tokens, over all its tasks; let go when full."""
+
+    kept: dict = {}
+
+    @classmethod
+    def of(cls, name: str, entries: int) -> dict:
+        own = cls.kept.setdefault(name, {})
+        if len(own) > entries:
+            own.clear()
+        return own
+
+
+def unknown(split: list, *known: dict) -> list[str]:
+    """Distinct pre-tokens that no table has."""
+    found = set().union(*(s for s in split if s))
+    for k in known:
+        found = found.difference(k)
+    return list(found)

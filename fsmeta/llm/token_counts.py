@@ -22,7 +22,19 @@ from fsmeta.llm.token_output import slices
 
 
 def _library(tok, items: list[str]) -> list[int]:
-    return [len(e.ids) for at in range(0, len(items), 4096) for e in tok.encode_batch(items[at : at + 4096], add_special_tokens=False)]
+    return [len(e) for at in range(0, len(items), 4096) for e in tok.encode_batch(items[at : at + 4096], add_special_tokens=False)]
+
+
+class Tiers(dict):
+    """The frequent table first; what it lacks comes from the worker's cache or the text's own new pre-tokens."""
+
+    def __init__(self, frequent: dict, cache: dict, new: dict):
+        super().__init__(frequent)
+        self.cache, self.new = cache, new
+
+    def __missing__(self, t: str) -> int:
+        n = self.cache.get(t)
+        return self.new[t] if n is None else n
 
 
 def frequent_lengths(docs: DataFrame, tokenizer: str, text: str = "text", table_size: int = 32_768, per_task: int = 4_096, held: int = 200_000) -> dict[str, int]:
@@ -51,27 +63,27 @@ def frequent_lengths(docs: DataFrame, tokenizer: str, text: str = "text", table_
     return dict(zip(tokens, _library(pretokens.load(tokenizer), tokens), strict=True))
 
 
-def count_tokens(docs: DataFrame, tokenizer: str = "word_bpe_49k.json", text: str = "text", key: str = "doc_id", limit: int = 2048, cache_entries: int = 200_000, **options) -> DataFrame:
+def count_tokens(docs: DataFrame, tokenizer: str = "word_bpe_49k.json", text: str = "text", key: str = "doc_id", limit: int = 2048, longest: int = 48, cache_entries: int = 600_000, **options) -> DataFrame:
     """key, n_bytes, n_tokens, over_limit for each row."""
     spark = docs.sparkSession
     known = spark.sparkContext.broadcast(frequent_lengths(docs, tokenizer, text, **options))
     kind = docs.schema[key].dataType
 
     def count(batches):
-        tok, frequent, cache = pretokens.load(tokenizer), known.value, {}
+        tok, frequent = pretokens.load(tokenizer), known.value
         special = pretokens.specials(tok)
         for b in batches:
             texts = [t or "" for t in b.column(1).to_pylist()]
             n_tokens = [0] * len(texts)
             for lo, hi in slices(texts):
-                if len(cache) > cache_entries:
-                    cache.clear()
+                cache = pretokens.Cache.of(tokenizer, cache_entries)
                 split = [pretokens.WORD_END.findall(t.lower()) if pretokens.plain(t, special) else None for t in texts[lo:hi]]
-                missing = list({t for s in split if s for t in s if t not in frequent and t not in cache})
-                cache.update(zip(missing, _library(tok, missing), strict=True))
-                look = frequent | cache
+                missing = pretokens.unknown(split, frequent, cache)
+                new = dict(zip(missing, _library(tok, missing), strict=True))
+                cache.update((t, n) for t, n in new.items() if len(t) <= longest)
+                look = Tiers(frequent, cache, new)
                 for i, s in enumerate(split, lo):
-                    n_tokens[i] = sum(map(look.__getitem__, s)) if s is not None else len(tok.encode(texts[i], add_special_tokens=False).ids)
+                    n_tokens[i] = sum(map(look.__getitem__, s)) if s is not None else len(tok.encode(texts[i], add_special_tokens=False))
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array([len(t.encode()) for t in texts], pa.int64()), pa.array(n_tokens, pa.int64())], names=[key, "n_bytes", "n_tokens"])
 
     out = docs.select(key, text).mapInArrow(count, f"{key} {kind.simpleString()}, n_bytes long, n_tokens long")

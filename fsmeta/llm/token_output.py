@@ -12,7 +12,9 @@ columns are not read; an empty table gives no shard and no rows.
 
 from __future__ import annotations
 
+import sys
 import zlib
+from array import array
 
 import numpy as np
 import pyarrow as pa
@@ -23,30 +25,30 @@ from fsmeta.llm import pretokens
 from fsmeta.llm.store_ids import HEADER_SIZE, Replaced, ShardIndex, header, id_width, read_all, read_range
 from fsmeta.plans import workspace
 
+#: Array codes of 2 and 4 bytes.
+KINDS = {2: "H", 4: "I"}
 MANIFEST = "part int, seq int, ids_uri string, idx_uri string, min_key long, max_key long, n_docs long, n_ids long"
 
 
 class Encoder:
     """Ids of whole texts; pre-tokens seen before come from a bounded cache."""
 
-    def __init__(self, name: str, width: int, entries: int = 300_000, longest: int = 48):
-        self.tok, self.width, self.entries, self.longest = pretokens.load(name), width, entries, longest
-        self.special, self.cache = pretokens.specials(self.tok), {}
+    def __init__(self, name: str, width: int, entries: int = 600_000, longest: int = 48):
+        self.tok, self.name, self.width, self.entries, self.longest = pretokens.load(name), name, width, entries, longest
+        self.special = pretokens.specials(self.tok)
 
     def raw(self, ids: list[int]) -> bytes:
-        return np.array(ids, f"<u{self.width}").tobytes()
+        return array(KINDS[self.width], ids).tobytes() if sys.byteorder == "little" else np.array(ids, f"<u{self.width}").tobytes()
 
     def encode(self, texts: list[str]) -> list[bytes]:
         out, split, slow = [b""] * len(texts), [None] * len(texts), []
-        cache = self.cache
-        if len(cache) > self.entries:
-            cache.clear()
+        cache = pretokens.Cache.of(f"{self.name}/{self.width}", self.entries)
         for i, text in enumerate(texts):
             if pretokens.plain(text, self.special):
                 split[i] = pretokens.BYTE_LEVEL.findall(text)
             else:
                 slow.append(i)
-        missing = list({t for s in split if s for t in s if t not in cache})
+        missing = pretokens.unknown(split, cache)
         extra = {}
         for at in range(0, len(missing), 4096):
             part = missing[at : at + 4096]
