@@ -48,6 +48,12 @@ def op8_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return count_tokens(table(spark, sf_dir, "documents"), tokenizer="word_bpe_49k.json", limit=2048)
 
 
+def op9_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from fsmeta.llm.suffix_dedup import remove_repeats
+
+    return remove_repeats(table(spark, sf_dir, "documents"), length=200)
+
+
 def op10_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
     from fsmeta.llm import quality_classifier as qc
 
@@ -58,7 +64,7 @@ def op10_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_language_id, op3_token_output, op5_mixing, op6_quality_rules, op7_jaccard_join, op8_token_counts, op10_quality_classifier)}
+    return {f.__name__: f for f in (op1_language_id, op3_token_output, op5_mixing, op6_quality_rules, op7_jaccard_join, op8_token_counts, op9_suffix_dedup, op10_quality_classifier)}
 
 
 def oracle_sql() -> dict[str, str]:
