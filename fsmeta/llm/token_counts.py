@@ -22,7 +22,7 @@ from fsmeta.llm.token_output import slices
 
 
 def _library(tok, items: list[str]) -> list[int]:
-    return [len(e) for at in range(0, len(items), 4096) for e in tok.encode_batch(items[at : at + 4096], add_special_tokens=False)]
+    return [len(e) for at in range(0, len(items), 4096) for e in tok.encode_batch_fast(items[at : at + 4096], add_special_tokens=False)]
 
 
 class Tiers(dict):
@@ -63,7 +63,7 @@ def frequent_lengths(docs: DataFrame, tokenizer: str, text: str = "text", table_
     return dict(zip(tokens, _library(pretokens.load(tokenizer), tokens), strict=True))
 
 
-def count_tokens(docs: DataFrame, tokenizer: str = "word_bpe_49k.json", text: str = "text", key: str = "doc_id", limit: int = 2048, longest: int = 48, cache_entries: int = 600_000, **options) -> DataFrame:
+def count_tokens(docs: DataFrame, tokenizer: str = "word_bpe_49k.json", text: str = "text", key: str = "doc_id", limit: int = 2048, longest: int = 48, cache_entries: int = 1_500_000, **options) -> DataFrame:
     """key, n_bytes, n_tokens, over_limit for each row."""
     spark = docs.sparkSession
     known = spark.sparkContext.broadcast(frequent_lengths(docs, tokenizer, text, **options))

@@ -33,7 +33,7 @@ MANIFEST = "part int, seq int, ids_uri string, idx_uri string, min_key long, max
 class Encoder:
     """Ids of whole texts; pre-tokens seen before come from a bounded cache."""
 
-    def __init__(self, name: str, width: int, entries: int = 600_000, longest: int = 48):
+    def __init__(self, name: str, width: int, entries: int = 1_500_000, longest: int = 48):
         self.tok, self.name, self.width, self.entries, self.longest = pretokens.load(name), name, width, entries, longest
         self.special = pretokens.specials(self.tok)
 
@@ -52,7 +52,7 @@ class Encoder:
         extra = {}
         for at in range(0, len(missing), 4096):
             part = missing[at : at + 4096]
-            for t, e in zip(part, self.tok.encode_batch(part, add_special_tokens=False), strict=True):
+            for t, e in zip(part, self.tok.encode_batch_fast(part, add_special_tokens=False), strict=True):
                 (cache if len(t) <= self.longest else extra)[t] = self.raw(e.ids)
         look = cache if not extra else cache | extra
         for i, s in enumerate(split):
