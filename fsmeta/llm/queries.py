@@ -17,12 +17,24 @@ def op1_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     return language_id.identify(docs, model).withColumn("held_out", out)
 
 
+def op2_html_extraction(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from fsmeta.llm.html_text import extract
+
+    return extract(table(spark, sf_dir, "pages"))
+
+
 def op3_token_output(spark: SparkSession, sf_dir: str) -> DataFrame:
     from fsmeta.llm.token_output import store_tokens
 
     return store_tokens(table(spark, sf_dir, "documents"), tokenizer="byte_bpe_50k.json", end_id=2)
 
 
+def op4_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from fsmeta.llm.decontamination import leaks
+
+    return leaks(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"), budget=0.1)
+
+
 def op5_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     from fsmeta.llm.mixing import mix
 
@@ -64,7 +76,7 @@ def op10_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_language_id, op3_token_output, op5_mixing, op6_quality_rules, op7_jaccard_join, op8_token_counts, op9_suffix_dedup, op10_quality_classifier)}
+    return {f.__name__: f for f in (op1_language_id, op2_html_extraction, op3_token_output, op4_decontamination, op5_mixing, op6_quality_rules, op7_jaccard_join, op8_token_counts, op9_suffix_dedup, op10_quality_classifier)}
 
 
 def oracle_sql() -> dict[str, str]:
