@@ -34,8 +34,9 @@ from fsmeta.llm.components import components
 from fsmeta.plans import workspace
 
 PIECE = 1 << 21
-#: A shingle in more nodes than this is frequent; at most so many of the most frequent are moved last in the order.
-FREQUENT, TABLE = 48, 250_000
+#: A shingle in more nodes than FREQUENT is very frequent. A bitmap of 2^BITMAP bits marks at most TABLE shingles.
+#: ZONE: percent of a set's shingles, by hash, that are counted.
+FREQUENT, TABLE, BITMAP, ZONE = 48, 8_000_000, 27, 60
 #: Nodes whose texts are fetched by a broadcast list (8 bytes each) at most; more are fetched by a shuffle join.
 LISTED = 2_000_000
 
@@ -111,53 +112,67 @@ def node_of(s: np.ndarray) -> int:
     return int.from_bytes(hashlib.blake2b(s.tobytes(), digest_size=8).digest(), "little", signed=True)
 
 
-def first_shingles(s: np.ndarray, frequent: np.ndarray, filled: np.ndarray | None, percent: int) -> np.ndarray:
+def identity(s: np.ndarray) -> np.ndarray:
+    """The leading 42 bits of a shingle: what regions are told apart by (a clash only adds a candidate)."""
+    return s >> np.uint64(22)
+
+
+def bit_of(ident: np.ndarray) -> np.ndarray:
+    return ((ident * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(64 - BITMAP)).astype(np.int64)
+
+
+def marked(bitmap: np.ndarray, s: np.ndarray) -> np.ndarray:
+    at = bit_of(identity(s))
+    return (bitmap[at >> 3] >> (at & 7).astype(np.uint8)) & 1
+
+
+def first_shingles(s: np.ndarray, tables: list[np.ndarray], percent: int) -> np.ndarray:
     """The shingles one of which any partner of the set shares, in the order that puts frequent ones last."""
     n = len(s)
     p = n + (-percent * n // 100) + 1
-    if filled is not None:
-        maybe = filled[(s >> np.uint64(42)).astype(np.int64)]
-        if maybe.any():
-            at = np.minimum(np.searchsorted(frequent, s), len(frequent) - 1)
-            hot = frequent[at] == s
-            s = np.concatenate([s[~hot], s[hot]])
+    if tables:
+        rank = sum(marked(t, s) for t in tables)
+        if rank[:p].any():
+            s = s[np.argsort(rank, kind="stable")]
     return s[:p]
 
 
 def _packed(s: list, nodes: list, bits: int):
     """Record batch of bucket, shingles, nodes; entries are sorted by shingle."""
     flat = np.concatenate(s)
-    who = np.repeat(np.array(nodes, np.int64), [len(x) for x in s])
     order = np.argsort(flat)
-    flat, who = flat[order], who[order]
+    flat = flat[order]
     bucket = (flat >> np.uint64(64 - bits)).astype(np.int32)
+    short = identity(flat).astype(np.uint32)
     own, start = np.unique(bucket, return_index=True)
-    ends = [*start[1:].tolist(), len(flat)]
-    cut = list(zip(start.tolist(), ends, strict=True))
-    return pa.RecordBatch.from_arrays([pa.array(own), pa.array([flat[a:b].tobytes() for a, b in cut], pa.binary()), pa.array([who[a:b].tobytes() for a, b in cut], pa.binary())], names=["bucket", "s", "nodes"])
+    cut = list(zip(start.tolist(), [*start[1:].tolist(), len(flat)], strict=True))
+    columns = {"bucket": pa.array(own), "s": pa.array([short[a:b].tobytes() for a, b in cut], pa.binary())}
+    if nodes:
+        who = np.repeat(np.array(nodes, np.int64), [len(x) for x in s])[order]
+        columns["nodes"] = pa.array([who[a:b].tobytes() for a, b in cut], pa.binary())
+    return pa.RecordBatch.from_pydict(columns)
+
 
+def entries(docs: DataFrame, text: str, span: int, percent: int, bits: int, tables: list[np.ndarray] | None) -> DataFrame:
+    """bucket, s, nodes: packed first shingles of every node (once a task), told apart by 42 bits.
 
-def entries(docs: DataFrame, text: str, span: int, percent: int, bits: int, frequent: np.ndarray | None, counting: bool) -> DataFrame:
-    """bucket, s, nodes: packed first shingles of every node (once a task). ``counting``: half as
-    many again, as they are when frequent ones have moved last, and without nodes."""
-    shared = docs.sparkSession.sparkContext.broadcast(frequent)
+    Without ``tables`` it is for counting: no nodes, and so many shingles by hash as can come
+    first once frequent ones have moved last (as a rule; more would cost only speed).
+    """
+    shared = docs.sparkSession.sparkContext.broadcast(tables)
 
     def pack(batches):
-        hot, filled = shared.value, None
-        if hot is not None and len(hot):
-            filled = np.zeros(1 << 22, bool)
-            filled[(hot >> np.uint64(42)).astype(np.int64)] = True
+        own = shared.value
         seen, sets, nodes, held = set(), [], [], 0
         for b in batches:
             for s in sets_of(b.column(0), span):
                 if not len(s) or (node := node_of(s)) in seen:
                     continue
                 seen.add(node)
-                first = first_shingles(s, hot, filled, percent)
-                if counting:
-                    first = s[: len(first) * 3 // 2 + 1]
+                first = s[: len(s) * ZONE // 100 + 1] if own is None else first_shingles(s, own, percent)
                 sets.append(first)
-                nodes.append(node)
+                if own is not None:
+                    nodes.append(node)
                 held += len(first)
                 if held > 1_500_000:
                     yield _packed(sets, nodes, bits)
@@ -165,8 +180,7 @@ def entries(docs: DataFrame, text: str, span: int, percent: int, bits: int, freq
         if sets:
             yield _packed(sets, nodes, bits)
 
-    packed = docs.select(text).mapInArrow(pack, "bucket int, s binary, nodes binary")
-    return packed.select("bucket", "s") if counting else packed
+    return docs.select(text).mapInArrow(pack, "bucket int, s binary" + ("" if tables is None else ", nodes binary"))
 
 
 def by_bucket(batches):
@@ -188,19 +202,51 @@ def _grouped(packed: DataFrame) -> DataFrame:
     return packed.repartition("bucket").sortWithinPartitions("bucket")
 
 
-def frequent_shingles(docs: DataFrame, text: str, span: int, percent: int, bits: int, frequent: int = FREQUENT, size: int = TABLE) -> np.ndarray:
-    """Shingles that many nodes have among their first ones, at most ``size``: a matter of speed only."""
+def frequency_tables(docs: DataFrame, text: str, span: int, percent: int, bits: int) -> list[np.ndarray]:
+    """Two bitmaps of shingles: those in two nodes or more, and those in over ``FREQUENT``.
+
+    Each marks at most ``TABLE`` shingles; where there are more, the threshold rises until they
+    fit. They fix an order, so marks that clash or lack change speed only.
+    """
 
     def count(batches):
         for g in by_bucket(batches):
-            s, n = np.unique(np.concatenate([np.frombuffer(x, np.uint64) for x in g["s"]]), return_counts=True)
-            many = n > frequent
+            s, n = np.unique(np.concatenate([np.frombuffer(x, np.uint32) for x in g["s"]]), return_counts=True)
+            many = n > 1
             if many.any():
-                yield pa.RecordBatch.from_arrays([pa.array(s[many].view(np.int64)), pa.array(n[many].astype(np.int64))], names=["s", "n"])
+                yield pa.RecordBatch.from_arrays([pa.array([g["bucket"][0]], pa.int32()), pa.array([s[many].tobytes()], pa.binary()), pa.array([np.minimum(n[many], 65_535).astype(np.uint16).tobytes()], pa.binary())], names=["bucket", "s", "n"])
+
+    packed = entries(docs, text, span, percent, bits, None)
+    counted = workspace.store(_grouped(packed).mapInArrow(count, "bucket int, s binary, n binary"), "counts")
 
-    packed = entries(docs, text, span, percent, bits, None, True)
-    top = _grouped(packed).mapInArrow(count, "s long, n long").orderBy(F.desc("n"), "s").limit(size).select("s").toArrow()
-    return np.sort(top["s"].to_numpy().view(np.uint64)) if len(top) else np.zeros(0, np.uint64)
+    def spread(batches):
+        for b in batches:
+            n, many = np.unique(np.frombuffer(b"".join(b.column("n").to_pylist()), np.uint16), return_counts=True)
+            yield pa.RecordBatch.from_arrays([pa.array(n.astype(np.int64)), pa.array(many.astype(np.int64))], names=["n", "many"])
+
+    histogram = counted.mapInArrow(spread, "n long, many long").groupBy("n").agg(F.sum("many").alias("many")).orderBy(F.desc("n")).collect()  # 65,535 rows at most
+    out = []
+    for least in (1, FREQUENT):
+        above, total = 65_536, 0
+        for r in histogram:
+            if r["n"] <= least or total + r["many"] > TABLE:
+                break
+            above, total = r["n"], total + r["many"]
+
+        def pick(batches, above=above):
+            for b in batches:
+                for k, s, n in zip(*(c.to_pylist() for c in b.columns), strict=True):
+                    own = np.frombuffer(s, np.uint32)[np.frombuffer(n, np.uint16) >= above]
+                    if len(own):
+                        ident = (np.uint64(k) << np.uint64(42 - bits)) | (own.astype(np.uint64) & np.uint64((1 << (42 - bits)) - 1))
+                        yield pa.RecordBatch.from_arrays([pa.array([bit_of(ident).astype(np.uint32).tobytes()], pa.binary())], names=["bits"])
+
+        bitmap = np.zeros(1 << BITMAP, bool)
+        if total:
+            for raw in counted.mapInArrow(pick, "bits binary").toArrow()["bits"].to_pylist():
+                bitmap[np.frombuffer(raw, np.uint32)] = True
+        out.append(np.packbits(bitmap, bitorder="little"))
+    return out
 
 
 def regions(packed: DataFrame, run: int = 1 << 15) -> DataFrame:
@@ -208,7 +254,7 @@ def regions(packed: DataFrame, run: int = 1 << 15) -> DataFrame:
 
     def gather(batches):
         for g in by_bucket(batches):
-            s = np.concatenate([np.frombuffer(x, np.uint64) for x in g["s"]])
+            s = np.concatenate([np.frombuffer(x, np.uint32) for x in g["s"]])
             who = np.concatenate([np.frombuffer(x, np.int64) for x in g["nodes"]])
             order = np.lexsort((who, s))
             s, who = s[order], who[order]
@@ -217,7 +263,7 @@ def regions(packed: DataFrame, run: int = 1 << 15) -> DataFrame:
             s, who = s[new], who[new]
             start = np.flatnonzero(np.concatenate([[True], s[1:] != s[:-1]]))
             size = np.diff(np.append(start, len(s)))
-            out = [(int(s[a].view(np.int64)), int(who[a]), who[c : min(c + run, a + n)].tobytes()) for a, n in zip(start[size > 1].tolist(), size[size > 1].tolist(), strict=True) for c in range(a, a + n, run)]
+            out = [((g["bucket"][0] << 32) | int(s[a]), int(who[a]), who[c : min(c + run, a + n)].tobytes()) for a, n in zip(start[size > 1].tolist(), size[size > 1].tolist(), strict=True) for c in range(a, a + n, run)]
             if out:
                 keys, pivots, members = zip(*out, strict=True)
                 yield pa.RecordBatch.from_arrays([pa.array(keys, pa.int64()), pa.array(pivots, pa.int64()), pa.array(members, pa.binary())], names=["s", "pivot", "nodes"])
@@ -308,7 +354,7 @@ def classes(docs: DataFrame, key: str = "doc_id", text: str = "text", span: int
     """(membership: the key, n_shingles, node, label for each row; links: a, b, na, nb, shared
     between nodes). Links connect each class; pairs already in one class are not tried again."""
     spark = docs.sparkSession
-    bits = max(10, (4 * int(spark.conf.get("spark.sql.shuffle.partitions")) - 1).bit_length())
+    bits = min(20, max(10, (4 * int(spark.conf.get("spark.sql.shuffle.partitions")) - 1).bit_length()))
 
     def describe(batches):
         for b in batches:
@@ -318,25 +364,29 @@ def classes(docs: DataFrame, key: str = "doc_id", text: str = "text", span: int
 
     kind = docs.schema[key].dataType.simpleString()
     rows = workspace.store(docs.select(key, text).mapInArrow(describe, f"`{key}` {kind}, n_shingles long, node long"), "rows")
-    frequent = frequent_shingles(docs, text, span, percent, bits)
-    found = workspace.store(regions(entries(docs, text, span, percent, bits, frequent, False)), "regions")
+    tables = frequency_tables(docs, text, span, percent, bits)
+    found = workspace.store(regions(entries(docs, text, span, percent, bits, tables)), "regions")
+    sizes = rows.filter("node is not null").groupBy("node").agg(F.first("n_shingles").alias("n"))
     near = 100 * F.col("shared") >= percent * (F.col("na") + F.col("nb") - F.col("shared"))
 
-    star = workspace.store(distances(stars(found), docs, text, span), "distances")
+    alike = 100 * F.least("na", "nb") >= percent * F.greatest("na", "nb")  # sets within the radius have sizes like that
+    sized = stars(found).join(sizes.select(F.col("node").alias("a"), F.col("n").alias("na")), "a").join(sizes.select(F.col("node").alias("b"), F.col("n").alias("nb")), "b")
+    star = workspace.store(distances(sized.filter(alike).select("a", "b"), docs, text, span), "distances")
     first = components(star.filter(near))
     # regions whose members are not all in one class are joined again, within windows around the pivot
     own = members(found).join(first, "node", "left").withColumn("label", F.coalesce("label", "node"))
     open_ = own.groupBy("s").agg(F.min("label").alias("lo"), F.max("label").alias("hi")).filter("lo <> hi").select("s")
     gap = 1 - F.col("shared") / (F.col("na") + F.col("nb") - F.col("shared"))
-    sizes = rows.filter("node is not null").groupBy("node").agg(F.first("n_shingles").alias("n"))
     known = star.select(F.col("a").alias("pivot"), F.col("b").alias("node"), gap.alias("d"))
-    open_members = own.join(open_, "s", "left_semi").join(known, ["pivot", "node"], "left").join(sizes, "node")
-    # the pivot itself was compared with all members
-    open_members = workspace.store(open_members.filter("node <> pivot").select("s", "node", "label", "n", "d"), "open")
-    x, y = (open_members.select(*[F.col(c).alias(c + e) for c in ("s", "node", "label", "n", "d")]) for e in "xy")
-    radius = 1 - percent / 100
+    # a member whose size excludes it from the pivot's radius has a distance between that bound and 1
+    pivots = sizes.select(F.col("node").alias("pivot"), F.col("n").alias("np"))
+    open_members = own.join(open_, "s", "left_semi").filter("node <> pivot").join(known, ["pivot", "node"], "left").join(sizes, "node").join(pivots, "pivot")
+    far = F.when(F.col("d").isNull(), 1 - F.least("n", "np") / F.greatest("n", "np")).otherwise(F.col("d"))
+    open_members = workspace.store(open_members.select("s", "node", "label", "n", far.alias("lo"), F.coalesce("d", F.lit(1.0)).alias("hi")), "open")
+    x, y = (open_members.select(*[F.col(c).alias(c + e) for c in ("s", "node", "label", "n", "lo", "hi")]) for e in "xy")
+    radius = 1 - percent / 100 + 1e-9
     window = (x.sx == y.sy) & (x.nodex < y.nodey) & (x.labelx != y.labely)
-    window &= (100 * F.least("nx", "ny") >= percent * F.greatest("nx", "ny")) & (F.abs(x.dx - y.dy) <= radius + 1e-9)
+    window &= (100 * F.least("nx", "ny") >= percent * F.greatest("nx", "ny")) & (x.lox - y.hiy <= radius) & (y.loy - x.hix <= radius)
     again = x.join(y, window).select(F.col("nodex").alias("a"), F.col("nodey").alias("b")).distinct()
     again = workspace.store(again, "again")
     links = star.filter(near)
