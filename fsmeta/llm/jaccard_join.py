@@ -33,7 +33,7 @@ from fsmeta.llm.common import Rolling, mix, text_bytes
 from fsmeta.llm.components import components
 from fsmeta.plans import workspace
 
-PIECE = 1 << 21
+PIECE = 1 << 19
 #: A shingle in more nodes than FREQUENT is very frequent. A bitmap of 2^BITMAP bits marks at most TABLE shingles.
 #: ZONE: percent of a set's shingles, by hash, that are counted.
 FREQUENT, TABLE, BITMAP, ZONE = 48, 8_000_000, 27, 60

@@ -25,7 +25,7 @@ from pyspark.sql import functions as F
 
 from fsmeta.llm.common import text_bytes
 
-BUCKETS, ORDERS, PIECE = 1 << 13, (2, 3, 4), 1 << 20
+BUCKETS, ORDERS, PIECE = 1 << 13, (2, 3, 4), 1 << 19
 
 
 def _edges_table() -> np.ndarray:

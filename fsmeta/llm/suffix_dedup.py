@@ -31,7 +31,7 @@ from pyspark.sql import functions as F
 from fsmeta.llm.common import Rolling, mix, text_bytes
 from fsmeta.plans import workspace
 
-ANCHOR, DIGIT, PIECE, PLACE = 64, 50, 1 << 21, 24
+ANCHOR, DIGIT, PIECE, PLACE = 64, 50, 1 << 19, 24
 #: Repeated anchors (8 bytes each) are broadcast up to this number, and spans up to this many bytes; beyond that they are joined by shuffles.
 LISTED, SPAN_BYTES = 3_000_000, 24 << 20
 
