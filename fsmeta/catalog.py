@@ -3,17 +3,22 @@
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
+
+
+def _all() -> dict:
+    from fsmeta import catalog_events, catalog_snapshot
+
+    return catalog_snapshot.R | catalog_events.R
 
 
 def entry(spark: SparkSession) -> DataFrame:
-    li = spark.read.parquet("/root/testdata/sf0.001/lineitem.parquet")
-    return li.groupBy("l_suppkey").agg(F.count("*").alias("file_count"))
+    """Size and time quantiles per user of the large snapshot at the smallest scale."""
+    return _all()["dd_quantiles_user"][0](spark, "/root/testdata/sf0.001")
 
 
 def queries() -> dict:
-    return {}
+    return {name: run for name, (run, _) in _all().items()}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {name: sql for name, (_, sql) in _all().items() if sql is not None}
