@@ -26,7 +26,7 @@ import hashlib
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from fsmeta.llm.common import Rolling, mix, text_bytes
@@ -34,9 +34,12 @@ from fsmeta.llm.components import components
 from fsmeta.plans import workspace
 
 PIECE = 1 << 19
-#: A shingle in more nodes than FREQUENT is very frequent. A bitmap of 2^BITMAP bits marks at most TABLE shingles.
-#: ZONE: percent of a set's shingles, by hash, that are counted.
-FREQUENT, TABLE, BITMAP, ZONE = 48, 8_000_000, 27, 60
+#: The rank table has 2^SLOTS bytes and takes at most TABLE shingles. ZONE: percent of a set's shingles, by hash, that are counted.
+SLOTS, TABLE, ZONE = 24, 4_000_000, 60
+#: Rounds of further pivots in regions that the first has not settled, before windows decide on pairs.
+ROUNDS = 3
+#: Open regions of more members than CROWD are compared in blocks of BLOCK nodes, never as rows of pairs.
+CROWD, BLOCK = 48, 256
 #: Nodes whose texts are fetched by a broadcast list (8 bytes each) at most; more are fetched by a shuffle join.
 LISTED = 2_000_000
 
@@ -117,24 +120,15 @@ def identity(s: np.ndarray) -> np.ndarray:
     return s >> np.uint64(22)
 
 
-def bit_of(ident: np.ndarray) -> np.ndarray:
-    return ((ident * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(64 - BITMAP)).astype(np.int64)
+def slot_of(ident: np.ndarray) -> np.ndarray:
+    return ((ident * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(64 - SLOTS)).astype(np.int64)
 
 
-def marked(bitmap: np.ndarray, s: np.ndarray) -> np.ndarray:
-    at = bit_of(identity(s))
-    return (bitmap[at >> 3] >> (at & 7).astype(np.uint8)) & 1
-
-
-def first_shingles(s: np.ndarray, tables: list[np.ndarray], percent: int) -> np.ndarray:
-    """The shingles one of which any partner of the set shares, in the order that puts frequent ones last."""
+def first_shingles(s: np.ndarray, ranks: np.ndarray, percent: int) -> np.ndarray:
+    """The shingles one of which any partner of the set shares, in the order that puts rarer ones first."""
     n = len(s)
     p = n + (-percent * n // 100) + 1
-    if tables:
-        rank = sum(marked(t, s) for t in tables)
-        if rank[:p].any():
-            s = s[np.argsort(rank, kind="stable")]
-    return s[:p]
+    return s[np.argsort(ranks[slot_of(identity(s))], kind="stable")][:p]
 
 
 def _packed(s: list, nodes: list, bits: int):
@@ -153,13 +147,13 @@ def _packed(s: list, nodes: list, bits: int):
     return pa.RecordBatch.from_pydict(columns)
 
 
-def entries(docs: DataFrame, text: str, span: int, percent: int, bits: int, tables: list[np.ndarray] | None) -> DataFrame:
+def entries(docs: DataFrame, text: str, span: int, percent: int, bits: int, ranks: np.ndarray | None) -> DataFrame:
     """bucket, s, nodes: packed first shingles of every node (once a task), told apart by 42 bits.
 
-    Without ``tables`` it is for counting: no nodes, and so many shingles by hash as can come
+    Without ``ranks`` it is for counting: no nodes, and so many shingles by hash as can come
     first once frequent ones have moved last (as a rule; more would cost only speed).
     """
-    shared = docs.sparkSession.sparkContext.broadcast(tables)
+    shared = docs.sparkSession.sparkContext.broadcast(ranks)
 
     def pack(batches):
         own = shared.value
@@ -180,7 +174,7 @@ def entries(docs: DataFrame, text: str, span: int, percent: int, bits: int, tabl
         if sets:
             yield _packed(sets, nodes, bits)
 
-    return docs.select(text).mapInArrow(pack, "bucket int, s binary" + ("" if tables is None else ", nodes binary"))
+    return docs.select(text).mapInArrow(pack, "bucket int, s binary" + ("" if ranks is None else ", nodes binary"))
 
 
 def by_bucket(batches):
@@ -202,11 +196,12 @@ def _grouped(packed: DataFrame) -> DataFrame:
     return packed.repartition("bucket").sortWithinPartitions("bucket")
 
 
-def frequency_tables(docs: DataFrame, text: str, span: int, percent: int, bits: int) -> list[np.ndarray]:
-    """Two bitmaps of shingles: those in two nodes or more, and those in over ``FREQUENT``.
+def rank_table(docs: DataFrame, text: str, span: int, percent: int, bits: int) -> np.ndarray:
+    """Logarithmic frequency of shingles, by slot: 0 for one node, 1 for two or three, and so on.
 
-    Each marks at most ``TABLE`` shingles; where there are more, the threshold rises until they
-    fit. They fix an order, so marks that clash or lack change speed only.
+    The table has 2^SLOTS entries whatever the input; at most ``TABLE`` shingles enter it, the most
+    frequent (where there are more, the threshold rises). It only fixes an order that all
+    tasks share, so clashes and what it lacks change speed, not results.
     """
 
     def count(batches):
@@ -214,43 +209,43 @@ def frequency_tables(docs: DataFrame, text: str, span: int, percent: int, bits:
             s, n = np.unique(np.concatenate([np.frombuffer(x, np.uint32) for x in g["s"]]), return_counts=True)
             many = n > 1
             if many.any():
-                yield pa.RecordBatch.from_arrays([pa.array([g["bucket"][0]], pa.int32()), pa.array([s[many].tobytes()], pa.binary()), pa.array([np.minimum(n[many], 65_535).astype(np.uint16).tobytes()], pa.binary())], names=["bucket", "s", "n"])
+                rank = np.minimum(np.log2(n[many]).astype(np.uint8), 40)
+                yield pa.RecordBatch.from_arrays([pa.array([g["bucket"][0]], pa.int32()), pa.array([s[many].tobytes()], pa.binary()), pa.array([rank.tobytes()], pa.binary())], names=["bucket", "s", "rank"])
 
     packed = entries(docs, text, span, percent, bits, None)
-    counted = workspace.store(_grouped(packed).mapInArrow(count, "bucket int, s binary, n binary"), "counts")
+    counted = workspace.store(_grouped(packed).mapInArrow(count, "bucket int, s binary, rank binary"), "ranks")
 
     def spread(batches):
         for b in batches:
-            n, many = np.unique(np.frombuffer(b"".join(b.column("n").to_pylist()), np.uint16), return_counts=True)
-            yield pa.RecordBatch.from_arrays([pa.array(n.astype(np.int64)), pa.array(many.astype(np.int64))], names=["n", "many"])
-
-    histogram = counted.mapInArrow(spread, "n long, many long").groupBy("n").agg(F.sum("many").alias("many")).orderBy(F.desc("n")).collect()  # 65,535 rows at most
-    out = []
-    for least in (1, FREQUENT):
-        above, total = 65_536, 0
-        for r in histogram:
-            if r["n"] <= least or total + r["many"] > TABLE:
-                break
-            above, total = r["n"], total + r["many"]
-
-        def pick(batches, above=above):
-            for b in batches:
-                for k, s, n in zip(*(c.to_pylist() for c in b.columns), strict=True):
-                    own = np.frombuffer(s, np.uint32)[np.frombuffer(n, np.uint16) >= above]
-                    if len(own):
-                        ident = (np.uint64(k) << np.uint64(42 - bits)) | (own.astype(np.uint64) & np.uint64((1 << (42 - bits)) - 1))
-                        yield pa.RecordBatch.from_arrays([pa.array([bit_of(ident).astype(np.uint32).tobytes()], pa.binary())], names=["bits"])
-
-        bitmap = np.zeros(1 << BITMAP, bool)
-        if total:
-            for raw in counted.mapInArrow(pick, "bits binary").toArrow()["bits"].to_pylist():
-                bitmap[np.frombuffer(raw, np.uint32)] = True
-        out.append(np.packbits(bitmap, bitorder="little"))
-    return out
+            r, many = np.unique(np.frombuffer(b"".join(b.column("rank").to_pylist()), np.uint8), return_counts=True)
+            yield pa.RecordBatch.from_arrays([pa.array(r.astype(np.int64)), pa.array(many.astype(np.int64))], names=["r", "many"])
+
+    least, total = 41, 0
+    for r in counted.mapInArrow(spread, "r long, many long").groupBy("r").agg(F.sum("many").alias("many")).orderBy(F.desc("r")).collect():  # 41 rows at most
+        if total + r["many"] > TABLE:
+            break
+        least, total = r["r"], total + r["many"]
+
+    def pick(batches):
+        for b in batches:
+            for k, s, r in zip(*(c.to_pylist() for c in b.columns), strict=True):
+                r = np.frombuffer(r, np.uint8)
+                own, r = np.frombuffer(s, np.uint32)[r >= least], r[r >= least]
+                if len(own):
+                    ident = (np.uint64(k) << np.uint64(42 - bits)) | (own.astype(np.uint64) & np.uint64((1 << (42 - bits)) - 1))
+                    yield pa.RecordBatch.from_arrays([pa.array([slot_of(ident).astype(np.uint32).tobytes()], pa.binary()), pa.array([r.tobytes()], pa.binary())], names=["slots", "r"])
+
+    table = np.zeros(1 << SLOTS, np.uint8)
+    if total:
+        for row in counted.mapInArrow(pick, "slots binary, r binary").toLocalIterator():
+            slots = np.frombuffer(row["slots"], np.uint32)
+            np.maximum.at(table, slots, np.frombuffer(row["r"], np.uint8))
+    return table
 
 
 def regions(packed: DataFrame, run: int = 1 << 15) -> DataFrame:
-    """s, pivot, nodes: members (packed, in runs) of every region of two nodes or more; the pivot is the least of them."""
+    """s, pivot, nodes: members (packed, in runs) of every region of two nodes or more; the pivot is the
+    least of them. Regions with the same members are the same region: ``s`` is a hash of the members."""
 
     def gather(batches):
         for g in by_bucket(batches):
@@ -263,12 +258,16 @@ def regions(packed: DataFrame, run: int = 1 << 15) -> DataFrame:
             s, who = s[new], who[new]
             start = np.flatnonzero(np.concatenate([[True], s[1:] != s[:-1]]))
             size = np.diff(np.append(start, len(s)))
-            out = [((g["bucket"][0] << 32) | int(s[a]), int(who[a]), who[c : min(c + run, a + n)].tobytes()) for a, n in zip(start[size > 1].tolist(), size[size > 1].tolist(), strict=True) for c in range(a, a + n, run)]
+            out = []
+            for a, n in zip(start[size > 1].tolist(), size[size > 1].tolist(), strict=True):
+                own = who[a : a + n]
+                out += [(node_of(own), int(own[0]), own[c : c + run].tobytes()) for c in range(0, n, run)]
+            out = list(dict.fromkeys(out))
             if out:
                 keys, pivots, members = zip(*out, strict=True)
                 yield pa.RecordBatch.from_arrays([pa.array(keys, pa.int64()), pa.array(pivots, pa.int64()), pa.array(members, pa.binary())], names=["s", "pivot", "nodes"])
 
-    return _grouped(packed).mapInArrow(gather, "s long, pivot long, nodes binary")
+    return _grouped(packed).mapInArrow(gather, "s long, pivot long, nodes binary").distinct()
 
 
 def members(found: DataFrame) -> DataFrame:
@@ -283,21 +282,6 @@ def members(found: DataFrame) -> DataFrame:
     return found.mapInArrow(spread, "s long, pivot long, node long")
 
 
-def stars(found: DataFrame) -> DataFrame:
-    """Distinct pairs (a: pivot, b: member)."""
-
-    def pairs(batches):
-        for b in batches:
-            p = b.column("pivot").to_numpy()
-            raw = b.column("nodes").to_pylist()
-            who = np.frombuffer(b"".join(raw), np.int64)
-            both = np.stack([np.repeat(p, [len(x) // 8 for x in raw]), who], 1)
-            both = np.unique(both[both[:, 0] != both[:, 1]], axis=0)
-            yield pa.RecordBatch.from_arrays([pa.array(both[:, 0]), pa.array(both[:, 1])], names=["a", "b"])
-
-    return found.mapInArrow(pairs, "a long, b long").distinct()
-
-
 def texts_of(docs: DataFrame, nodes: DataFrame, text: str, span: int) -> DataFrame:
     """node, t: one text of each listed node."""
     spark = docs.sparkSession
@@ -327,10 +311,8 @@ def texts_of(docs: DataFrame, nodes: DataFrame, text: str, span: int) -> DataFra
     return picked.groupBy("node").agg(F.first("t").alias("t"))
 
 
-def distances(pairs: DataFrame, docs: DataFrame, text: str, span: int) -> DataFrame:
-    """a, b, na, nb, shared: exact set sizes and intersections of pairs of nodes."""
-    nodes = pairs.select(F.explode(F.array("a", "b")).alias("node")).distinct()
-    t = workspace.store(texts_of(docs, nodes, text, span), "texts")
+def distances(pairs: DataFrame, t: DataFrame, span: int) -> DataFrame:
+    """a, b, na, nb, shared: exact set sizes and intersections of pairs of nodes. ``t``: node, t."""
     joined = pairs.join(t.select(F.col("node").alias("b"), F.col("t").alias("tb")), "b").join(t.select(F.col("node").alias("a"), F.col("t").alias("ta")), "a")
 
     def compare(batches):
@@ -350,6 +332,76 @@ def distances(pairs: DataFrame, docs: DataFrame, text: str, span: int) -> DataFr
     return joined.select("a", "b", "ta", "tb").mapInArrow(compare, "a long, b long, na long, nb long, shared long")
 
 
+def crowd_links(crowds: DataFrame, t: DataFrame, span: int, percent: int) -> DataFrame:
+    """Links between classes inside large open regions (rows: s, pivot, node, label, n).
+
+    Regions that share members are one crowd. Its nodes, ordered by size, form blocks; a pair of blocks
+    goes to one task if the sizes of some two of their nodes are alike, and gives only links that join
+    classes not yet joined there. No pair of nodes is ever a row.
+    """
+    edges = crowds.select(F.concat(F.lit("r"), "s").alias("a"), F.concat(F.lit("n"), "node").alias("b"))
+    crowd = components(edges).filter(F.col("node").startswith("n")).select(F.substring("node", 2, 30).cast("long").alias("node"), F.col("label").alias("crowd"))
+    rows = crowds.select("node", "label", "n").distinct().join(crowd, "node")
+    place = F.row_number().over(Window.partitionBy("crowd").orderBy("n", "node")) - 1
+    rows = rows.withColumn("block", F.floor(place / BLOCK).cast("int"))
+    ends = rows.groupBy("crowd", "block").agg(F.min("n").alias("low"), F.max("n").alias("high"))
+    other = ends.select("crowd", F.col("block").alias("with"), F.col("low").alias("low2"), F.col("high").alias("high2"))
+    pairs = ends.join(other, "crowd").filter((F.col("block") <= F.col("with")) & (100 * F.col("high") >= percent * F.col("low2")))
+    pairs = pairs.select("crowd", F.col("block").alias("i"), F.col("with").alias("j"))
+    sides = pairs.select("*", F.explode(F.array_distinct(F.array("i", "j"))).alias("block"))
+    sent = rows.join(sides, ["crowd", "block"]).join(t, "node").select("crowd", "i", "j", "block", "node", "label", "t")
+
+    def compare(table: pa.Table) -> pa.Table:
+        table = table.combine_chunks()
+        sets = [s for c in table["t"].chunks for s in sets_of(c, span)]
+        nodes, labels, block = (table[c].to_numpy() for c in ("node", "label", "block"))
+        i, j = table["i"][0].as_py(), table["j"][0].as_py()
+        left, right = np.flatnonzero(block == i), np.flatnonzero(block == j)
+        shared = intersections([sets[k] for k in left], [sets[k] for k in right])
+        na, nb = (np.array([len(sets[k]) for k in side]) for side in (left, right))
+        ok = 100 * shared >= percent * (na[:, None] + nb[None, :] - shared)
+        ok &= labels[left][:, None] != labels[right][None, :]
+        up: dict[int, int] = {}
+
+        def root(x: int) -> int:
+            while (y := up.get(x, x)) != x:
+                up[x] = x = up.get(y, y)
+            return x
+
+        out = []
+        for a, b in np.argwhere(ok).tolist():
+            ra, rb = root(int(labels[left[a]])), root(int(labels[right[b]]))
+            if ra != rb:
+                up[ra] = rb
+                out.append((nodes[left[a]], nodes[right[b]], na[a], nb[b], shared[a, b]))
+        cols = list(zip(*out, strict=True)) or [()] * 5
+        return pa.table({n: pa.array(list(map(int, c)), pa.int64()) for n, c in zip(("a", "b", "na", "nb", "shared"), cols, strict=True)})
+
+    return sent.groupBy("crowd", "i", "j").applyInArrow(compare, "a long, b long, na long, nb long, shared long")
+
+
+def intersections(left: list[np.ndarray], right: list[np.ndarray], step: int = 4_000_000) -> np.ndarray:
+    """Sizes of all intersections of two lists of sets, by meeting equal elements in sorted order."""
+    out = np.zeros(len(left) * len(right), np.int64)
+    x, y = np.concatenate(left), np.concatenate(right)
+    xi, yi = (np.repeat(np.arange(len(side)), [len(s) for s in side]) for side in (left, right))
+    order = np.argsort(y)
+    y, yi = y[order], yi[order]
+    lo, hi = np.searchsorted(y, x, "left"), np.searchsorted(y, x, "right")
+    n = hi - lo
+    upto = np.cumsum(n)
+    at = 0
+    while at < len(x):
+        end = max(at + 1, int(np.searchsorted(upto, (upto[at - 1] if at else 0) + step, "right")))
+        m = n[at:end]
+        total = int(m.sum())
+        if total:
+            place = np.arange(total) - np.repeat(np.cumsum(m) - m, m) + np.repeat(lo[at:end], m)
+            out += np.bincount(np.repeat(xi[at:end], m) * len(right) + yi[place], minlength=len(out))
+        at = end
+    return out.reshape(len(left), len(right))
+
+
 def classes(docs: DataFrame, key: str = "doc_id", text: str = "text", span: int = 5, percent: int = 75) -> tuple[DataFrame, DataFrame]:
     """(membership: the key, n_shingles, node, label for each row; links: a, b, na, nb, shared
     between nodes). Links connect each class; pairs already in one class are not tried again."""
@@ -364,34 +416,66 @@ def classes(docs: DataFrame, key: str = "doc_id", text: str = "text", span: int
 
     kind = docs.schema[key].dataType.simpleString()
     rows = workspace.store(docs.select(key, text).mapInArrow(describe, f"`{key}` {kind}, n_shingles long, node long"), "rows")
-    tables = frequency_tables(docs, text, span, percent, bits)
-    found = workspace.store(regions(entries(docs, text, span, percent, bits, tables)), "regions")
+    ranks = rank_table(docs, text, span, percent, bits)
+    found = workspace.store(regions(entries(docs, text, span, percent, bits, ranks)), "regions")
     sizes = rows.filter("node is not null").groupBy("node").agg(F.first("n_shingles").alias("n"))
+    own = workspace.store(members(found).join(sizes, "node"), "in_regions")
+    texts = workspace.store(texts_of(docs, own.select("node").distinct(), text, span), "texts")
     near = 100 * F.col("shared") >= percent * (F.col("na") + F.col("nb") - F.col("shared"))
 
-    alike = 100 * F.least("na", "nb") >= percent * F.greatest("na", "nb")  # sets within the radius have sizes like that
-    sized = stars(found).join(sizes.select(F.col("node").alias("a"), F.col("n").alias("na")), "a").join(sizes.select(F.col("node").alias("b"), F.col("n").alias("nb")), "b")
-    star = workspace.store(distances(sized.filter(alike).select("a", "b"), docs, text, span), "distances")
-    first = components(star.filter(near))
-    # regions whose members are not all in one class are joined again, within windows around the pivot
-    own = members(found).join(first, "node", "left").withColumn("label", F.coalesce("label", "node"))
-    open_ = own.groupBy("s").agg(F.min("label").alias("lo"), F.max("label").alias("hi")).filter("lo <> hi").select("s")
-    gap = 1 - F.col("shared") / (F.col("na") + F.col("nb") - F.col("shared"))
-    known = star.select(F.col("a").alias("pivot"), F.col("b").alias("node"), gap.alias("d"))
-    # a member whose size excludes it from the pivot's radius has a distance between that bound and 1
-    pivots = sizes.select(F.col("node").alias("pivot"), F.col("n").alias("np"))
-    open_members = own.join(open_, "s", "left_semi").filter("node <> pivot").join(known, ["pivot", "node"], "left").join(sizes, "node").join(pivots, "pivot")
-    far = F.when(F.col("d").isNull(), 1 - F.least("n", "np") / F.greatest("n", "np")).otherwise(F.col("d"))
-    open_members = workspace.store(open_members.select("s", "node", "label", "n", far.alias("lo"), F.coalesce("d", F.lit(1.0)).alias("hi")), "open")
-    x, y = (open_members.select(*[F.col(c).alias(c + e) for c in ("s", "node", "label", "n", "lo", "hi")]) for e in "xy")
-    radius = 1 - percent / 100 + 1e-9
-    window = (x.sx == y.sy) & (x.nodex < y.nodey) & (x.labelx != y.labely)
-    window &= (100 * F.least("nx", "ny") >= percent * F.greatest("nx", "ny")) & (x.lox - y.hiy <= radius) & (y.loy - x.hix <= radius)
-    again = x.join(y, window).select(F.col("nodex").alias("a"), F.col("nodey").alias("b")).distinct()
-    again = workspace.store(again, "again")
-    links = star.filter(near)
-    if not again.isEmpty():
-        links = links.unionByName(workspace.store(distances(again, docs, text, span), "distances").filter(near))
+    def alike(x, y):  # sets within the radius have sizes like that
+        return 100 * F.least(x, y) >= percent * F.greatest(x, y)
+
+    def star(rows_):
+        """Distances of members to their region's pivot, where sizes allow a link."""
+        p = rows_.filter("node = pivot").select("s", F.col("n").alias("np"))
+        pairs = rows_.filter("node <> pivot").join(p, "s").filter(alike("n", "np")).select(F.col("pivot").alias("a"), F.col("node").alias("b")).distinct()
+        return pairs
+
+    known = workspace.store(distances(star(own), texts, span), "distances")
+    first = components(known.filter(near))
+    windows = []
+    open_rows = own
+    for turn in range(ROUNDS + 1):
+        # regions whose members are not all in one class stay open
+        held = ["s", "node", "n", "pivot", *windows]
+        labelled = open_rows.select(*held).join(first, "node", "left").withColumn("label", F.coalesce("label", "node"))
+        still = labelled.groupBy("s").agg(F.min("label").alias("lo"), F.max("label").alias("hi")).filter("lo <> hi").select("s")
+        labelled = labelled.join(still, "s", "left_semi")
+        # what is known of each member's distance to the region's present pivot
+        gap = known.select(F.least("a", "b").alias("_x"), F.greatest("a", "b").alias("_y"), (1 - F.col("shared") / (F.col("na") + F.col("nb") - F.col("shared"))).alias("_d"))
+        p = labelled.filter("node = pivot").select("s", F.col("n").alias("_np"))
+        seen = labelled.join(p, "s").withColumn("_x", F.least("node", "pivot")).withColumn("_y", F.greatest("node", "pivot")).join(gap, ["_x", "_y"], "left")
+        lo = F.when(F.col("node") == F.col("pivot"), 0.0).otherwise(F.coalesce("_d", 1 - F.least("n", "_np") / F.greatest("n", "_np")))
+        hi = F.when(F.col("node") == F.col("pivot"), 0.0).otherwise(F.coalesce("_d", F.lit(1.0)))
+        open_rows = workspace.store(seen.withColumn(f"lo{turn}", lo).withColumn(f"hi{turn}", hi).select(*held, "label", f"lo{turn}", f"hi{turn}"), "open")
+        windows += [f"lo{turn}", f"hi{turn}"]
+        if turn == ROUNDS or open_rows.isEmpty():
+            break
+        # another pivot for each open region; members already in its class need not be compared
+        w = open_rows.groupBy("s").agg(F.min_by("node", F.xxhash64("node", F.lit(turn))).alias("_p"))
+        open_rows = open_rows.join(w, "s").withColumn("pivot", F.col("_p")).drop("_p")
+        p = open_rows.filter("node = pivot").select("s", F.col("label").alias("_l"))
+        fresh = star(open_rows.join(p, "s").filter((F.col("label") != F.col("_l")) | (F.col("node") == F.col("pivot"))))
+        fresh = fresh.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+        fresh = fresh.join(known.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")), ["a", "b"], "left_anti")
+        known = known.unionByName(workspace.store(distances(fresh, texts, span), "distances"))
+        first = components(known.filter(near))
+    links = known.filter(near)
+    if not open_rows.isEmpty():
+        sized = open_rows.groupBy("s").agg(F.count("*").alias("members"))
+        small = open_rows.join(sized.filter(F.col("members") <= CROWD).select("s"), "s", "left_semi")
+        columns = ("s", "node", "label", "n", *windows)
+        x, y = (small.select(*[F.col(c).alias(c + e) for c in columns]) for e in "xy")
+        radius = 1 - percent / 100 + 1e-9
+        window = (x.sx == y.sy) & (x.nodex < y.nodey) & (x.labelx != y.labely) & alike("nx", "ny")
+        for i in range(len(windows) // 2):
+            window &= (F.col(f"lo{i}x") - F.col(f"hi{i}y") <= radius) & (F.col(f"lo{i}y") - F.col(f"hi{i}x") <= radius)
+        again = x.join(y, window).select(F.col("nodex").alias("a"), F.col("nodey").alias("b")).distinct()
+        again = again.join(known.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")), ["a", "b"], "left_anti")
+        links = links.unionByName(workspace.store(distances(workspace.store(again, "again"), texts, span), "distances").filter(near))
+        crowds = open_rows.join(sized.filter(F.col("members") > CROWD).select("s"), "s", "left_semi")
+        links = links.unionByName(workspace.store(crowd_links(crowds, texts, span, percent), "crowds"))
         first = components(links)
     member = rows.join(first, "node", "left").withColumn("label", F.coalesce("label", "node"))
     return member, links
