@@ -32,17 +32,14 @@ MANIFEST = "part int, seq int, ids_uri string, idx_uri string, min_key long, max
 
 
 class Encoder:
-    """Ids of whole texts by the tokenizers library, each piece encoded once per worker while it is kept.
+    """Ids of whole texts by the tokenizers library, each pre-token encoded once per worker while it is kept.
 
-    Plain texts are cut at single blanks (a pre-token never spans a blank that stands alone
-    before a sign), then pieces not seen before into pre-tokens, then unknown pre-tokens go
-    to the library. Both tables are bounded and let go when full. Texts that are not plain,
-    and those with other blanks, are cut into pre-tokens as a whole or go whole to the library.
+    The table of pre-tokens is bounded and let go when full. Texts that are not plain go whole
+    to the library.
     """
 
-    def __init__(self, name: str, width: int, pieces: int = 900_000, pretokens_: int = 500_000, longest: int = 48):
-        self.tok, self.name, self.width, self.longest = pretokens.load(name), name, width, longest
-        self.limits = pieces, pretokens_
+    def __init__(self, name: str, width: int, entries: int = 1_200_000, longest: int = 48):
+        self.tok, self.name, self.width, self.entries, self.longest = pretokens.load(name), name, width, entries, longest
         self.special = pretokens.specials(self.tok)
 
     def raw(self, ids: list[int]) -> bytes:
@@ -59,45 +56,23 @@ class Encoder:
                 gc.enable()
 
     def _encode(self, texts: list[str]) -> list[bytes]:
-        pieces = pretokens.Cache.of(f"{self.name}/{self.width}/pieces", self.limits[0])
-        out, parts = [b""] * len(texts), [None] * len(texts)
+        cache = pretokens.Cache.of(f"{self.name}/{self.width}", self.entries)
+        out, split = [b""] * len(texts), [None] * len(texts)
         for i, text in enumerate(texts):
             if pretokens.plain(text, self.special):
-                parts[i] = text.split(" ")
+                split[i] = pretokens.BYTE_LEVEL.findall(text)
             else:
                 out[i] = self.raw(self.tok.encode(text, add_special_tokens=False).ids)
-        new = pretokens.unknown([p[1:] for p in parts if p], pieces)
-        # a piece that begins or ends with a blank has blanks side by side around it
-        inside = [p for p in new if p and not p[0].isspace() and not p[-1].isspace()]
-        made = dict(zip(inside, self._split([" " + p for p in inside]), strict=True))
-        made.update((p, None) for p in new if p not in made)
-        pieces.update((p, ids) for p, ids in made.items() if len(p) <= self.longest)
-        look = pieces if all(len(p) <= self.longest for p in made) else _Both(pieces, made)
-        heads = self._split([p[0] if p else "" for p in parts])
-        odd = []
-        for i, p in enumerate(parts):
-            if p:
-                try:
-                    if p[0] == "" or p[0][-1].isspace():
-                        raise TypeError
-                    out[i] = heads[i] + b"".join(map(look.__getitem__, p[1:]))
-                except TypeError:
-                    odd.append(i)
-        for i, ids in zip(odd, self._split([texts[i] for i in odd]), strict=True):
-            out[i] = ids
-        return out
-
-    def _split(self, texts: list[str]) -> list[bytes]:
-        """By pre-tokens."""
-        cache = pretokens.Cache.of(f"{self.name}/{self.width}", self.limits[1])
-        split = [pretokens.BYTE_LEVEL.findall(t) for t in texts]
         missing, extra = pretokens.unknown(split, cache), {}
         for at in range(0, len(missing), 4096):
             part = missing[at : at + 4096]
             for t, e in zip(part, self.tok.encode_batch_fast(part, add_special_tokens=False), strict=True):
                 (cache if len(t) <= self.longest else extra)[t] = self.raw(e.ids)
         look = _Both(cache, extra) if extra else cache
-        return [b"".join(map(look.__getitem__, s)) for s in split]
+        for i, s in enumerate(split):
+            if s:
+                out[i] = b"".join(map(look.__getitem__, s))
+        return out
 
 
 class _Both(dict):
@@ -111,7 +86,7 @@ class _Both(dict):
         return self.kept[k]
 
 
-def slices(texts: list[str], chars: int = 2_000_000):
+def slices(texts: list[str], chars: int = 4_000_000):
     """Runs of texts of bounded size."""
     at, n = 0, 0
     for i, t in enumerate(texts):
