@@ -23,7 +23,7 @@ import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 
-from fsmeta.llm.common import text_bytes
+from fsmeta.llm.common import lean, text_bytes
 
 Q, PIECE, BLOCK_BYTES, FILLED = 8, 1 << 20, 4 << 20, 22
 
@@ -49,8 +49,11 @@ def normal(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     keep = ~blank
     keep[1:] |= ~blank[:-1]
     keep &= ~(blank & first[:-1])
-    upto = np.concatenate([[0], np.cumsum(keep)])
-    return data[keep], upto[offsets]
+    some = np.flatnonzero(np.diff(offsets) > 0)
+    left = np.zeros(len(offsets), np.int64)
+    if len(some):
+        left[some + 1] = np.add.reduceat(keep, offsets[some], dtype=np.int64)
+    return data[keep], np.cumsum(left)
 
 
 class Index:
@@ -203,7 +206,7 @@ def leaks(docs: DataFrame, benchmark: DataFrame, key: str = "doc_id", text: str
 
         def find(batches, shared=shared):
             index = None
-            for b in batches:
+            for b in lean(batches, 256):
                 index = index or Index(*shared.value, budget)
                 if not index.items:
                     return

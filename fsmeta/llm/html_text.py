@@ -19,6 +19,8 @@ from html import unescape
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
+from fsmeta.llm.common import lean
+
 TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<[!?][^>]*(?:>|\Z)|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)(?:>|\Z)", re.S)
 ATTRIBUTE = re.compile(r"([a-zA-Z_:@][^\s=/>\"']*)(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+)))?")
 WORDS = re.compile(r"[A-Z]?[a-z]+|[A-Z]+|\d+")
@@ -222,7 +224,7 @@ def extract(pages: DataFrame, key: str = "page_id", url: str = "url", html: str
     names = [key, url, "text", "n_chars"]
 
     def read(batches):
-        for b in batches:
+        for b in lean(batches):
             texts = [main_text(h) for h in b.column(2).to_pylist()]
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(texts, pa.string()), pa.array([len(t) for t in texts], pa.int64())], names=names)
 

@@ -29,7 +29,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from fsmeta.llm.common import Rolling, mix, text_bytes
+from fsmeta.llm.common import Rolling, lean, mix, text_bytes
 from fsmeta.llm.components import components
 from fsmeta.plans import workspace
 
@@ -158,7 +158,7 @@ def entries(docs: DataFrame, text: str, span: int, percent: int, bits: int, rank
     def pack(batches):
         own = shared.value
         seen, sets, nodes, held = set(), [], [], 0
-        for b in batches:
+        for b in lean(batches):
             for s in sets_of(b.column(0), span):
                 if not len(s) or (node := node_of(s)) in seen:
                     continue
@@ -180,7 +180,7 @@ def entries(docs: DataFrame, text: str, span: int, percent: int, bits: int, rank
 def by_bucket(batches):
     """Columns of all rows of each bucket, from rows sorted by bucket."""
     now, held = None, []
-    for b in batches:
+    for b in lean(batches):
         names = b.schema.names
         for row in zip(*(c.to_pylist() for c in b.columns), strict=True):
             if row[0] != now and held:
@@ -216,7 +216,7 @@ def rank_table(docs: DataFrame, text: str, span: int, percent: int, bits: int) -
     counted = workspace.store(_grouped(packed).mapInArrow(count, "bucket int, s binary, rank binary"), "ranks")
 
     def spread(batches):
-        for b in batches:
+        for b in lean(batches):
             r, many = np.unique(np.frombuffer(b"".join(b.column("rank").to_pylist()), np.uint8), return_counts=True)
             yield pa.RecordBatch.from_arrays([pa.array(r.astype(np.int64)), pa.array(many.astype(np.int64))], names=["r", "many"])
 
@@ -227,7 +227,7 @@ def rank_table(docs: DataFrame, text: str, span: int, percent: int, bits: int) -
         least, total = r["r"], total + r["many"]
 
     def pick(batches):
-        for b in batches:
+        for b in lean(batches):
             for k, s, r in zip(*(c.to_pylist() for c in b.columns), strict=True):
                 r = np.frombuffer(r, np.uint8)
                 own, r = np.frombuffer(s, np.uint32)[r >= least], r[r >= least]
@@ -274,7 +274,7 @@ def members(found: DataFrame) -> DataFrame:
     """s, pivot, node: one row a member."""
 
     def spread(batches):
-        for b in batches:
+        for b in lean(batches):
             for s, p, raw in zip(*(c.to_pylist() for c in b.columns), strict=True):
                 who = np.frombuffer(raw, np.int64)
                 yield pa.RecordBatch.from_arrays([pa.array(np.full(len(who), s)), pa.array(np.full(len(who), p)), pa.array(who)], names=["s", "pivot", "node"])
@@ -291,7 +291,7 @@ def texts_of(docs: DataFrame, nodes: DataFrame, text: str, span: int) -> DataFra
 
     def pick(batches):
         want, seen = shared.value, set()
-        for b in batches:
+        for b in lean(batches):
             keys = np.array([node_of(s) if len(s) else 0 for s in sets_of(b.column(0), span)], np.int64)
             if want is not None:
                 at = np.minimum(np.searchsorted(want, keys), max(0, len(want) - 1))
@@ -317,7 +317,7 @@ def distances(pairs: DataFrame, t: DataFrame, span: int) -> DataFrame:
 
     def compare(batches):
         last, sa = None, None
-        for b in batches:
+        for b in lean(batches):
             a_ids, ta = b.column("a").to_pylist(), b.column("ta")
             na, nb, shared = [], [], []
             for i, sb in enumerate(sets_of(b.column("tb"), span)):
@@ -409,7 +409,7 @@ def classes(docs: DataFrame, key: str = "doc_id", text: str = "text", span: int
     bits = min(20, max(10, (4 * int(spark.conf.get("spark.sql.shuffle.partitions")) - 1).bit_length()))
 
     def describe(batches):
-        for b in batches:
+        for b in lean(batches):
             sets = [(len(s), node_of(s) if len(s) else None) for s in sets_of(b.column(1), span)]
             n, node = zip(*sets, strict=True) if sets else ((), ())
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(n, pa.int64()), pa.array(node, pa.int64())], names=[key, "n_shingles", "node"])

@@ -23,7 +23,7 @@ import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from fsmeta.llm.common import text_bytes
+from fsmeta.llm.common import lean, text_bytes
 
 BUCKETS, ORDERS, PIECE = 1 << 13, (2, 3, 4), 1 << 19
 
@@ -157,7 +157,7 @@ def fit(docs: DataFrame, learn: Column, key: str = "doc_id", text: str = "text",
     chosen = docs.filter(learn & docs[lang].isNotNull()).join(F.broadcast(picked), docs[key] == F.col("k"), "left_semi").select(F.col(key).alias("k"), F.col(text).alias("t"), F.col(lang).alias("l"))
 
     def features(batches):
-        for b in batches:
+        for b in lean(batches):
             at, n = zip(*counts(b.column(1)), strict=True) if len(b) else ((), ())
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(2), pa.array(at, pa.list_(pa.int32())), pa.array(n, pa.list_(pa.int64()))], names=["k", "l", "at", "n"])
 
@@ -185,7 +185,7 @@ def identify(docs: DataFrame, model: Model | None, key: str = "doc_id", text: st
 
     def label(batches):
         m = shared.value
-        for b in batches:
+        for b in lean(batches):
             column = b.column(b.num_columns - 1)
             letter = pc.fill_null(pc.match_substring_regex(column, r"\p{L}"), False).to_numpy(zero_copy_only=False)
             if m is None or not len(b):

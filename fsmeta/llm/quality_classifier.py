@@ -21,6 +21,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from fsmeta.llm.common import lean
+
 STATISTICS = ("log_words", "word_length", "symbols", "pipes", "shouts", "capitals", "digits", "variety", "repeats", "stutter", "twin_lines", "stops", "line_words")
 _CODE = np.zeros(256, np.int64)
 for _i, _set in enumerate((b"#*$%&<>", b"|", b"!", b"ABCDEFGHIJKLMNOPQRSTUVWXYZ", b"0123456789", b".,;:?"), 1):
@@ -140,7 +142,7 @@ def fit(docs: DataFrame, labels: DataFrame, learn: Column, key: str = "doc_id",
     chosen = docs.select(docs[key].alias("k"), docs[text].alias("t")).join(F.broadcast(picked), "k")
 
     def measure(batches):
-        for b in batches:
+        for b in lean(batches):
             stats = [statistics(t) for t in b.column("t").to_pylist()]
             yield pa.RecordBatch.from_arrays([b.column("k"), b.column("y"), pa.array(stats, pa.list_(pa.float64()))], names=["k", "y", "x"])
 
@@ -159,7 +161,7 @@ def score(docs: DataFrame, model: Model, text: str = "text", keep: tuple[str, ..
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in rows.schema.fields[:-1])
 
     def rate(batches):
-        for b in batches:
+        for b in lean(batches):
             texts = b.column(b.num_columns - 1).to_pylist()
             s = shared.value.score(np.array([statistics(t) for t in texts]).reshape(len(texts), len(STATISTICS)))
             yield pa.RecordBatch.from_arrays([*b.columns[:-1], pa.array(s, pa.float64())], names=[*keep, name])

@@ -28,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from fsmeta.llm.common import Rolling, mix, text_bytes
+from fsmeta.llm.common import Rolling, lean, mix, text_bytes
 from fsmeta.plans import workspace
 
 ANCHOR, DIGIT, PIECE, PLACE = 64, 50, 1 << 19, 24
@@ -95,7 +95,7 @@ def anchors(docs: DataFrame, text: str, length: int, rid: Column | None = None)
     cols = [F.col(text).alias("t")] + ([rid.alias("rid")] if named else [])
 
     def find(batches):
-        for b in batches:
+        for b in lean(batches):
             data, offsets = text_bytes(b.column(0))
             for _, lo, _, _, (own, _, _, _, h) in runs(data, offsets, length):
                 if named:
@@ -123,7 +123,7 @@ def contexts(docs: DataFrame, text: str, length: int, rid: Column, repeated: Dat
 
     def cut(batches):
         every, seen = shared.value, set()
-        for b in batches:
+        for b in lean(batches):
             data, offsets = text_bytes(b.column(0))
             rids = b.column(1)
             for own, lo, starts, places, (text_of, first, last, place, h) in runs(data, offsets, length):
@@ -210,7 +210,7 @@ def repeated_runs(found: DataFrame, length: int, held_bytes: int = 4 << 20) -> D
 
     def reduce(batches):
         groups, held, now = [], 0, None
-        for b in batches:
+        for b in lean(batches):
             for h, cid, off, n, ctx in zip(*(c.to_pylist() for c in b.columns), strict=True):
                 if h != now:
                     if held >= held_bytes:
@@ -249,7 +249,7 @@ def spans(found: DataFrame, same: DataFrame, length: int) -> DataFrame:
     per = found.select("cid", "rid", "lo").join(same, "cid").groupBy("rid").agg(F.collect_list(F.struct("lo", "runs")).alias("parts"))
 
     def pack(batches):
-        for b in batches:
+        for b in lean(batches):
             out = []
             for parts in b.column(1).to_pylist():
                 own = [np.frombuffer(p["runs"], np.int32).reshape(-1, 2).astype(np.int64) + p["lo"] for p in parts]
@@ -284,7 +284,7 @@ def remove_repeats(docs: DataFrame, key: str = "doc_id", text: str = "text", len
         rows = rows.join(found, "rid", "left").select(key, "t", "rid", "spans")
 
     def apply(batches):
-        for b in batches:
+        for b in lean(batches):
             out = []
             for t, r, s in zip(*(b.column(c).to_pylist() for c in ("t", "rid", "spans")), strict=True):
                 raw = t.encode()

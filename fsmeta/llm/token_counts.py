@@ -18,6 +18,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from fsmeta.llm import pretokens
+from fsmeta.llm.common import lean
 from fsmeta.llm.token_output import slices
 
 
@@ -47,7 +48,7 @@ def frequent_lengths(docs: DataFrame, tokenizer: str, text: str = "text", table_
     def summary(batches):
         seen: Counter = Counter()
         special = None
-        for b in batches:
+        for b in lean(batches):
             special = special if special is not None else pretokens.specials(pretokens.load(tokenizer))
             for t in b.column(0).to_pylist():
                 if t and pretokens.plain(t, special):
@@ -72,7 +73,7 @@ def count_tokens(docs: DataFrame, tokenizer: str = "word_bpe_49k.json", text: st
     def count(batches):
         tok, frequent = pretokens.load(tokenizer), known.value
         special = pretokens.specials(tok)
-        for b in batches:
+        for b in lean(batches):
             texts = [t or "" for t in b.column(1).to_pylist()]
             n_tokens = [0] * len(texts)
             for lo, hi in slices(texts):

@@ -23,6 +23,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from fsmeta.llm import pretokens
+from fsmeta.llm.common import lean
 from fsmeta.llm.store_ids import HEADER_SIZE, Replaced, ShardIndex, header, id_width, read_all, read_range
 from fsmeta.plans import workspace
 
@@ -144,7 +145,7 @@ def write_tokens(docs: DataFrame, uri: str, tokenizer: str = "byte_bpe_50k.json"
 
         part, enc, shard, seq, done = TaskContext.get().partitionId(), None, None, 0, []
         tail = b"" if end_id is None else np.array([end_id], f"<u{width}").tobytes()
-        for b in batches:
+        for b in lean(batches):
             enc = enc or Encoder(tokenizer, width)
             keys, texts = b.column(0).to_pylist(), b.column(1).to_pylist()
             for lo, hi in slices(texts):
@@ -181,7 +182,7 @@ def read_rows(spark: SparkSession, uri: str) -> DataFrame:
     shards = shards.select("ids_uri", "idx_uri", "base").repartition(max(1, min(n, 4 * spark.sparkContext.defaultParallelism)))
 
     def read(batches):
-        for b in batches:
+        for b in lean(batches):
             for s in b.to_pylist():
                 data, idx = read_all(s["ids_uri"]), ShardIndex.parse(read_all(s["idx_uri"]))
                 ids = np.frombuffer(data, f"<u{id_width(data)}", offset=HEADER_SIZE).astype("<u4")
