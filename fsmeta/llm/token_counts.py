@@ -13,6 +13,7 @@ from __future__ import annotations
 
 from collections import Counter
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -23,7 +24,13 @@ from fsmeta.llm.token_output import slices
 
 
 def _library(tok, items: list[str]) -> list[int]:
-    return [len(e) for at in range(0, len(items), 4096) for e in tok.encode_batch_fast(items[at : at + 4096], add_special_tokens=False)]
+    """Tokens of each pre-token, many in a call."""
+    out: list[int] = []
+    for at in range(0, len(items), 4096):
+        part = items[at : at + 4096]
+        words = tok.encode(part, is_pretokenized=True, add_special_tokens=False).word_ids
+        out += np.bincount(np.array(words, np.int64), minlength=len(part)).tolist()
+    return out
 
 
 class Tiers(dict):

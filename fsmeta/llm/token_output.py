@@ -67,8 +67,10 @@ class Encoder:
         missing, extra = pretokens.unknown(split, cache), {}
         for at in range(0, len(missing), 4096):
             part = missing[at : at + 4096]
-            for t, e in zip(part, self.tok.encode_batch_fast(part, add_special_tokens=False), strict=True):
-                (cache if len(t) <= self.longest else extra)[t] = self.raw(e.ids)
+            e = self.tok.encode(part, is_pretokenized=True, add_special_tokens=False)
+            raw, cut = self.raw(e.ids), np.searchsorted(np.array(e.word_ids), np.arange(len(part) + 1)) * self.width
+            for t, lo, hi in zip(part, cut.tolist(), cut[1:].tolist(), strict=False):
+                (cache if len(t) <= self.longest else extra)[t] = raw[lo:hi]
         look = _Both(cache, extra) if extra else cache
         for i, s in enumerate(split):
             if s:
@@ -87,7 +89,7 @@ class _Both(dict):
         return self.kept[k]
 
 
-def slices(texts: list[str], chars: int = 4_000_000):
+def slices(texts: list[str], chars: int = 6_000_000):
     """Runs of texts of bounded size."""
     at, n = 0, 0
     for i, t in enumerate(texts):
@@ -145,7 +147,7 @@ def write_tokens(docs: DataFrame, uri: str, tokenizer: str = "byte_bpe_50k.json"
 
         part, enc, shard, seq, done = TaskContext.get().partitionId(), None, None, 0, []
         tail = b"" if end_id is None else np.array([end_id], f"<u{width}").tobytes()
-        for b in lean(batches):
+        for b in lean(batches, 2048):
             enc = enc or Encoder(tokenizer, width)
             keys, texts = b.column(0).to_pylist(), b.column(1).to_pylist()
             for lo, hi in slices(texts):
