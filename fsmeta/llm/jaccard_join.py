@@ -36,8 +36,9 @@ from fsmeta.plans import workspace
 PIECE = 1 << 19
 #: The rank table has 2^SLOTS bytes and takes at most TABLE shingles. ZONE: percent of a set's shingles, by hash, that are counted.
 SLOTS, TABLE, ZONE = 24, 4_000_000, 60
-#: Rounds of further pivots in regions that the first has not settled, before windows decide on pairs.
-ROUNDS = 3
+#: Rounds of further pivots in regions that the first has not settled, before windows decide on pairs. More rounds
+#: narrow the windows; where regions are many and small they cost more than they save.
+ROUNDS = 0
 #: Open regions of more members than CROWD are compared in blocks of BLOCK nodes, never as rows of pairs.
 CROWD, BLOCK = 48, 256
 #: Nodes whose texts are fetched by a broadcast list (8 bytes each) at most; more are fetched by a shuffle join.
@@ -147,20 +148,28 @@ def _packed(s: list, nodes: list, bits: int):
     return pa.RecordBatch.from_pydict(columns)
 
 
-def entries(docs: DataFrame, text: str, span: int, percent: int, bits: int, ranks: np.ndarray | None) -> DataFrame:
+def chosen_rows(rows: DataFrame, key: str) -> dict:
+    """Node -> least key, for nodes with several rows, if they are few enough to be listed: the others
+    of such rows need not be packed again. A matter of speed only."""
+    repeated = rows.filter("node is not null").groupBy("node").agg(F.count("*").alias("n"), F.min(key).alias("k")).filter("n > 1").select("node", "k")
+    got = repeated.limit(LISTED // 8 + 1).toArrow()
+    return dict(zip(got["node"].to_pylist(), got["k"].to_pylist(), strict=True)) if len(got) <= LISTED // 8 else {}
+
+
+def entries(docs: DataFrame, key: str, text: str, span: int, percent: int, bits: int, chosen: dict, ranks: np.ndarray | None) -> DataFrame:
     """bucket, s, nodes: packed first shingles of every node (once a task), told apart by 42 bits.
 
     Without ``ranks`` it is for counting: no nodes, and so many shingles by hash as can come
     first once frequent ones have moved last (as a rule; more would cost only speed).
     """
-    shared = docs.sparkSession.sparkContext.broadcast(ranks)
+    shared = docs.sparkSession.sparkContext.broadcast((ranks, chosen))
 
     def pack(batches):
-        own = shared.value
+        own, first_row = shared.value
         seen, sets, nodes, held = set(), [], [], 0
         for b in lean(batches):
-            for s in sets_of(b.column(0), span):
-                if not len(s) or (node := node_of(s)) in seen:
+            for k, s in zip(b.column(1).to_pylist(), sets_of(b.column(0), span), strict=True):
+                if not len(s) or (node := node_of(s)) in seen or first_row.get(node, k) != k:
                     continue
                 seen.add(node)
                 first = s[: len(s) * ZONE // 100 + 1] if own is None else first_shingles(s, own, percent)
@@ -174,7 +183,7 @@ def entries(docs: DataFrame, text: str, span: int, percent: int, bits: int, rank
         if sets:
             yield _packed(sets, nodes, bits)
 
-    return docs.select(text).mapInArrow(pack, "bucket int, s binary" + ("" if ranks is None else ", nodes binary"))
+    return docs.select(text, key).mapInArrow(pack, "bucket int, s binary" + ("" if ranks is None else ", nodes binary"))
 
 
 def by_bucket(batches):
@@ -196,7 +205,7 @@ def _grouped(packed: DataFrame) -> DataFrame:
     return packed.repartition("bucket").sortWithinPartitions("bucket")
 
 
-def rank_table(docs: DataFrame, text: str, span: int, percent: int, bits: int) -> np.ndarray:
+def rank_table(docs: DataFrame, key: str, text: str, span: int, percent: int, bits: int, chosen: dict) -> np.ndarray:
     """Logarithmic frequency of shingles, by slot: 0 for one node, 1 for two or three, and so on.
 
     The table has 2^SLOTS entries whatever the input; at most ``TABLE`` shingles enter it, the most
@@ -212,7 +221,7 @@ def rank_table(docs: DataFrame, text: str, span: int, percent: int, bits: int) -
                 rank = np.minimum(np.log2(n[many]).astype(np.uint8), 40)
                 yield pa.RecordBatch.from_arrays([pa.array([g["bucket"][0]], pa.int32()), pa.array([s[many].tobytes()], pa.binary()), pa.array([rank.tobytes()], pa.binary())], names=["bucket", "s", "rank"])
 
-    packed = entries(docs, text, span, percent, bits, None)
+    packed = entries(docs, key, text, span, percent, bits, chosen, None)
     counted = workspace.store(_grouped(packed).mapInArrow(count, "bucket int, s binary, rank binary"), "ranks")
 
     def spread(batches):
@@ -416,8 +425,10 @@ def classes(docs: DataFrame, key: str = "doc_id", text: str = "text", span: int
 
     kind = docs.schema[key].dataType.simpleString()
     rows = workspace.store(docs.select(key, text).mapInArrow(describe, f"`{key}` {kind}, n_shingles long, node long"), "rows")
-    ranks = rank_table(docs, text, span, percent, bits)
-    found = workspace.store(regions(entries(docs, text, span, percent, bits, ranks)), "regions")
+    chosen = chosen_rows(rows, key)
+    ranks = rank_table(docs, key, text, span, percent, bits, chosen)
+    found = workspace.store(regions(entries(docs, key, text, span, percent, bits, chosen, ranks)), "regions")
+    del ranks, chosen
     sizes = rows.filter("node is not null").groupBy("node").agg(F.first("n_shingles").alias("n"))
     own = workspace.store(members(found).join(sizes, "node"), "in_regions")
     texts = workspace.store(texts_of(docs, own.select("node").distinct(), text, span), "texts")
