@@ -150,11 +150,12 @@ def train(x: np.ndarray, y: np.ndarray, languages: list[str], dim: int = 16, epo
 
 
 def fit(docs: DataFrame, learn: Column, key: str = "doc_id", text: str = "text", lang: str = "lang", per_language: int = 700, languages: int = 64, **options) -> Model | None:
-    rows = docs.filter(learn & docs[lang].isNotNull() & docs[key].isNotNull()).select(F.col(key).alias("k"), F.col(lang).alias("l"))
+    known = docs.filter(learn & docs[lang].isNotNull() & docs[key].isNotNull()).select(docs[key].alias("k"), docs[text].alias("t"), docs[lang].cast("string").alias("l"))
+    rows = known.select("k", "l")
     frequent = rows.groupBy("l").count().orderBy(F.desc("count"), "l").limit(languages)
     rank = F.row_number().over(Window.partitionBy("l").orderBy(F.xxhash64("k"), "k"))
     picked = rows.join(F.broadcast(frequent.select("l")), "l").withColumn("r", rank).filter(F.col("r") <= per_language).select("k").distinct()
-    chosen = docs.filter(learn & docs[lang].isNotNull()).join(F.broadcast(picked), docs[key] == F.col("k"), "left_semi").select(F.col(key).alias("k"), F.col(text).alias("t"), F.col(lang).alias("l"))
+    chosen = known.join(F.broadcast(picked), "k", "left_semi").select("k", "t", "l")
 
     def features(batches):
         for b in lean(batches):

@@ -91,7 +91,8 @@ def log_ratios(docs: DataFrame, trusted: DataFrame, key: str = "doc_id", text: s
     the target multinomial; all documents give the raw one."""
     ids = trusted.select(F.col(trusted.columns[0]).alias("k")).filter("k is not null").distinct()
     ids = ids.orderBy(F.xxhash64("k"), "k").limit(trusted_rows).withColumn("good", F.lit(1))
-    seen = docs.join(F.broadcast(ids), docs[key] == F.col("k"), "left").select("good", F.explode(grams(F.coalesce(docs[text], F.lit("")), buckets)).alias("bucket"))
+    every = docs.select(docs[key].alias("k"), F.coalesce(docs[text], F.lit("")).alias("t"))
+    seen = every.join(F.broadcast(ids), "k", "left").select("good", F.explode(grams(F.col("t"), buckets)).alias("bucket"))
     n = seen.groupBy("bucket").agg(F.count("*").alias("raw"), F.count("good").alias("target"))
     every = docs.sparkSession.range(buckets).select(F.col("id").cast("int").alias("bucket"))
     n = every.join(n, "bucket", "left").select("bucket", F.coalesce("raw", F.lit(0)).alias("raw"), F.coalesce("target", F.lit(0)).alias("target"))
