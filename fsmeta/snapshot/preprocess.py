@@ -36,7 +36,7 @@ def write_chunks(df: DataFrame, path: str, target_rows: int = 1_000_000, align:
     base = base.select("slice", F.coalesce(F.sum("rows").over(up), F.lit(0)).alias("base"))
     own = Window.partitionBy("slice").orderBy(source).rowsBetween(Window.unboundedPreceding, -1)
     chunk = counts.join(base, "slice").withColumn("chunk", F.floor((F.col("base") + F.coalesce(F.sum("count").over(own), F.lit(0))) / target_rows))
-    rows = df.join(chunk.select(source, "chunk"), source)
+    rows = df.join(chunk.select(source, "chunk"), source).select(*df.columns, "chunk")
     rows.repartition("chunk").sortWithinPartitions("chunk", source).write.partitionBy("chunk").option("escape", "\\").csv(path)
 
 
