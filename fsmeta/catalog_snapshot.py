@@ -70,7 +70,7 @@ def _latest(s, d):
     return vs.latest(both).select("path", "size", "snapshot_version")
 
 
-add("snapshot_latest", _latest, with_views("SELECT coalesce(v2.path, v1.path) AS path, coalesce(v2.size, v1.size) AS size, CAST(CASE WHEN v2.path IS NULL THEN 1 ELSE 2 END AS BIGINT) AS snapshot_version FROM v1 FULL JOIN v2 ON v1.path = v2.path", "fs_large", v1=_v, v2=_w))
+add("snapshot_latest", _latest, with_views("SELECT path, size, snapshot_version FROM (SELECT *, row_number() OVER (PARTITION BY path ORDER BY snapshot_version DESC, size DESC) AS n FROM (SELECT path, size, CAST(1 AS BIGINT) AS snapshot_version FROM v1 UNION ALL SELECT path, size, CAST(2 AS BIGINT) FROM v2)) WHERE n = 1", "fs_large", v1=_v, v2=_w))
 
 # --- counting
 _levels = "string_split(path, '/')[2:-2]"

@@ -36,9 +36,9 @@ def current(spark: SparkSession, path: str) -> DataFrame:
     return spark.read.parquet(f"{path}/data/version={version}").withColumn("snapshot_version", F.lit(version).cast("long"))
 
 
-def latest(records: DataFrame, key: str = "path", version: str = "snapshot_version") -> DataFrame:
-    """Of records of several versions in one table, the newest of each key."""
-    w = Window.partitionBy(key).orderBy(F.desc(version))
+def latest(records: DataFrame, key: str = "path", version: str = "snapshot_version", tie: str = "size") -> DataFrame:
+    """Of records of several versions in one table, the newest of each key; of equals the one largest in ``tie``."""
+    w = Window.partitionBy(key).orderBy(F.desc(version), F.desc(tie))
     return records.withColumn("_n", F.row_number().over(w)).filter("_n = 1").drop("_n")
 
 
