@@ -151,26 +151,100 @@ def _packed(s: list, nodes: list, bits: int):
 def chosen_rows(rows: DataFrame, key: str) -> dict:
     """Node -> least key, for nodes with several rows, if they are few enough to be listed: the others
     of such rows need not be packed again. A matter of speed only."""
-    repeated = rows.filter("node is not null").groupBy("node").agg(F.count("*").alias("n"), F.min(key).alias("k")).filter("n > 1").select("node", "k")
+    repeated = rows.groupBy("node").agg(F.count("*").alias("n"), F.min(key).alias("k")).filter("n > 1").select("node", "k")
     got = repeated.limit(LISTED // 8 + 1).toArrow()
     return dict(zip(got["node"].to_pylist(), got["k"].to_pylist(), strict=True)) if len(got) <= LISTED // 8 else {}
 
 
-def entries(docs: DataFrame, key: str, text: str, span: int, percent: int, bits: int, chosen: dict, ranks: np.ndarray | None) -> DataFrame:
+def among(few: np.ndarray, node: int) -> bool:
+    at = int(np.searchsorted(few, node))
+    return at < len(few) and int(few[at]) == node
+
+
+def needed(n: int) -> int:
+    """How many of its first shingles a set of n must share if it has a partner."""
+    return max(1, n // 5)
+
+
+def crowded(docs: DataFrame, rows: DataFrame, text: str, span: int, percent: int, bits: int) -> DataFrame:
+    """node: the nodes that can have a partner at all.
+
+    Two sets within the radius share at least k of their first n - ceil(t n) + k shingles by hash, for
+    any k. So of these a node must find k in other nodes too; those that don't are alone. An entry is
+    one number: 24 bits of the shingle (beyond its bucket) and 40 of the node. Clashes of shingles
+    only let a node stay.
+    """
+    low = (1 << 40) - 1
+
+    def pack(batches):
+        seen, held, size = set(), [], 0
+        for b in batches:
+            for s in sets_of(b.column(0), span):
+                n = len(s)
+                if not n or (node := node_of(s)) in seen:
+                    continue
+                seen.add(node)
+                first = s[: n + (-percent * n // 100) + needed(n)]
+                held.append((first, np.full(len(first), node & low, np.uint64)))
+                size += len(first)
+                if size > 1_500_000:
+                    yield ship(held)
+                    held, size = [], 0
+        if held:
+            yield ship(held)
+
+    def ship(held):
+        s, who = (np.concatenate(x) for x in zip(*held, strict=True))
+        bucket = (s >> np.uint64(64 - bits)).astype(np.int32)
+        entry = (((s >> np.uint64(40 - bits)) & np.uint64((1 << 24) - 1)) << np.uint64(40)) | who
+        order = np.argsort(bucket, kind="stable")
+        own, start = np.unique(bucket[order], return_index=True)
+        entry = entry[order]
+        return pa.RecordBatch.from_arrays([pa.array(own), pa.array([entry[a:z].tobytes() for a, z in zip(start.tolist(), [*start[1:].tolist(), len(entry)], strict=True)], pa.binary())], names=["bucket", "e"])
+
+    def count(batches):
+        held, size = [], 0
+
+        def out():
+            who, n = np.unique(np.concatenate(held), return_counts=True)
+            return pa.RecordBatch.from_arrays([pa.array(who.astype(np.int64)), pa.array(n.astype(np.int64))], names=["who", "hits"])
+
+        for g in by_bucket(batches):
+            e = np.unique(np.concatenate([np.frombuffer(x, np.uint64) for x in g["e"]]))
+            s = e >> np.uint64(40)
+            same = np.zeros(len(e) + 1, bool)
+            same[1:-1] = s[1:] == s[:-1]
+            held.append((e & np.uint64(low))[same[:-1] | same[1:]])
+            size += len(held[-1])
+            if size > 2_000_000:
+                yield out()
+                held, size = [], 0
+        if held:
+            yield out()
+
+    packed = docs.select(text).mapInArrow(pack, "bucket int, e binary")
+    hits = _grouped(packed).mapInArrow(count, "who long, hits long").groupBy("who").agg(F.sum("hits").alias("hits"))
+    nodes = rows.groupBy("node").agg(F.first("n_shingles").alias("n")).withColumn("who", F.col("node").bitwiseAND(F.lit(low)))
+    return nodes.join(hits, "who").filter(F.col("hits") >= F.greatest(F.lit(1), F.floor(F.col("n") / 5))).select("node", "n")
+
+
+def entries(docs: DataFrame, key: str, text: str, span: int, percent: int, bits: int, chosen: dict, wanted: np.ndarray | None, ranks: np.ndarray | None) -> DataFrame:
     """bucket, s, nodes: packed first shingles of every node (once a task), told apart by 42 bits.
 
     Without ``ranks`` it is for counting: no nodes, and so many shingles by hash as can come
     first once frequent ones have moved last (as a rule; more would cost only speed).
     """
-    shared = docs.sparkSession.sparkContext.broadcast((ranks, chosen))
+    shared = docs.sparkSession.sparkContext.broadcast((ranks, chosen, wanted))
 
     def pack(batches):
-        own, first_row = shared.value
+        own, first_row, few = shared.value
         seen, sets, nodes, held = set(), [], [], 0
         for b in lean(batches):
             for k, s in zip(b.column(1).to_pylist(), sets_of(b.column(0), span), strict=True):
                 if not len(s) or (node := node_of(s)) in seen or first_row.get(node, k) != k:
                     continue
+                if few is not None and not among(few, node):
+                    continue
                 seen.add(node)
                 first = s[: len(s) * ZONE // 100 + 1] if own is None else first_shingles(s, own, percent)
                 sets.append(first)
@@ -205,7 +279,7 @@ def _grouped(packed: DataFrame) -> DataFrame:
     return packed.repartition("bucket").sortWithinPartitions("bucket")
 
 
-def rank_table(docs: DataFrame, key: str, text: str, span: int, percent: int, bits: int, chosen: dict) -> np.ndarray:
+def rank_table(docs: DataFrame, key: str, text: str, span: int, percent: int, bits: int, chosen: dict, wanted: np.ndarray | None) -> np.ndarray:
     """Logarithmic frequency of shingles, by slot: 0 for one node, 1 for two or three, and so on.
 
     The table has 2^SLOTS entries whatever the input; at most ``TABLE`` shingles enter it, the most
@@ -221,7 +295,7 @@ def rank_table(docs: DataFrame, key: str, text: str, span: int, percent: int, bi
                 rank = np.minimum(np.log2(n[many]).astype(np.uint8), 40)
                 yield pa.RecordBatch.from_arrays([pa.array([g["bucket"][0]], pa.int32()), pa.array([s[many].tobytes()], pa.binary()), pa.array([rank.tobytes()], pa.binary())], names=["bucket", "s", "rank"])
 
-    packed = entries(docs, key, text, span, percent, bits, chosen, None)
+    packed = entries(docs, key, text, span, percent, bits, chosen, wanted, None)
     counted = workspace.store(_grouped(packed).mapInArrow(count, "bucket int, s binary, rank binary"), "ranks")
 
     def spread(batches):
@@ -425,11 +499,14 @@ def classes(docs: DataFrame, key: str = "doc_id", text: str = "text", span: int
 
     kind = docs.schema[key].dataType.simpleString()
     rows = workspace.store(docs.select(key, text).mapInArrow(describe, f"`{key}` {kind}, n_shingles long, node long"), "rows")
-    chosen = chosen_rows(rows, key)
-    ranks = rank_table(docs, key, text, span, percent, bits, chosen)
-    found = workspace.store(regions(entries(docs, key, text, span, percent, bits, chosen, ranks)), "regions")
-    del ranks, chosen
-    sizes = rows.filter("node is not null").groupBy("node").agg(F.first("n_shingles").alias("n"))
+    # nodes that can have a partner; where they are few their list keeps all others out of what follows
+    sizes = workspace.store(crowded(docs, rows.filter("node is not null"), text, span, percent, bits), "candidates")
+    listed = sizes.select("node").limit(LISTED + 1).toArrow()["node"].to_numpy()
+    wanted = np.sort(listed) if len(listed) <= LISTED else None
+    chosen = chosen_rows(rows.join(sizes.select("node"), "node", "left_semi"), key)
+    ranks = rank_table(docs, key, text, span, percent, bits, chosen, wanted)
+    found = workspace.store(regions(entries(docs, key, text, span, percent, bits, chosen, wanted, ranks)), "regions")
+    del ranks, chosen, wanted, listed
     own = workspace.store(members(found).join(sizes, "node"), "in_regions")
     texts = workspace.store(texts_of(docs, own.select("node").distinct(), text, span), "texts")
     near = 100 * F.col("shared") >= percent * (F.col("na") + F.col("nb") - F.col("shared"))
