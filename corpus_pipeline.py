@@ -58,7 +58,7 @@ def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def write_ids(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """doc_id, start, n_tokens, ids_crc32 of each document, read back from the id files."""
-    return token_output.store_tokens(docs)
+    return token_output.store_tokens(docs, cache_entries=300_000)
 
 
 STAGES = [

@@ -135,8 +135,9 @@ class _Shard:
         return (self.part, self.seq, self.uri + ".ids", self.uri + ".idx", *ends, len(keys), self.n_ids)
 
 
-def write_tokens(docs: DataFrame, uri: str, tokenizer: str = "byte_bpe_50k.json", end_id: int | None = 2, key: str = "doc_id", text: str = "text", shard_ids: int = 1 << 26) -> DataFrame:
-    """Write the shards under ``uri`` and return their manifest (also stored there)."""
+def write_tokens(docs: DataFrame, uri: str, tokenizer: str = "byte_bpe_50k.json", end_id: int | None = 2, key: str = "doc_id", text: str = "text", shard_ids: int = 1 << 26, cache_entries: int = 1_200_000) -> DataFrame:
+    """Write the shards under ``uri`` and return their manifest (also stored there). A worker keeps
+    ``cache_entries`` pre-tokens at most (about 200 bytes each)."""
     spark, width = docs.sparkSession, 2 if pretokens.load(tokenizer).get_vocab_size() <= 1 << 16 else 4
     rows = docs.select(docs[key].cast("long").alias("k"), F.coalesce(docs[text], F.lit("")).alias("t"))
     rows = rows.repartitionByRange(F.col("k"), F.xxhash64("t")).sortWithinPartitions("k", F.xxhash64("t"))
@@ -148,7 +149,7 @@ def write_tokens(docs: DataFrame, uri: str, tokenizer: str = "byte_bpe_50k.json"
         part, enc, shard, seq, done = TaskContext.get().partitionId(), None, None, 0, []
         tail = b"" if end_id is None else np.array([end_id], f"<u{width}").tobytes()
         for b in lean(batches, 2048):
-            enc = enc or Encoder(tokenizer, width)
+            enc = enc or Encoder(tokenizer, width, cache_entries)
             keys, texts = b.column(0).to_pylist(), b.column(1).to_pylist()
             for lo, hi in slices(texts):
                 for k, ids in zip(keys[lo:hi], enc.encode(texts[lo:hi]), strict=True):
