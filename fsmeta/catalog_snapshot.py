@@ -229,3 +229,42 @@ add("grouping_sets_usage", lambda s, d: L(s, d).select("uid", "gid", "size").gro
 add("rollup_paths", lambda s, d: L(s, d).select(*[F.split("path", "/")[i].alias(n) for i, n in ((2, "region"), (3, "nation"), (4, "home"))], "size").rollup("region", "nation", "home").agg(F.count("*").alias("files"), F.sum("size").alias("bytes")), with_views("SELECT region, nation, home, count(*) AS files, CAST(sum(size) AS BIGINT) AS bytes FROM (SELECT string_split(path, '/')[3] AS region, string_split(path, '/')[4] AS nation, string_split(path, '/')[5] AS home, size FROM fs_large) GROUP BY ROLLUP (region, nation, home)", "fs_large"))
 add("cube_usage", lambda s, d: L(s, d).cube("gid", "type", "fileset").agg(F.count("*").alias("files"), F.sum("size").alias("bytes")), with_views("SELECT gid, type, fileset, count(*) AS files, CAST(sum(size) AS BIGINT) AS bytes FROM fs_large GROUP BY CUBE (gid, type, fileset)", "fs_large"))
 add("chat_usage", lambda s, d: fx.fs_chats(s, d).groupBy("gid").agg(F.count("*").alias("files"), F.sum("size").alias("bytes")), with_views("SELECT gid, count(*) AS files, CAST(sum(size) AS BIGINT) AS bytes FROM fs_chats GROUP BY 1", "fs_chats"))
+
+
+def _validity(s, d):
+    """Which version each object change of 1999 falls into: an interval join on versions' validity."""
+    v = s.createDataFrame([(1, "1990-01-01", "1999-07-01"), (2, "1999-07-01", "2100-01-01")], "version long, begins string, ends string")
+    v = v.select("version", F.col("begins").cast("timestamp_ntz").alias("begins"), F.col("ends").cast("timestamp_ntz").alias("ends"))
+    p = L(s, d).filter((F.col("ctime") >= F.lit("1999-01-01").cast("timestamp_ntz")) & (F.col("ctime") < F.lit("2000-01-01").cast("timestamp_ntz")))
+    return p.join(F.broadcast(v), (p.ctime >= v.begins) & (p.ctime < v.ends)).groupBy("version").agg(F.count("*").alias("files"))
+
+
+def _ranked(s, d):
+    from pyspark.sql import Window
+
+    u = q.per_user(L(s, d))
+    w = Window.orderBy(F.desc("bytes"), "uid")  # one row a user
+    return u.select("uid", F.rank().over(w).alias("rank"), F.ntile(4).over(w).alias("quarter"), F.round(F.percent_rank().over(w), 9).alias("share"))
+
+
+def _top_each(s, d):
+    from pyspark.sql import Window
+
+    w = Window.partitionBy("gid").orderBy(F.desc("size"), "path")
+    return L(s, d).withColumn("n", F.row_number().over(w)).filter("n <= 3").select("gid", "n", "path", "size")
+
+
+def _set_ops(s, d):
+    a, b = (v.select("path") for v in fx.versions(s, d))
+    parts = {"both": a.intersect(b), "only_before": a.subtract(b), "only_after": b.subtract(a)}
+    tagged = [p.select(F.lit(k).alias("tag")) for k, p in parts.items()]
+    return tagged[0].union(tagged[1]).union(tagged[2]).agg(*[F.count_if(F.col("tag") == k).alias(k) for k in parts])
+
+
+add("interval_join_versions", _validity, with_views("SELECT CAST(CASE WHEN ctime < TIMESTAMP '1999-07-01' THEN 1 ELSE 2 END AS BIGINT) AS version, count(*) AS files FROM fs_large WHERE ctime >= TIMESTAMP '1999-01-01' AND ctime < TIMESTAMP '2000-01-01' GROUP BY 1", "fs_large"))
+add("users_ranked", _ranked, with_views("SELECT uid, rank() OVER w AS rank, ntile(4) OVER w AS quarter, round(percent_rank() OVER w, 9) AS share FROM (SELECT uid, sum(size) AS bytes FROM fs_large GROUP BY 1) WINDOW w AS (ORDER BY bytes DESC, uid)", "fs_large"))
+add("largest_per_group", _top_each, with_views("SELECT gid, n, path, size FROM (SELECT *, CAST(row_number() OVER (PARTITION BY gid ORDER BY size DESC, path) AS INT) AS n FROM fs_large) WHERE n <= 3", "fs_large"))
+add("users_per_directory", lambda s, d: q.directory_sizes(L(s, d), "uid").groupBy(F.substring_index("dir", "/", 4).alias("top")).agg(F.countDistinct("uid").alias("users")), with_views("SELECT array_to_string(string_split(path, '/')[1:4], '/') AS top, count(DISTINCT uid) AS users FROM fs_large GROUP BY 1", "fs_large"))
+add("version_sets", _set_ops, with_views("SELECT (SELECT count(*) FROM (SELECT path FROM v1 INTERSECT SELECT path FROM v2)) AS \"both\", (SELECT count(*) FROM (SELECT path FROM v1 EXCEPT SELECT path FROM v2)) AS only_before, (SELECT count(*) FROM (SELECT path FROM v2 EXCEPT SELECT path FROM v1)) AS only_after", "fs_large", v1=_v, v2=_w))
+add("q09_orphans_not_in", lambda s, d: s.sql("SELECT path, uid FROM {p} WHERE uid NOT IN (SELECT uid FROM {a})", p=L(s, d), a=fx.active_users(s, d)), R["q09_orphans"][1])
+add("q06_aggregate_route", lambda s, d: q.search(ag.totals(L(s, d), 0, 4, ("dir",)), [q.Match("file_count", "gt", 650)]).select("id", F.col("file_count").alias("n")), R["q06_over_limit"][1])
