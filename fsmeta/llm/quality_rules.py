@@ -20,8 +20,7 @@ from pyspark.sql import functions as F
 from fsmeta.llm.common import WORD, let, words
 
 TOKENS = "[\\p{L}\\p{M}\\p{N}]+|[^\\p{L}\\p{M}\\p{N}\\x20\\x09-\\x0D]+"
-SYMBOLS = "#*$%&|<>"
-BLANKS = " \t\n\x0b\x0c\r"
+SYMBOLS = "[#*$%&|<>]"
 
 
 def repeated_words(w: Column, span: int = 5) -> Column:
@@ -66,8 +65,8 @@ def base(docs: DataFrame, key: str = "doc_id", text: str = "text", keep: tuple[s
         key,
         *keep,
         F.size("_w").cast("long").alias("n_words"),
-        F.char_length(F.translate("_t", BLANKS, "")).cast("long").alias("word_chars"),
-        (F.char_length("_t") - F.char_length(F.translate("_t", SYMBOLS, ""))).cast("long").alias("n_symbols"),
+        F.char_length(F.array_join("_w", "")).cast("long").alias("word_chars"),
+        F.regexp_count("_t", F.lit(SYMBOLS)).cast("long").alias("n_symbols"),
         repeats.cast("long").alias("n_dup_lines"),
         repeated_words(F.col("_w")).alias("n_repeat_words"),
         "_t",
