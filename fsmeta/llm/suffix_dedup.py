@@ -12,6 +12,7 @@ document. Only suffixes that can have an equal are sorted:
 3. The windows of all contexts of an anchor are ordered by most-significant-digit passes, first by
    anchor and offset, then by one digit of ``DIGIT`` bytes at a time, only up to ``length`` bytes;
    classes of one drop out after each pass. The classes left are exactly the repeated windows.
+   Anchors with very many different contexts are not gathered: their windows meet by hash instead.
 4. Repeated windows go back to their documents as spans.
 
 Defined results: null text is an empty text; texts shorter than ``length`` keep every byte;
@@ -107,7 +108,9 @@ def anchors(docs: DataFrame, text: str, length: int, rid: Column | None = None)
     return docs.select(*cols).mapInArrow(find, "h long, rid binary" if named else "h long, n long")
 
 
-CONTEXT = "h long, cid binary, off int, windows int, ctx binary, rid binary, lo long"
+CONTEXT = "h long, cid binary, off int, windows int, fresh boolean, ctx binary, rid binary, lo long"
+#: Contexts that an anchor may bring to one task; the windows of anchors with more are counted as rows instead.
+CROWD = 100_000
 
 
 def contexts(docs: DataFrame, text: str, length: int, rid: Column, repeated: DataFrame, listed: int) -> DataFrame:
@@ -148,8 +151,8 @@ def contexts(docs: DataFrame, text: str, length: int, rid: Column, repeated: Dat
                 if len(seen) > 500_000:
                     seen = set()
                 yield pa.RecordBatch.from_arrays(
-                    [pa.array(g), pa.array(cids, pa.binary()), pa.array(off), pa.array((e - f + 1).astype(np.int32)), pa.array(ctxs, pa.binary()), rids.take(pa.array(t + lo)), pa.array(f - starts[t] + places[t])],
-                    names=["h", "cid", "off", "windows", "ctx", "rid", "lo"],
+                    [pa.array(g), pa.array(cids, pa.binary()), pa.array(off), pa.array((e - f + 1).astype(np.int32)), pa.array([c is not None for c in ctxs]), pa.array(ctxs, pa.binary()), rids.take(pa.array(t + lo)), pa.array(f - starts[t] + places[t])],
+                    names=["h", "cid", "off", "windows", "fresh", "ctx", "rid", "lo"],
                 )
 
     return rows.mapInArrow(cut, CONTEXT)
@@ -205,8 +208,46 @@ def _solve(groups: list[dict], length: int) -> pa.RecordBatch | None:
     return pa.RecordBatch.from_arrays([pa.array([c for c, _ in cids], pa.binary()), pa.array([r for _, r in cids], pa.binary())], names=["cid", "runs"])
 
 
-def repeated_runs(found: DataFrame, length: int, held_bytes: int = 4 << 20) -> DataFrame:
+def repeated_runs(found: DataFrame, length: int, held_bytes: int = 4 << 20, crowd: int | None = None) -> DataFrame:
     """cid and the runs (first and last window) of it that occur elsewhere."""
+    many = found.filter("fresh").groupBy("h").agg(F.count("*").alias("n")).filter(F.col("n") > (CROWD if crowd is None else crowd)).select("h")
+    many = workspace.store(many, "crowds")
+    if many.isEmpty():
+        return _sorted_runs(found, length, held_bytes)
+    # at most one anchor for every ``crowd`` contexts
+    rest = found.join(F.broadcast(many), "h", "left_anti")
+    return _sorted_runs(rest, length, held_bytes).unionByName(_counted_runs(found.join(F.broadcast(many), "h", "left_semi"), length))
+
+
+def _counted_runs(found: DataFrame, length: int) -> DataFrame:
+    """The same for anchors with very many contexts: every window is a row, and equal ones meet by hash,
+    added up before the shuffle."""
+    times = found.groupBy("cid").agg(F.count("*").alias("times"))
+    once = found.filter("fresh").select("cid", "windows", "ctx").dropDuplicates(["cid"]).join(times, "cid")
+
+    def spread(batches):
+        for b in lean(batches, 64):
+            for cid, n, ctx, times in zip(*(b.column(c).to_pylist() for c in ("cid", "windows", "ctx", "times")), strict=True):
+                w = [hashlib.blake2b(ctx[j : j + length], digest_size=16).digest() for j in range(n)]
+                yield pa.RecordBatch.from_arrays([pa.array([cid] * n, pa.binary()), pa.array(range(n), pa.int32()), pa.array(w, pa.binary()), pa.array([times] * n, pa.int64())], names=["cid", "j", "w", "times"])
+
+    rows = once.select("cid", "windows", "ctx", "times").mapInArrow(spread, "cid binary, j int, w binary, times long")
+    same = rows.groupBy("w").agg(F.sum("times").alias("all")).filter("all > 1").select("w")
+    per = rows.join(same, "w").groupBy("cid").agg(F.sort_array(F.collect_list("j")).alias("js"))
+
+    def pack(batches):
+        for b in lean(batches):
+            out = []
+            for js in b.column(1).to_pylist():
+                j = np.array(js, np.int32)
+                new = np.flatnonzero(np.diff(j) > 1)
+                out.append(np.stack([j[np.append(0, new + 1)], j[np.append(new, len(j) - 1)]], 1).astype(np.int32).tobytes())
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(out, pa.binary())], names=["cid", "runs"])
+
+    return per.mapInArrow(pack, "cid binary, runs binary")
+
+
+def _sorted_runs(found: DataFrame, length: int, held_bytes: int) -> DataFrame:
 
     def reduce(batches):
         groups, held, now = [], 0, None

@@ -331,11 +331,12 @@ def repeats_by_hand(texts, length):
     return out
 
 
-@pytest.mark.parametrize("length,listed,span_bytes,piece", [(200, 10**6, 10**8, 1 << 19), (200, 0, 0, 1000), (40, 10**6, 0, 300), (7, 0, 10**8, 100)])
-def test_suffix_dedup(spark, docs, none, rows, monkeypatch, length, listed, span_bytes, piece):
+@pytest.mark.parametrize("length,listed,span_bytes,piece,crowd", [(200, 10**6, 10**8, 1 << 19, 10**5), (200, 0, 0, 1000, 1), (40, 10**6, 0, 300, 2), (7, 0, 10**8, 100, 10**5)])
+def test_suffix_dedup(spark, docs, none, rows, monkeypatch, length, listed, span_bytes, piece, crowd):
     from fsmeta.llm import suffix_dedup as sd
 
     monkeypatch.setattr(sd, "PIECE", piece)
+    monkeypatch.setattr(sd, "CROWD", crowd)
     passage = text_of(30, 60)
     extra = [(200, "ab" * 300 + passage), (201, passage + " é" * 50), (202, "q" + passage[:150]), (203, passage[5:] + passage[5:])]
     every = [(k, t) for k, t, *_ in rows if k != 10 and k != 15] + extra
