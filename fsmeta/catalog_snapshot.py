@@ -9,7 +9,7 @@ from fsmeta.fixtures import with_views
 from fsmeta.functions.paths import escape_path, mode_text, unescape_path
 from fsmeta.index import search as q
 from fsmeta.sketch import base, error
-from fsmeta.sketch.exact import exact, exact_spilling
+from fsmeta.sketch.exact import exact_spilling
 from fsmeta.snapshot import aggregate as ag
 from fsmeta.snapshot import counting as ct
 from fsmeta.snapshot import preprocess as pp

@@ -10,7 +10,6 @@ from fsmeta.monitor import batching, ingest, run, setbased
 from fsmeta.monitor import reduce as rd
 from fsmeta.monitor.notify import Publisher, to_requests
 from fsmeta.monitor.state import CostCounters, DictStore, Event, NodeRow, StateManager, reduce_batch
-from fsmeta.plans import workspace
 from fsmeta.workloads import events as ev
 
 
