@@ -202,12 +202,19 @@ def crowded(docs: DataFrame, rows: DataFrame, text: str, span: int, percent: int
         entry = entry[order]
         return pa.RecordBatch.from_arrays([pa.array(own), pa.array([entry[a:z].tobytes() for a, z in zip(start.tolist(), [*start[1:].tolist(), len(entry)], strict=True)], pa.binary())], names=["bucket", "e"])
 
+    slices = max(64, 1 << (bits - 4))
+
     def count(batches):
         held, size = [], 0
 
         def out():
             who, n = np.unique(np.concatenate(held), return_counts=True)
-            return pa.RecordBatch.from_arrays([pa.array(who.astype(np.int64)), pa.array(n.astype(np.int64))], names=["who", "hits"])
+            part = (who % np.uint64(slices)).astype(np.int32)
+            order = np.argsort(part, kind="stable")
+            own, start = np.unique(part[order], return_index=True)
+            cut = list(zip(start.tolist(), [*start[1:].tolist(), len(part)], strict=True))
+            who, n = who[order].astype(np.int64), n[order].astype(np.int64)
+            return pa.RecordBatch.from_arrays([pa.array(own), *(pa.array([x[a:z].tobytes() for a, z in cut], pa.binary()) for x in (who, n))], names=["bucket", "who", "hits"])
 
         for g in by_bucket(batches):
             e = np.unique(np.concatenate([np.frombuffer(x, np.uint64) for x in g["e"]]))
@@ -219,11 +226,18 @@ def crowded(docs: DataFrame, rows: DataFrame, text: str, span: int, percent: int
             if size > 2_000_000:
                 yield out()
                 held, size = [], 0
-        if held:
+        if size:
             yield out()
 
+    def add_up(batches):
+        for g in by_bucket(batches):
+            who, at = np.unique(np.concatenate([np.frombuffer(x, np.int64) for x in g["who"]]), return_inverse=True)
+            hits = np.bincount(at, np.concatenate([np.frombuffer(x, np.int64) for x in g["hits"]])).astype(np.int64)
+            yield pa.RecordBatch.from_arrays([pa.array(who), pa.array(hits)], names=["who", "hits"])
+
     packed = docs.select(text).mapInArrow(pack, "bucket int, e binary")
-    hits = _grouped(packed).mapInArrow(count, "who long, hits long").groupBy("who").agg(F.sum("hits").alias("hits"))
+    counted = _grouped(packed).mapInArrow(count, "bucket int, who binary, hits binary")
+    hits = _grouped(counted).mapInArrow(add_up, "who long, hits long")
     nodes = rows.groupBy("node").agg(F.first("n_shingles").alias("n")).withColumn("who", F.col("node").bitwiseAND(F.lit(low)))
     return nodes.join(hits, "who").filter(F.col("hits") >= F.greatest(F.lit(1), F.floor(F.col("n") / 5))).select("node", "n")
 
