@@ -48,7 +48,7 @@ class Node:
         self.points, self.length, self.linked = 0.0, 0, 0
 
 
-def classify(node: Node, raw: str) -> None:
+def classify(node: Node, raw: str, by_words: bool = True) -> None:
     tag = node.tag
     node.away, node.frame, node.article = tag in AWAY, tag in FRAME, tag in ("article", "main")
     if not raw or raw.isspace():
@@ -65,12 +65,12 @@ def classify(node: Node, raw: str) -> None:
         elif name == "hidden" or name == "aria-hidden" and value == "true" or name == "style" and "display:none" in value.replace(" ", "").lower():
             node.away = True
     if words and tag not in ("html", "body", "article", "main"):
-        node.away |= bool(words & WORDS_AWAY)
+        node.away |= by_words and bool(words & WORDS_AWAY)
         node.frame |= bool(words & WORDS_FRAME)
         node.article |= tag in ("div", "section", "td") and bool(words & WORDS_ARTICLE) and not node.away
 
 
-def parse(html: str) -> Node:
+def parse(html: str, by_words: bool = True) -> Node:
     """Tree of elements and texts; texts are decoded strings among the children."""
     root = now = Node("html", None)
     at, n = 0, len(html)
@@ -122,7 +122,7 @@ def parse(html: str) -> Node:
         if now.tag == "head" and tag in BLOCK:
             now = now.parent
         child = Node(tag, now)
-        classify(child, m[3])
+        classify(child, m[3], by_words)
         now.children.append(child)
         if tag not in VOID and not m[3].rstrip().endswith("/"):
             now = child
@@ -185,9 +185,14 @@ def text_of(nodes: list[Node]) -> str:
 
 
 def main_text(html: str | None) -> str:
+    """Where class words would take out everything, they are not heeded."""
     if not html:
         return ""
-    root = parse(html)
+    return _main_text(html, True) or _main_text(html, False)
+
+
+def _main_text(html: str, by_words: bool) -> str:
+    root = parse(html, by_words)
     nodes = ordered(root)
     score(nodes)
     worth = lambda x: (x.points + (25 if x.article else 0) * bool(x.length)) * (1 - density(x))

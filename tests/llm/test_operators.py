@@ -85,6 +85,7 @@ def test_html():
     assert main_text(page) == "Head&line First bold para, with é text. Second link one broken item one item two"
     assert main_text(None) == "" and main_text("") == "" and main_text("<div") == ""
     assert main_text("<p>plain words only") == "plain words only"
+    assert main_text('<div class="ad-free page"><p>All of the text, in here.</p></div>') == "All of the text, in here."
     deep = "<div>" * 20_000 + "<p>deep text, here</p>" + "</div>" * 20_000
     assert main_text(deep) == "deep text, here"
     plain = "<div id=content><div class=post>" + "".join(f"<p>Paragraph {i}, which goes on for a while, so that it counts as text of its own.</p>" for i in range(4)) + "</div></div><div class=footer><a href=a>about</a></div>"
