@@ -61,7 +61,7 @@ def main() -> None:
     rates = {}
     loads = {"mixed_ops": (ev.mixed_ops, ev.roots, 1400), "create_delete": (ev.create_delete, ev.roots, 1200), "tree_read": (ev.tree_read, None, 1000)}
     for name, (make, tree, batch) in loads.items():
-        for sources in (1, 2, 4):
+        for sources in (1, 4):
             events = make(spark, sf, sources).cache()
             n = events.count()
             nodes = (tree(events) if tree else ev.read_tree(spark, sf, sources)).cache()
