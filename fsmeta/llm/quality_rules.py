@@ -21,6 +21,8 @@ from fsmeta.llm.common import WORD, let, words
 
 TOKENS = "[\\p{L}\\p{M}\\p{N}]+|[^\\p{L}\\p{M}\\p{N}\\x20\\x09-\\x0D]+"
 SYMBOLS = "[#*$%&|<>]"
+#: Trusted keys (8 bytes each) that are broadcast at most; more are joined by a shuffle.
+LISTED = 2_000_000
 
 
 def repeated_words(w: Column, span: int = 5) -> Column:
@@ -85,13 +87,18 @@ def grams(text: Column, buckets: int) -> Column:
     return let(hashed, both)
 
 
-def log_ratios(docs: DataFrame, trusted: DataFrame, key: str = "doc_id", text: str = "text", buckets: int = 1 << 14, trusted_rows: int = 20_000) -> DataFrame:
-    """bucket, lr for every bucket. Of the ``trusted`` keys at most ``trusted_rows`` (by hash) give
-    the target multinomial; all documents give the raw one."""
-    ids = trusted.select(F.col(trusted.columns[0]).alias("k")).filter("k is not null").distinct()
-    ids = ids.orderBy(F.xxhash64("k"), "k").limit(trusted_rows).withColumn("good", F.lit(1))
+def log_ratios(docs: DataFrame, trusted: DataFrame, key: str = "doc_id", text: str = "text", buckets: int = 1 << 14, listed: int = LISTED) -> DataFrame:
+    """bucket, lr for every bucket. All documents give the raw multinomial, those with a
+    ``trusted`` key the target one."""
+    ids = trusted.select(F.col(trusted.columns[0]).alias("k")).filter("k is not null").distinct().withColumn("good", F.lit(1))
     every = docs.select(docs[key].alias("k"), F.coalesce(docs[text], F.lit("")).alias("t"))
-    seen = every.join(F.broadcast(ids), "k", "left").select("good", F.explode(grams(F.col("t"), buckets)).alias("bucket"))
+    if ids.count() <= listed:
+        marked = every.join(F.broadcast(ids), "k", "left")
+    else:
+        # null keys match nothing and would all meet in one task; texts are not sorted
+        keyed = every.filter("k is not null").join(ids.hint("shuffle_hash"), "k", "left")
+        marked = keyed.unionByName(every.filter("k is null").withColumn("good", F.lit(None).cast("int")))
+    seen = marked.select("good", F.explode(grams(F.col("t"), buckets)).alias("bucket"))
     n = seen.groupBy("bucket").agg(F.count("*").alias("raw"), F.count("good").alias("target"))
     every = docs.sparkSession.range(buckets).select(F.col("id").cast("int").alias("bucket"))
     n = every.join(n, "bucket", "left").select("bucket", F.coalesce("raw", F.lit(0)).alias("raw"), F.coalesce("target", F.lit(0)).alias("target"))
