@@ -4,7 +4,8 @@ Each class has a mean and a shrinkage covariance: its own covariance blended wit
 diagonal, the blend chosen by held-back log loss. A score is the difference of the classes'
 Mahalanobis log densities through cached Cholesky factors, plus the log prior, put through a
 monotone logistic calibration fitted on held-back rows. The model is fitted on a bounded sample:
-at most ``per_class`` labelled rows of each class, picked by hash of the key.
+at most ``per_class`` labelled rows of each class, picked by hash of the key. Where classes are
+mixed, rows weigh as many labelled rows as they stand for, so the sample's mix has no effect.
 
 Defined results: null and empty texts are scored by their (zero) statistics; rows with a null
 key or label are never learned from; with labels of fewer than two classes every score is the
@@ -95,36 +96,39 @@ def squash(z: np.ndarray) -> np.ndarray:
     return np.sign(z) * np.log1p(np.abs(z))
 
 
-def calibrate(z: np.ndarray, y: np.ndarray, steps: int = 60) -> tuple[float, float]:
-    """Logistic fit of y on z by damped Newton steps."""
+def calibrate(z: np.ndarray, y: np.ndarray, weight: np.ndarray, steps: int = 60) -> tuple[float, float]:
+    """Logistic fit of y on z, rows weighted, by damped Newton steps."""
     a = np.stack([z, np.ones_like(z)], 1)
     w = np.array([1.0, 0.0])
     for _ in range(steps):
         p = 1 / (1 + np.exp(-np.clip(a @ w, -30, 30)))
-        h = (a * (p * (1 - p))[:, None]).T @ a + 1e-2 * np.eye(2)
-        w -= np.clip(np.linalg.solve(h, a.T @ (p - y) + 1e-2 * (w - [1, 0])), -1, 1)
+        h = (a * (weight * p * (1 - p))[:, None]).T @ a + 1e-2 * np.eye(2)
+        w -= np.clip(np.linalg.solve(h, a.T @ (weight * (p - y)) + 1e-2 * (w - [1, 0])), -1, 1)
     return max(float(w[0]), 0.05), float(w[1])
 
 
-def train(x: np.ndarray, y: np.ndarray, prior: float, blends: tuple[float, ...] = (0.02, 0.05, 0.1, 0.2, 0.4)) -> Model:
+def train(x: np.ndarray, y: np.ndarray, prior: float, weight: np.ndarray | None = None, blends: tuple[float, ...] = (0.02, 0.05, 0.1, 0.2, 0.4)) -> Model:
+    """``weight``: labelled rows that each row stands for (1 by default)."""
     if len(set(y.tolist())) < 2:
         return Model(prior)
+    weight = np.ones(len(x)) if weight is None else weight / weight.mean()
     held = np.arange(len(x)) % 4 == 3
     if min(np.bincount(y[held], minlength=2).min(), np.bincount(y[~held], minlength=2).min()) < 2:
         held[:] = False
 
     def build(rows: np.ndarray, blend: float) -> Model:
         xs, ys = x[rows], y[rows]
-        pooled = np.maximum(xs.var(0), 1e-4)
+        mean = np.average(xs, axis=0, weights=weight[rows])
+        pooled = np.maximum(np.average((xs - mean) ** 2, axis=0, weights=weight[rows]), 1e-4)
         return Model(prior, Gaussian.fit(xs[ys == 1], pooled, blend), Gaussian.fit(xs[ys == 0], pooled, blend))
 
     best = None
     check = held if held.any() else ~held
     for blend in blends:
         m = build(~held, blend)
-        m.slope, m.shift = calibrate(squash(m.margin(x[check])), y[check])
+        m.slope, m.shift = calibrate(squash(m.margin(x[check])), y[check], weight[check])
         p = np.clip(m.score(x[check]), 1e-9, 1 - 1e-9)
-        loss = -(y[check] * np.log(p) + (1 - y[check]) * np.log(1 - p)).mean()
+        loss = -np.average(y[check] * np.log(p) + (1 - y[check]) * np.log(1 - p), weights=weight[check])
         if best is None or loss < best[0]:
             best = (loss, blend, m.slope, m.shift)
     m = build(np.ones(len(x), bool), best[1])
@@ -150,7 +154,9 @@ def fit(docs: DataFrame, labels: DataFrame, learn: Column, key: str = "doc_id",
     sample = chosen.mapInArrow(measure, f"k {kind}, y int, x array<double>").toArrow().sort_by([("k", "ascending"), ("y", "ascending")])
     if not len(sample):
         return Model(0.5)
-    return train(np.array(sample["x"].to_pylist()), sample["y"].to_numpy(), prior)
+    y = sample["y"].to_numpy()
+    stands_for = [max(1.0, sizes.get(c, 0) / per_class) for c in (0, 1)]
+    return train(np.array(sample["x"].to_pylist()), y, prior, np.array(stands_for)[y])
 
 
 def score(docs: DataFrame, model: Model, text: str = "text", keep: tuple[str, ...] | None = None, name: str = "score") -> DataFrame:

@@ -1,5 +1,6 @@
 """Nothing of the job is left out: inputs above the former caps."""
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
@@ -16,3 +17,16 @@ def test_target_counts_every_trusted_document(spark, listed):
     some = {r["bucket"]: r["lr"] for r in qr.log_ratios(d.unionByName(more), d.select("doc_id"), buckets=64, listed=listed).collect()}
     other = {b for r in more.select(qr.grams(F.coalesce("text", F.lit("")), 64).alias("g")).collect() for b in r["g"]}
     assert len(other) > 0 and all((v < 0) == (b in other) for b, v in some.items())
+
+
+def test_scores_keep_the_class_sizes(spark):
+    """Texts that say nothing of their class are scored by its share, however few rows are sampled."""
+    from fsmeta.llm import quality_classifier as qc
+
+    rng = np.random.default_rng(3)
+    rows = [(i, " ".join(rng.choice(["alpha", "be", "gamma,", "D", "8"], int(rng.integers(20, 60)))), int(i % 10 > 0)) for i in range(3000)]
+    d = spark.createDataFrame(rows, "doc_id long, text string, quality int")
+    for per_class in (3000, 300):
+        m = qc.fit(d, d, F.lit(True), per_class=per_class)
+        scores = [r["score"] for r in qc.score(d, m, keep=("doc_id",)).collect()]
+        assert abs(np.mean(scores) - 0.9) < 0.05
