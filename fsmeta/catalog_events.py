@@ -95,6 +95,19 @@ add("to_update", lambda s, d: _lists(s, d).filter("action = 'update'").select("s
 add("to_delete", lambda s, d: _lists(s, d).filter("action = 'delete'").select("source_id", "fid", "path"), stack("SELECT pa.source_id, pa.fid, pa.path FROM pa LEFT JOIN p1 ON p1.source_id = pa.source_id AND p1.fid = pa.fid WHERE NOT pa.is_dir AND pa.path IS DISTINCT FROM p1.path", **_TWO))
 
 
+def _stateful_files(s, d):
+    """The index after the second half of the events; the node table has the files of the first half."""
+    c = ev.changes(s, d)
+    cut = c.agg((F.max("seq") / 2).alias("m")).first()["m"]
+    before = setbased.apply_events(ev.changes_tree(s, d), c.filter(F.col("seq") <= cut)).drop("last_seq")
+    a = run.monitor(c.filter(F.col("seq") > cut), before, True, BATCH)
+    index = setbased.index_of(setbased.resolve_paths(before)).withColumn("last_seq", F.lit(-1).cast("long"))
+    return store.apply(index, a).select("source_id", "fid", "path", "size")
+
+
+add("monitor_stateful_files", _stateful_files, stack("SELECT source_id, fid, path, size FROM p1 WHERE NOT is_dir", **_FULL))
+
+
 def _descendants(s, d):
     c = ev.changes(s, d)
     plain = c.filter(~rd.dir_rename())

@@ -29,7 +29,7 @@ def _ordered(events: DataFrame, nodes: DataFrame | None, parts: int | None) -> D
 
 def _drive(events, nodes, reduce, max_events, drop, max_dirs, stat_mode, parts, want):
     def work(batches):
-        state, pending, source, number = None, [], None, 0
+        state, pending, source, number, loaded = None, [], None, 0, []
 
         def rows(made):
             if made:
@@ -50,12 +50,16 @@ def _drive(events, nodes, reduce, max_events, drop, max_dirs, stat_mode, parts,
                 if row[0] != source:
                     if source is not None:
                         yield from finish()
-                    source, number, state = row[0], 0, StateManager(max_dirs=max_dirs, stat_mode=stat_mode)
+                    source, number, loaded, state = row[0], 0, [], StateManager(max_dirs=max_dirs, stat_mode=stat_mode)
                 e = Event(*row[1:])
                 if e.op == "NODE":
-                    shown = None
-                    state.load(e.fid, NodeRow(e.parent_fid, e.name, e.is_dir, shown, e.size))
+                    state.load(e.fid, NodeRow(e.parent_fid, e.name, e.is_dir, None, e.size))
+                    if not e.is_dir:
+                        loaded.append(e.fid)
                     continue
+                if loaded:  # all nodes of the source are in
+                    state.settle(loaded)
+                    loaded = []
                 state.counters.events_in += 1
                 if e.op in drop:
                     state.counters.opens_dropped += 1

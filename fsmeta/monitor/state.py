@@ -131,6 +131,20 @@ class StateManager:
     def load(self, fid: int, node: NodeRow) -> None:
         self.store.put(fid, node)
 
+    def settle(self, fids: Iterable[int]) -> None:
+        """Files of a baseline, loaded or below what was loaded, are taken to be in the index at their present path."""
+        todo, seen = list(fids), set()
+        while todo:
+            fid = todo.pop()
+            node = self.store.get(fid)
+            if node is None or fid in seen:
+                continue
+            seen.add(fid)
+            if node.is_dir:
+                todo += self.store.children(fid)
+            elif node.shown is None:
+                self.store.put(fid, node._replace(shown=self.path(fid)))
+
     def node(self, fid: int | None) -> NodeRow | None:
         """From the state, or once from outside."""
         if fid is None:

@@ -85,7 +85,7 @@ class MetadataStateProcessor(StatefulProcessor):
         got = pd.concat(list(rows)).sort_values("seq")
         manager = StateManager(MapStore(self.nodes, self.below))
         none = lambda v, kind: None if pd.isna(v) else kind(v)
-        out, pending = [], []
+        out, pending, loaded = [], [], []
 
         def close():
             nonlocal pending, batch
@@ -97,13 +97,18 @@ class MetadataStateProcessor(StatefulProcessor):
             e = Event(int(r.seq), r.op, int(r.fid), bool(r.is_dir), none(r.parent_fid, int), none(r.name, str), none(r.size, int))
             if e.op == "NODE":
                 manager.load(e.fid, NodeRow(e.parent_fid, e.name, e.is_dir, None, e.size))
+                loaded.append(e.fid)  # directories too: files below may have come in an earlier micro-batch
                 continue
+            if loaded:
+                manager.settle(loaded)
+                loaded = []
             if e.seq <= seq or e.op in self.drop:  # replayed, or of little information
                 continue
             seq = e.seq
             pending.append(e)
             if len(pending) >= self.max_events:
                 close()
+        manager.settle(loaded)
         if pending:
             close()
         manager.store.flush()

@@ -1,0 +1,23 @@
+"""Nothing of the job is left out: baselines with files, evicted directories, all principals."""
+
+
+from fsmeta.monitor import run, setbased
+
+NODES = [(1, 1, None, "s", True, None), (1, 2, 1, "a", True, None), (1, 5, 2, "f", False, 7), (1, 6, 2, "g", False, 8), (1, 7, 1, "h", False, 9)]
+
+
+def nodes_of(spark):
+    return spark.createDataFrame(NODES, "source_id long, fid long, parent_fid long, name string, is_dir boolean, size long")
+
+
+def events_of(spark, rows):
+    return spark.createDataFrame([(1, *r) for r in rows], "source_id long, seq long, op string, fid long, is_dir boolean, parent_fid long, name string, size long")
+
+
+def test_files_of_the_baseline_move_and_go(spark):
+    e = events_of(spark, [(1, "UNLINK", 7, False, None, None, None), (2, "RENAME", 6, False, 1, "k", None), (3, "RENAME", 2, True, 1, "b", None)])
+    n = nodes_of(spark)
+    want = setbased.actions(setbased.resolve_paths(n), setbased.resolve_paths(setbased.apply_events(n, e)))
+    pick = lambda df: sorted((r["action"], r["fid"], r["path"], r["size"]) for r in df.collect())
+    got = pick(run.monitor(e, n, True, 100))
+    assert got == pick(want) == [("delete", 5, "/s/a/f", None), ("delete", 6, "/s/a/g", None), ("delete", 7, "/s/h", None), ("update", 5, "/s/b/f", 7), ("update", 6, "/s/k", 8)]
