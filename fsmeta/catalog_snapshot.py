@@ -171,7 +171,9 @@ add("dd_value_error", _dd_promise, with_views("SELECT DISTINCT uid, a.attr, true
 
 def _sweep(view):
     def run(s, d):
-        df, by = ag.numbers(fx.SNAPSHOTS[view](s, d)), ("gid",)
+        n, by = ag.numbers(fx.SNAPSHOTS[view](s, d)), ("kind", "id")
+        both = F.array(*[F.struct(F.lit(k).alias("kind"), F.col(c).cast("long").alias("id")) for k, c in (("user", "uid"), ("group", "gid"))])
+        df = n.select(F.explode(both).alias("p"), *ag.ATTRIBUTES).select("p.kind", "p.id", *ag.ATTRIBUTES)
         out = None
         for a in ("dd", "kll", "req", "tdigest"):
             e = error.errors(df, by, ag.ATTRIBUTES, QS, a)

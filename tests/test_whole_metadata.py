@@ -21,3 +21,19 @@ def test_files_of_the_baseline_move_and_go(spark):
     pick = lambda df: sorted((r["action"], r["fid"], r["path"], r["size"]) for r in df.collect())
     got = pick(run.monitor(e, n, True, 100))
     assert got == pick(want) == [("delete", 5, "/s/a/f", None), ("delete", 6, "/s/a/g", None), ("delete", 7, "/s/h", None), ("update", 5, "/s/b/f", 7), ("update", 6, "/s/k", 8)]
+
+
+def test_accuracy_is_swept_over_users_and_groups(spark, sf, monkeypatch):
+    from fsmeta import catalog_snapshot as cs
+
+    seen = []
+
+    def errors(df, by, *_):
+        seen.append(df.select(*by).distinct())
+        return df.limit(0)
+
+    monkeypatch.setattr(cs.error, "errors", errors)
+    cs.R["accuracy_fs_small"][0](spark, sf)
+    n = cs.ag.numbers(cs.fx.SNAPSHOTS["fs_small"](spark, sf))
+    users, groups = (n.select(c).distinct().count() for c in ("uid", "gid"))
+    assert {r["kind"]: r["count"] for r in seen[0].groupBy("kind").count().collect()} == {"user": users, "group": groups}
