@@ -40,11 +40,11 @@ SCORED = frozenset("p pre td blockquote li dd div section article h2 h3".split()
 
 
 class Node:
-    __slots__ = ("tag", "parent", "children", "away", "article", "frame", "points", "length", "linked")
+    __slots__ = ("tag", "parent", "children", "away", "article", "frame", "points", "length", "linked", "doubted")
 
     def __init__(self, tag: str, parent: Node | None):
         self.tag, self.parent, self.children = tag, parent, []
-        self.away = self.article = self.frame = False
+        self.away = self.article = self.frame = self.doubted = False
         self.points, self.length, self.linked = 0.0, 0, 0
 
 
@@ -65,9 +65,9 @@ def classify(node: Node, raw: str, by_words: bool = True) -> None:
         elif name == "hidden" or name == "aria-hidden" and value == "true" or name == "style" and "display:none" in value.replace(" ", "").lower():
             node.away = True
     if words and tag not in ("html", "body", "article", "main"):
-        node.away |= by_words and bool(words & WORDS_AWAY)
+        node.doubted = by_words and bool(words & WORDS_AWAY)
         node.frame |= bool(words & WORDS_FRAME)
-        node.article |= tag in ("div", "section", "td") and bool(words & WORDS_ARTICLE) and not node.away
+        node.article |= tag in ("div", "section", "td") and bool(words & WORDS_ARTICLE) and not node.away and not node.doubted
 
 
 def parse(html: str, by_words: bool = True) -> Node:
@@ -129,6 +129,33 @@ def parse(html: str, by_words: bool = True) -> Node:
     return root
 
 
+def judge_words(root: Node) -> None:
+    """Elements with class words of furniture are taken out, but not those that hold the page's
+    article, or most of its unlinked text where no article is elsewhere."""
+    nodes, stack = [], [(root, False, 0)]
+    while stack:  # parents before children
+        node, linked, above = stack.pop()
+        if node.away:
+            continue
+        linked |= node.tag == "a"
+        nodes.append((node, linked, above))
+        above += node.article
+        stack += [(c, linked, above) for c in node.children if isinstance(c, Node)]
+    if not any(node.doubted for node, _, _ in nodes):
+        return
+    plain, held, real = {}, {}, {}
+    for node, linked, _ in reversed(nodes):
+        inner = [c for c in node.children if isinstance(c, Node) and c in plain]
+        plain[node] = sum(plain[c] for c in inner) + (0 if linked else sum(len(c.strip()) for c in node.children if isinstance(c, str)))
+        held[node] = sum(held[c] for c in inner) + node.article
+        real[node] = any(real[c] or c.tag in ("article", "main") for c in inner)
+    for node, _, above in nodes:
+        if node.doubted:
+            article = real[node] and not above
+            most = 2 * plain[node] > plain[root] and held[root] == held[node] + above
+            node.away = not (article or most)
+
+
 def ordered(root: Node) -> list[Node]:
     """Elements in page order, without what is taken out. Frames inside an article stay if they hold its heading."""
     out, stack = [], [(root, False)]
@@ -193,6 +220,7 @@ def main_text(html: str | None) -> str:
 
 def _main_text(html: str, by_words: bool) -> str:
     root = parse(html, by_words)
+    judge_words(root)
     nodes = ordered(root)
     score(nodes)
     worth = lambda x: (x.points + (25 if x.article else 0) * bool(x.length)) * (1 - density(x))

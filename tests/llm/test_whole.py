@@ -30,3 +30,15 @@ def test_scores_keep_the_class_sizes(spark):
         m = qc.fit(d, d, F.lit(True), per_class=per_class)
         scores = [r["score"] for r in qc.score(d, m, keep=("doc_id",)).collect()]
         assert abs(np.mean(scores) - 0.9) < 0.05
+
+
+def test_wrappers_with_class_words_keep_the_article():
+    from fsmeta.llm.html_text import main_text
+
+    text = " ".join(f"<p>Paragraph {i}, which goes on for a while, so that it counts as text.</p>" for i in range(4))
+    want = " ".join(f"Paragraph {i}, which goes on for a while, so that it counts as text." for i in range(4))
+    for wrapper in ("class='layout has-sidebar'", "id='post-with-comments'"):
+        assert main_text(f"<body><h1>Site</h1><div {wrapper}><article>{text}</article><div class=sidebar>Side, text</div></div></body>") == want
+        assert want in main_text(f"<body><h1>Site</h1><div {wrapper}>{text}</div><p>About us</p></body>")
+    long = "<section class=comments>" + "<p>I, too, have, many, things, to say about this and that.</p>" * 30 + "</section>"
+    assert main_text(f"<body><article>{text}</article>{long}</body>") == want
