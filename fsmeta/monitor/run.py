@@ -7,17 +7,21 @@ in one task, as path construction needs all of them. Nothing but the state is he
 from __future__ import annotations
 
 import time
+from collections.abc import Callable
 from dataclasses import asdict, fields
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from fsmeta.monitor.state import CostCounters, Event, NodeRow, StateManager
+from fsmeta.monitor.state import CostCounters, Event, NodeRow, Spilled, StateManager
 
 ACTIONS = "action string, source_id long, fid long, path string, size long, last_seq long, batch_id long"
 COSTS = "source_id long, " + ", ".join(f"{f.name} long" for f in fields(CostCounters))
 
+#: Gives the node of (source_id, fid) where neither ``nodes`` nor the events do; runs in the tasks.
+Resolver = Callable[[int, int], NodeRow | None]
+
 
 def _ordered(events: DataFrame, nodes: DataFrame | None, parts: int | None) -> DataFrame:
     e = events.select("source_id", "seq", "op", "fid", "is_dir", "parent_fid", "name", "size")
@@ -27,7 +31,14 @@ def _ordered(events: DataFrame, nodes: DataFrame | None, parts: int | None) -> D
     return e.sortWithinPartitions("source_id", "seq")
 
 
-def _drive(events, nodes, reduce, max_events, drop, max_dirs, stat_mode, parts, want):
+def _drive(events, nodes, reduce, max_events, drop, max_dirs, stat_mode, parts, want, resolver=None):
+    def owner(source):
+        outer = None if resolver is None else lambda fid: resolver(source, fid)
+        if max_dirs is None:
+            return StateManager(resolver=outer, stat_mode=stat_mode)
+        out = Spilled(outer)
+        return StateManager(resolver=out.get, spill=out.put, max_dirs=max_dirs, stat_mode=stat_mode)
+
     def work(batches):
         state, pending, source, number, loaded = None, [], None, 0, []
 
@@ -50,7 +61,7 @@ def _drive(events, nodes, reduce, max_events, drop, max_dirs, stat_mode, parts,
                 if row[0] != source:
                     if source is not None:
                         yield from finish()
-                    source, number, loaded, state = row[0], 0, [], StateManager(max_dirs=max_dirs, stat_mode=stat_mode)
+                    source, number, loaded, state = row[0], 0, [], owner(row[0])
                 e = Event(*row[1:])
                 if e.op == "NODE":
                     state.load(e.fid, NodeRow(e.parent_fid, e.name, e.is_dir, None, e.size))
@@ -76,14 +87,14 @@ def _drive(events, nodes, reduce, max_events, drop, max_dirs, stat_mode, parts,
     return _ordered(events, nodes, parts).mapInArrow(work, ACTIONS if want == "actions" else COSTS)
 
 
-def monitor(events: DataFrame, nodes: DataFrame | None = None, reduce: bool = True, max_events: int = 1000, drop: tuple[str, ...] = ("OPEN",), max_dirs: int | None = None, stat_mode: str = "carried", parts: int | None = None) -> DataFrame:
+def monitor(events: DataFrame, nodes: DataFrame | None = None, reduce: bool = True, max_events: int = 1000, drop: tuple[str, ...] = ("OPEN",), max_dirs: int | None = None, stat_mode: str = "carried", parts: int | None = None, resolver: Resolver | None = None) -> DataFrame:
     """Update and delete actions of all batches, in batch order per source."""
-    return _drive(events, nodes, reduce, max_events, drop, max_dirs, stat_mode, parts, "actions")
+    return _drive(events, nodes, reduce, max_events, drop, max_dirs, stat_mode, parts, "actions", resolver)
 
 
-def costs(events: DataFrame, nodes: DataFrame | None = None, reduce: bool = True, max_events: int = 1000, drop: tuple[str, ...] = ("OPEN",), max_dirs: int | None = None, stat_mode: str = "call", parts: int | None = None) -> DataFrame:
+def costs(events: DataFrame, nodes: DataFrame | None = None, reduce: bool = True, max_events: int = 1000, drop: tuple[str, ...] = ("OPEN",), max_dirs: int | None = None, stat_mode: str = "call", parts: int | None = None, resolver: Resolver | None = None) -> DataFrame:
     """The same work; what it cost per source."""
-    return _drive(events, nodes, reduce, max_events, drop, max_dirs, stat_mode, parts, "costs")
+    return _drive(events, nodes, reduce, max_events, drop, max_dirs, stat_mode, parts, "costs", resolver)
 
 
 def throughput(df: DataFrame, events: int) -> dict:

@@ -7,6 +7,7 @@ only an object whose ancestors are unknown is resolved outside, once, and then k
 
 from __future__ import annotations
 
+import sqlite3
 from collections import OrderedDict
 from collections.abc import Callable, Iterable
 from dataclasses import dataclass, field
@@ -116,15 +117,35 @@ def reduce_batch(batch: list[Event], counters: CostCounters) -> list[Event]:
     return sorted(out)
 
 
+class Spilled:
+    """Evicted nodes of one source in a temporary local file; what is not there is asked of ``outer``."""
+
+    def __init__(self, outer: Callable[[int], NodeRow | None] | None = None):
+        self.outer, self.db = outer, sqlite3.connect("")
+        self.db.execute("CREATE TABLE node (fid INTEGER PRIMARY KEY, parent_fid, name, is_dir, shown, size)")
+
+    def put(self, fid: int, node: NodeRow) -> None:
+        self.db.execute("INSERT OR REPLACE INTO node VALUES (?, ?, ?, ?, ?, ?)", (fid, *node))
+
+    def get(self, fid: int) -> NodeRow | None:
+        row = self.db.execute("SELECT parent_fid, name, is_dir, shown, size FROM node WHERE fid = ?", (fid,)).fetchone()
+        if row is not None:
+            return NodeRow(row[0], row[1], bool(row[2]), row[3], row[4])
+        return self.outer(fid) if self.outer is not None else None
+
+
 @dataclass
 class StateManager:
     store: object = field(default_factory=DictStore)
     resolver: Callable[[int], NodeRow | None] | None = None
+    spill: Callable[[int, NodeRow], None] | None = None  # takes evicted nodes, for the resolver
     max_dirs: int | None = None
     stat_mode: str = "carried"
     counters: CostCounters = field(default_factory=CostCounters)
 
     def __post_init__(self):
+        if self.max_dirs is not None and self.resolver is None:
+            raise ValueError("max_dirs needs a resolver: evicted directories would be lost")
         self.recent: OrderedDict[int, None] = OrderedDict()
         self.handlers = {"CREATE": self._create, "MKDIR": self._create, "UNLINK": self._remove, "RMDIR": self._remove, "RENAME": self._rename, "SETATTR": self._update, "CLOSE": self._update, "OPEN": self._update}
 
@@ -210,7 +231,7 @@ class StateManager:
             self._show(e.fid, e.seq, e.size)
 
     def _remove(self, e: Event) -> None:
-        node = self.store.get(e.fid)
+        node = self.node(e.fid)
         if node is not None:
             if node.shown is not None:
                 self._hide(e.fid, node.shown, e.seq)
@@ -248,6 +269,9 @@ class StateManager:
             if spare <= 0:
                 return
             if not self.store.children(fid):
+                node = self.store.get(fid)
+                if node is not None and self.spill is not None:
+                    self.spill(fid, node)
                 self.store.remove(fid)
                 del self.recent[fid]
                 self.counters.evicted += 1

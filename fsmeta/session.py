@@ -47,10 +47,10 @@ class Session:
     def aggregate(self) -> DataFrame:
         return versioning.current(self.spark, f"{self.path}/aggregate")
 
-    def monitor(self, events: DataFrame, nodes: DataFrame | None = None, feed: str = "uniform") -> DataFrame:
+    def monitor(self, events: DataFrame, nodes: DataFrame | None = None, feed: str = "uniform", resolver: run.Resolver | None = None) -> DataFrame:
         """Update and delete actions of a table of events."""
         c = self.config
-        return run.monitor(ingest.to_uniform(events, feed), nodes, True, c.max_events, c.drop_ops, c.max_dirs, c.stat_mode)
+        return run.monitor(ingest.to_uniform(events, feed), nodes, True, c.max_events, c.drop_ops, c.max_dirs, c.stat_mode, resolver=resolver)
 
     def notify(self, actions: DataFrame, epoch: int) -> None:
         notify.Publisher(f"{self.path}/changes", "both" if self.config.sink == "both" else self.config.sink)(actions, epoch)

@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
 
-from fsmeta.monitor.run import ACTIONS
+from fsmeta.monitor.run import ACTIONS, Resolver
 from fsmeta.monitor.state import Event, NodeRow, StateManager
 
 EVENTS = "source_id long, seq long, ts timestamp, op string, fid long, is_dir boolean, parent_fid long, name string, size long"
@@ -71,7 +71,10 @@ class MapStore:
 class MetadataStateProcessor(StatefulProcessor):
     """Batches close at ``max_events`` or with the micro-batch (the trigger is the idle limit)."""
 
-    def __init__(self, max_events: int = 1000, drop: tuple[str, ...] = ("OPEN",), reduce: bool = True, ttl_ms: int | None = None):
+    def __init__(self, max_events: int = 1000, drop: tuple[str, ...] = ("OPEN",), reduce: bool = True, ttl_ms: int | None = None, resolver: Resolver | None = None):
+        if ttl_ms is not None and resolver is None:
+            raise ValueError("ttl_ms needs a resolver: expired nodes would be lost")
+        self.resolver = resolver
         self.max_events, self.drop, self.reduce_, self.ttl_ms = max_events, drop, reduce, ttl_ms
 
     def init(self, handle: StatefulProcessorHandle) -> None:
@@ -83,7 +86,8 @@ class MetadataStateProcessor(StatefulProcessor):
     def handleInputRows(self, key, rows: Iterator[pd.DataFrame], timerValues) -> Iterator[pd.DataFrame]:  # noqa: N803
         seq, batch = self.last.get() if self.last.exists() else (-(1 << 60), 0)
         got = pd.concat(list(rows)).sort_values("seq")
-        manager = StateManager(MapStore(self.nodes, self.below))
+        source = int(key[0])
+        manager = StateManager(MapStore(self.nodes, self.below), None if self.resolver is None else lambda fid: self.resolver(source, fid))
         none = lambda v, kind: None if pd.isna(v) else kind(v)
         out, pending, loaded = [], [], []
 
@@ -124,10 +128,10 @@ def read_events(spark: SparkSession, path: str, files_per_trigger: int = 1) -> D
     return spark.readStream.schema(EVENTS).option("maxFilesPerTrigger", files_per_trigger).parquet(path)
 
 
-def actions_stream(events: DataFrame, max_events: int = 1000, drop: tuple[str, ...] = ("OPEN",), reduce: bool = True, ttl_ms: int | None = None) -> DataFrame:
+def actions_stream(events: DataFrame, max_events: int = 1000, drop: tuple[str, ...] = ("OPEN",), reduce: bool = True, ttl_ms: int | None = None, resolver: Resolver | None = None) -> DataFrame:
     """Needs the RocksDB state store provider in the session (a runtime setting)."""
     keyed = events.groupBy("source_id")
-    return keyed.transformWithStateInPandas(MetadataStateProcessor(max_events, drop, reduce, ttl_ms), ACTIONS, "append", "none")
+    return keyed.transformWithStateInPandas(MetadataStateProcessor(max_events, drop, reduce, ttl_ms, resolver), ACTIONS, "append", "none")
 
 
 def activity(events: DataFrame, width: str = "1 day", slide: str | None = None, late: str = "1 hour") -> DataFrame:

@@ -1,7 +1,10 @@
 """Nothing of the job is left out: baselines with files, evicted directories, all principals."""
 
 
+import pytest
+
 from fsmeta.monitor import run, setbased
+from fsmeta.monitor.state import NodeRow, StateManager
 
 NODES = [(1, 1, None, "s", True, None), (1, 2, 1, "a", True, None), (1, 5, 2, "f", False, 7), (1, 6, 2, "g", False, 8), (1, 7, 1, "h", False, 9)]
 
@@ -37,3 +40,23 @@ def test_accuracy_is_swept_over_users_and_groups(spark, sf, monkeypatch):
     n = cs.ag.numbers(cs.fx.SNAPSHOTS["fs_small"](spark, sf))
     users, groups = (n.select(c).distinct().count() for c in ("uid", "gid"))
     assert {r["kind"]: r["count"] for r in seen[0].groupBy("kind").count().collect()} == {"user": users, "group": groups}
+
+
+def test_evicted_and_unknown_directories_come_back(spark):
+    made = [(s, "MKDIR", 100 + s, True, 1, f"d{s}", None) for s in range(20)] + [(30, "RENAME", 100, True, 2, "moved", None)]
+    late = [(40 + s, "CREATE", 200 + s, False, 100 + s, f"f{s}", 1) for s in range(20)]
+    e, n = events_of(spark, made + late), nodes_of(spark)
+    pick = lambda df: sorted((r["action"], r["fid"], r["path"]) for r in df.collect())
+    got = pick(run.monitor(e, n, True, 1, max_dirs=3))
+    assert len(got) == 20 and got == pick(run.monitor(e, n, True, 1)) and got[0][2] == "/s/a/moved/f0"
+    below = [(s, "SETATTR", 100 + s, True, None, None, None) for s in range(3)] + [(9, "CREATE", 201, False, 2, "x", 1)]
+    known = {f: NodeRow(p, name, d, None, size) for _, f, p, name, d, size in NODES}
+    assert pick(run.monitor(events_of(spark, below), None, True, 1, resolver=lambda _, fid: known.get(fid))) == [("update", 201, "/s/a/x")]
+
+
+def test_limits_need_a_resolver():
+    from fsmeta.streaming.monitor import MetadataStateProcessor
+
+    for make in (lambda: StateManager(max_dirs=3), lambda: MetadataStateProcessor(ttl_ms=1000)):
+        with pytest.raises(ValueError):
+            make()
