@@ -3,7 +3,7 @@
 A text is the mean of the embeddings of its hashed byte 2-, 3- and 4-grams inside words (with
 word edges); a linear softmax scores it. Both layers are trained by stochastic gradient
 descent in numpy on a bounded sample of labelled rows: at most ``per_language`` rows of each
-of the ``languages`` most frequent languages, picked by hash of the key. A part of the sample
+of every language (less where there are many, see ``fit``), picked by hash of the key. A part of the sample
 is held back to fit the temperature of the probabilities and the rejection threshold: the
 lowest confidence above which held-back predictions are right at ``target_precision``.
 
@@ -149,12 +149,13 @@ def train(x: np.ndarray, y: np.ndarray, languages: list[str], dim: int = 16, epo
     return Model(languages, table, b, float(temperature), threshold)
 
 
-def fit(docs: DataFrame, learn: Column, key: str = "doc_id", text: str = "text", lang: str = "lang", per_language: int = 700, languages: int = 64, **options) -> Model | None:
+def fit(docs: DataFrame, learn: Column, key: str = "doc_id", text: str = "text", lang: str = "lang", per_language: int = 700, sample_rows: int = 44_800, least: int = 20, **options) -> Model | None:
+    """All languages are learned; with many, each gives its share of ``sample_rows``, but ``least`` rows where it has them."""
     known = docs.filter(learn & docs[lang].isNotNull() & docs[key].isNotNull()).select(docs[key].alias("k"), docs[text].alias("t"), docs[lang].cast("string").alias("l"))
     rows = known.select("k", "l")
-    frequent = rows.groupBy("l").count().orderBy(F.desc("count"), "l").limit(languages)
+    share = min(per_language, max(least, sample_rows // max(1, rows.select("l").distinct().count())))
     rank = F.row_number().over(Window.partitionBy("l").orderBy(F.xxhash64("k"), "k"))
-    picked = rows.join(F.broadcast(frequent.select("l")), "l").withColumn("r", rank).filter(F.col("r") <= per_language).select("k").distinct()
+    picked = rows.withColumn("r", rank).filter(F.col("r") <= share).select("k").distinct()
     chosen = known.join(F.broadcast(picked), "k", "left_semi").select("k", "t", "l")
 
     def features(batches):
@@ -172,7 +173,8 @@ def fit(docs: DataFrame, learn: Column, key: str = "doc_id", text: str = "text",
     for i, (at, n) in enumerate(zip(sample["at"], sample["n"], strict=True)):
         v = n.values.to_numpy()
         x[i, at.values.to_numpy()] = v / v.sum()
-    y = np.array([names.index(v) for v in sample["l"].to_pylist()])
+    place = {v: i for i, v in enumerate(names)}
+    y = np.array([place[v] for v in sample["l"].to_pylist()])
     return train(x, y, names, **options)
 
 

@@ -42,3 +42,10 @@ def test_wrappers_with_class_words_keep_the_article():
         assert want in main_text(f"<body><h1>Site</h1><div {wrapper}>{text}</div><p>About us</p></body>")
     long = "<section class=comments>" + "<p>I, too, have, many, things, to say about this and that.</p>" * 30 + "</section>"
     assert main_text(f"<body><article>{text}</article>{long}</body>") == want
+
+
+def test_every_language_is_learned(spark):
+    from fsmeta.llm import language_id as li
+
+    d = spark.createDataFrame([(i, f"some words {i} of it", f"l{i // 2:02d}") for i in range(140)], "doc_id long, text string, lang string")
+    assert li.fit(d, F.lit(True), epochs=1).languages == [f"l{i:02d}" for i in range(70)]
