@@ -12,7 +12,9 @@ document. Only suffixes that can have an equal are sorted:
 3. The windows of all contexts of an anchor are ordered by most-significant-digit passes, first by
    anchor and offset, then by one digit of ``DIGIT`` bytes at a time, only up to ``length`` bytes;
    classes of one drop out after each pass. The classes left are exactly the repeated windows.
-   Anchors with very many different contexts are not gathered: their windows meet by hash instead.
+   Equal contexts are added up in each task before they are dealt by anchor, so a task holds the
+   different contexts of an anchor. For anchors with very many of them the same passes are run as
+   shuffles, one a digit, with windows as rows that are added up before each.
 4. Repeated windows go back to their documents as spans.
 
 Defined results: null text is an empty text; texts shorter than ``length`` keep every byte;
@@ -109,7 +111,7 @@ def anchors(docs: DataFrame, text: str, length: int, rid: Column | None = None)
 
 
 CONTEXT = "h long, cid binary, off int, windows int, fresh boolean, ctx binary, rid binary, lo long"
-#: Contexts that an anchor may bring to one task; the windows of anchors with more are counted as rows instead.
+#: Contexts that an anchor may bring to one task; the passes of anchors with more are shuffles.
 CROWD = 100_000
 
 
@@ -208,6 +210,35 @@ def _solve(groups: list[dict], length: int) -> pa.RecordBatch | None:
     return pa.RecordBatch.from_arrays([pa.array([c for c, _ in cids], pa.binary()), pa.array([r for _, r in cids], pa.binary())], names=["cid", "runs"])
 
 
+def combined(found: DataFrame, entries: int = 100_000) -> DataFrame:
+    """h, cid, off, windows, ctx, times: equal contexts of one task as one row (more where it holds more than ``entries``)."""
+
+    def add(batches):
+        held: dict = {}
+
+        def out():
+            rows = [(h, cid, *v) for (h, cid), v in held.items()]
+            kinds = (pa.int64(), pa.binary(), pa.int32(), pa.int32(), pa.binary(), pa.int64())
+            return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), kinds, strict=True)], names=["h", "cid", "off", "windows", "ctx", "times"])
+
+        for b in lean(batches):
+            for h, cid, off, n, ctx in zip(*(c.to_pylist() for c in b.columns), strict=True):
+                own = held.get((h, cid))
+                if own is None:
+                    held[h, cid] = [off, n, ctx, 1]
+                else:
+                    own[3] += 1
+                    if own[2] is None:
+                        own[2] = ctx
+            if len(held) >= entries:
+                yield out()
+                held = {}
+        if held:
+            yield out()
+
+    return found.select("h", "cid", "off", "windows", "ctx").mapInArrow(add, "h long, cid binary, off int, windows int, ctx binary, times long")
+
+
 def repeated_runs(found: DataFrame, length: int, held_bytes: int = 4 << 20, crowd: int | None = None) -> DataFrame:
     """cid and the runs (first and last window) of it that occur elsewhere."""
     many = found.filter("fresh").groupBy("h").agg(F.count("*").alias("n")).filter(F.col("n") > (CROWD if crowd is None else crowd)).select("h")
@@ -216,24 +247,32 @@ def repeated_runs(found: DataFrame, length: int, held_bytes: int = 4 << 20, crow
         return _sorted_runs(found, length, held_bytes)
     # at most one anchor for every ``crowd`` contexts
     rest = found.join(F.broadcast(many), "h", "left_anti")
-    return _sorted_runs(rest, length, held_bytes).unionByName(_counted_runs(found.join(F.broadcast(many), "h", "left_semi"), length))
+    return _sorted_runs(rest, length, held_bytes).unionByName(_shuffled_runs(found.join(F.broadcast(many), "h", "left_semi"), length))
 
 
-def _counted_runs(found: DataFrame, length: int) -> DataFrame:
-    """The same for anchors with very many contexts: every window is a row, and equal ones meet by hash,
-    added up before the shuffle."""
-    times = found.groupBy("cid").agg(F.count("*").alias("times"))
-    once = found.filter("fresh").select("cid", "windows", "ctx").dropDuplicates(["cid"]).join(times, "cid")
+def _shuffled_runs(found: DataFrame, length: int) -> DataFrame:
+    """The passes for anchors with very many contexts: every window is a row with its place before the
+    anchor and its digits, and each pass is a shuffle that leaves the classes of two or more."""
+    times = found.groupBy("h", "cid").agg(F.count("*").alias("times"))
+    texts = found.filter("fresh").select("cid", "off", "windows", "ctx").dropDuplicates(["cid"])
+    digits = -(-length // DIGIT)
 
     def spread(batches):
         for b in lean(batches, 64):
-            for cid, n, ctx, times in zip(*(b.column(c).to_pylist() for c in ("cid", "windows", "ctx", "times")), strict=True):
-                w = [hashlib.blake2b(ctx[j : j + length], digest_size=16).digest() for j in range(n)]
-                yield pa.RecordBatch.from_arrays([pa.array([cid] * n, pa.binary()), pa.array(range(n), pa.int32()), pa.array(w, pa.binary()), pa.array([times] * n, pa.int64())], names=["cid", "j", "w", "times"])
-
-    rows = once.select("cid", "windows", "ctx", "times").mapInArrow(spread, "cid binary, j int, w binary, times long")
-    same = rows.groupBy("w").agg(F.sum("times").alias("all")).filter("all > 1").select("w")
-    per = rows.join(same, "w").groupBy("cid").agg(F.sort_array(F.collect_list("j")).alias("js"))
+            for h, cid, off, n, ctx, k in zip(*(c.to_pylist() for c in b.columns), strict=True):
+                hashes, at = Rolling(np.frombuffer(ctx, np.uint8)), np.arange(n)
+                parts = [hashes.ranges(at + d * DIGIT, at + min(length, (d + 1) * DIGIT)).view(np.int64) for d in range(digits)]
+                cols = [pa.array([cid] * n, pa.binary()), pa.array(at.astype(np.int32)), pa.array([k] * n, pa.int64()), pa.array(np.full(n, h)), pa.array((off - at).astype(np.int32)), *map(pa.array, parts)]
+                yield pa.RecordBatch.from_arrays(cols, names=["cid", "j", "times", "h", "place", *(f"d{d}" for d in range(digits))])
+
+    rows = times.join(texts, "cid").select("h", "cid", "off", "windows", "ctx", "times")
+    rows = rows.mapInArrow(spread, "cid binary, j int, times long, h long, place int, " + ", ".join(f"d{d} long" for d in range(digits)))
+    rows = rows.withColumn("class", F.xxhash64("h", "place")).drop("h", "place")
+    for d in range(digits):
+        rows = workspace.store(rows.withColumn("class", F.xxhash64("class", f"d{d}")).drop(f"d{d}"), "digit")
+        live = rows.groupBy("class").agg(F.sum("times").alias("_all")).filter("_all > 1").select("class")
+        rows = rows.join(live, "class", "left_semi")
+    per = rows.groupBy("cid").agg(F.sort_array(F.collect_list("j")).alias("js"))
 
     def pack(batches):
         for b in lean(batches):
@@ -252,7 +291,7 @@ def _sorted_runs(found: DataFrame, length: int, held_bytes: int) -> DataFrame:
     def reduce(batches):
         groups, held, now = [], 0, None
         for b in lean(batches):
-            for h, cid, off, n, ctx in zip(*(c.to_pylist() for c in b.columns), strict=True):
+            for h, cid, off, n, ctx, times in zip(*(c.to_pylist() for c in b.columns), strict=True):
                 if h != now:
                     if held >= held_bytes:
                         if (out := _solve(groups, length)) is not None:
@@ -262,17 +301,17 @@ def _sorted_runs(found: DataFrame, length: int, held_bytes: int) -> DataFrame:
                     now = h
                 own = groups[-1].get(cid)
                 if own is None:
-                    groups[-1][cid] = [ctx, off, n, 1]
+                    groups[-1][cid] = [ctx, off, n, times]
                     held += len(ctx or b"")
                 else:
-                    own[3] += 1
+                    own[3] += times
                     if own[0] is None and ctx is not None:
                         own[0] = ctx
                         held += len(ctx)
         if groups and (out := _solve(groups, length)) is not None:
             yield out
 
-    rows = found.select("h", "cid", "off", "windows", "ctx").repartition("h").sortWithinPartitions("h")
+    rows = combined(found).repartition("h").sortWithinPartitions("h")
     return rows.mapInArrow(reduce, "cid binary, runs binary")
 
 
@@ -287,7 +326,7 @@ def merge(pairs: np.ndarray) -> np.ndarray:
 
 def spans(found: DataFrame, same: DataFrame, length: int) -> DataFrame:
     """rid and its removed spans (packed pairs of start and end), one row a document that has any."""
-    per = found.select("cid", "rid", "lo").join(same, "cid").groupBy("rid").agg(F.collect_list(F.struct("lo", "runs")).alias("parts"))
+    per = found.select("cid", "rid", "lo").join(same, "cid").groupBy("rid").agg(F.collect_set(F.struct("lo", "runs")).alias("parts"))
 
     def pack(batches):
         for b in lean(batches):
@@ -300,9 +339,15 @@ def spans(found: DataFrame, same: DataFrame, length: int) -> DataFrame:
     return per.mapInArrow(pack, "rid binary, spans binary")
 
 
+def row_id(*parts: Column) -> Column:
+    """A hash that tells rows apart: each part with its length, a null as itself. Rows equal in all parts share it."""
+    marked = [F.coalesce(F.concat(F.length(p).cast("string"), F.lit(":"), p), F.lit("-")) for p in parts]
+    return F.unhex(F.md5(F.concat(*marked).cast("binary")))
+
+
 def removed_spans(docs: DataFrame, key: str = "doc_id", text: str = "text", length: int = 200, listed: int = LISTED) -> tuple[DataFrame, Column]:
     """(spans: rid, spans; the expression that gives a row's rid)."""
-    rid = F.unhex(F.md5(F.concat_ws("|", docs[key].cast("string"), docs[text]).cast("binary")))
+    rid = row_id(docs[key].cast("string"), docs[text])
     repeated = anchors(docs, text, length).groupBy("h").agg(F.sum("n").alias("n")).filter("n > 1")
     repeated = workspace.store(repeated, "anchors")
     found = workspace.store(contexts(docs, text, length, rid, repeated, listed), "contexts")
