@@ -1,7 +1,8 @@
 """Main text of web pages by tree scoring.
 
 A tolerant one-pass parser builds the element tree. Page furniture (navigation, side bars,
-notices, adverts, forms, comments ...) is taken out by element, role and class words. Text blocks
+notices, adverts, forms, comments ...) is taken out by element and role, and by class words where
+the text under them doesn't overrule the words (see ``judge_words``). Text blocks
 pass points for their length and commas on to the elements above them, less with each level;
 an element's points are discounted by its link density. The best element, or the article
 element around it, is kept with those siblings that score or read like it.
@@ -21,8 +22,9 @@ from pyspark.sql import DataFrame
 
 from fsmeta.llm.common import lean
 
-TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<[!?][^>]*(?:>|\Z)|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)(?:>|\Z)", re.S)
-ATTRIBUTE = re.compile(r"([a-zA-Z_:@][^\s=/>\"']*)(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+)))?")
+#: A quote opens a value only after an equals sign; a value without one ends at white space or at the tag's end.
+TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<[!?][^>]*(?:>|\Z)|<(/?)([a-zA-Z][^\s/>]*)((?>[^>=]++|=\s*+(?:\"[^\"]*+\"|'[^']*+')|=)*+)(?:>|\Z)", re.S)
+ATTRIBUTE = re.compile(r"([a-zA-Z_:@][^\s=/>\"']*)(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>][^\s>]*)))?")
 WORDS = re.compile(r"[A-Z]?[a-z]+|[A-Z]+|\d+")
 #: Element sets and the class words of page furniture.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
@@ -34,17 +36,19 @@ AWAY = frozenset("nav aside form button select input dialog menu head".split())
 FRAME = frozenset(["header", "footer"])
 ROLES = frozenset("navigation banner contentinfo complementary search dialog alert alertdialog menu menubar form".split())
 WORDS_AWAY = frozenset("ad ads advert adverts advertisement advertising adsense sponsor sponsored sponsors promo promotion promoted banner cookie cookies consent gdpr notice notices popup modal overlay newsletter subscribe subscription signup share sharing social comment comments disqus reply replies respond sidebar sidebars related recommended recommendations menu menus nav navbar navigation breadcrumb breadcrumbs pagination pager toolbar widget widgets skip hidden paywall login search".split())
+#: Of these, the words that prose sections are named with too: text that reads like prose overrules them.
+WORDS_WEAK = frozenset("notice notices promotion modal newsletter subscription social widget widgets skip hidden search menu menus toolbar login consent".split())
 WORDS_FRAME = frozenset("header footer masthead copyright".split())
 WORDS_ARTICLE = frozenset("article post entry story content main body text".split())
 SCORED = frozenset("p pre td blockquote li dd div section article h2 h3".split())
 
 
 class Node:
-    __slots__ = ("tag", "parent", "children", "away", "article", "frame", "points", "length", "linked", "doubted")
+    __slots__ = ("tag", "parent", "children", "away", "article", "frame", "points", "length", "linked", "doubted", "weak")
 
     def __init__(self, tag: str, parent: Node | None):
         self.tag, self.parent, self.children = tag, parent, []
-        self.away = self.article = self.frame = self.doubted = False
+        self.away = self.article = self.frame = self.doubted = self.weak = False
         self.points, self.length, self.linked = 0.0, 0, 0
 
 
@@ -66,6 +70,7 @@ def classify(node: Node, raw: str, by_words: bool = True) -> None:
             node.away = True
     if words and tag not in ("html", "body", "article", "main"):
         node.doubted = by_words and bool(words & WORDS_AWAY)
+        node.weak = node.doubted and (words & WORDS_AWAY) <= WORDS_WEAK
         node.frame |= bool(words & WORDS_FRAME)
         node.article |= tag in ("div", "section", "td") and bool(words & WORDS_ARTICLE) and not node.away and not node.doubted
 
@@ -129,9 +134,14 @@ def parse(html: str, by_words: bool = True) -> Node:
     return root
 
 
+PROSE = frozenset("p pre blockquote li dd".split())
+
+
 def judge_words(root: Node) -> None:
     """Elements with class words of furniture are taken out, but not those that hold the page's
-    article, or most of its unlinked text where no article is elsewhere."""
+    article, or most of its unlinked text where no article is elsewhere; nor, where all their
+    furniture words are weak, those that read like prose: two long paragraphs or more, few links
+    and a tenth of the page's unlinked text."""
     nodes, stack = [], [(root, False, 0)]
     while stack:  # parents before children
         node, linked, above = stack.pop()
@@ -143,17 +153,21 @@ def judge_words(root: Node) -> None:
         stack += [(c, linked, above) for c in node.children if isinstance(c, Node)]
     if not any(node.doubted for node, _, _ in nodes):
         return
-    plain, held, real = {}, {}, {}
+    plain, every, held, real, long = {}, {}, {}, {}, {}
     for node, linked, _ in reversed(nodes):
         inner = [c for c in node.children if isinstance(c, Node) and c in plain]
-        plain[node] = sum(plain[c] for c in inner) + (0 if linked else sum(len(c.strip()) for c in node.children if isinstance(c, str)))
+        own = sum(len(c.strip()) for c in node.children if isinstance(c, str))
+        plain[node] = sum(plain[c] for c in inner) + (0 if linked else own)
+        every[node] = sum(every[c] for c in inner) + own
         held[node] = sum(held[c] for c in inner) + node.article
         real[node] = any(real[c] or c.tag in ("article", "main") for c in inner)
+        long[node] = sum(long[c] for c in inner) + (node.tag in PROSE and plain[node] >= 80)
     for node, _, above in nodes:
         if node.doubted:
             article = real[node] and not above
             most = 2 * plain[node] > plain[root] and held[root] == held[node] + above
-            node.away = not (article or most)
+            prose = node.weak and long[node] >= 2 and 10 * plain[node] >= 8 * every[node] and 10 * plain[node] >= plain[root]
+            node.away = not (article or most or prose)
 
 
 def ordered(root: Node) -> list[Node]:
