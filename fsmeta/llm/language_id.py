@@ -24,6 +24,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from fsmeta.llm.common import lean, text_bytes
+from fsmeta.plans import workspace
 
 BUCKETS, ORDERS, PIECE = 1 << 13, (2, 3, 4), 1 << 19
 
@@ -114,19 +115,39 @@ def softmax(z: np.ndarray) -> np.ndarray:
     return e / e.sum(1, keepdims=True)
 
 
-def train(x: np.ndarray, y: np.ndarray, languages: list[str], dim: int = 16, epochs: int = 40, rate: float = 8.0, batch: int = 32, target_precision: float = 0.99, seed: int = 7) -> Model:
-    """x: rows of bucket shares. Every fifth row is held back for calibration."""
+class Shares:
+    """Rows of bucket shares, kept as the buckets that each has; a few rows at a time become dense."""
+
+    def __init__(self, buckets: list[np.ndarray], counts: list[np.ndarray]):
+        self.at = buckets
+        self.value = [(n / n.sum()).astype(np.float32) for n in counts]
+
+    def __len__(self) -> int:
+        return len(self.at)
+
+    def rows(self, which: np.ndarray) -> np.ndarray:
+        out = np.zeros((len(which), BUCKETS), np.float32)
+        for i, r in enumerate(which.tolist()):
+            out[i, self.at[r]] = self.value[r]
+        return out
+
+    def times(self, table: np.ndarray, which: np.ndarray) -> np.ndarray:
+        return np.concatenate([self.rows(part) @ table for part in np.array_split(which, -(-len(which) // 256))])
+
+
+def train(x: Shares, y: np.ndarray, languages: list[str], dim: int = 16, epochs: int = 40, rate: float = 8.0, batch: int = 32, target_precision: float = 0.99, seed: int = 7) -> Model:
+    """Every fifth row is held back for calibration."""
     rng = np.random.default_rng(seed)
     held = np.arange(len(x)) % 5 == 4
     if held.sum() < 20:
         held[:] = False
     fit = np.flatnonzero(~held)
-    e = rng.normal(0, 0.3, (x.shape[1], dim)).astype(np.float32)
+    e = rng.normal(0, 0.3, (BUCKETS, dim)).astype(np.float32)
     w, b = np.zeros((dim, len(languages)), np.float32), np.zeros(len(languages), np.float32)
     for epoch in range(epochs):
         step = rate * (1 - epoch / epochs)
         for at in np.array_split(rng.permutation(fit), max(1, len(fit) // batch)):
-            xb = x[at]
+            xb = x.rows(at)
             h = xb @ e
             g = softmax(h @ w + b)
             g[np.arange(len(at)), y[at]] -= 1
@@ -137,7 +158,7 @@ def train(x: np.ndarray, y: np.ndarray, languages: list[str], dim: int = 16, epo
             e -= 4 * step * (xb.T @ down)
     table = e @ w
     check = np.flatnonzero(held) if held.any() else fit
-    z = x[check] @ table + b
+    z = x.times(table, check) + b
     want = np.full((len(check), len(languages)), 0.005 / len(languages))  # smoothed, so that confidence stays finite
     want[np.arange(len(check)), y[check]] += 0.995
     temperature = min(np.geomspace(0.05, 10, 60), key=lambda t: -(want * np.log(softmax(z / t) + 1e-12)).sum(1).mean())
@@ -153,9 +174,13 @@ def fit(docs: DataFrame, learn: Column, key: str = "doc_id", text: str = "text",
     """All languages are learned; with many, each gives its share of ``sample_rows``, but ``least`` rows where it has them."""
     known = docs.filter(learn & docs[lang].isNotNull() & docs[key].isNotNull()).select(docs[key].alias("k"), docs[text].alias("t"), docs[lang].cast("string").alias("l"))
     rows = known.select("k", "l")
-    share = min(per_language, max(least, sample_rows // max(1, rows.select("l").distinct().count())))
+    sizes = workspace.store(rows.groupBy("l").agg(F.count("*").alias("n")), "languages")
+    share = min(per_language, max(least, sample_rows // max(1, sizes.count())))
+    # a threshold on the hash first: it lets through some four times the share, so that few rows are ranked
+    luck = F.xxhash64("k") / 2.0**64 + 0.5
+    few = rows.join(sizes, "l").filter(luck * F.col("n") < 4 * share + 100)
     rank = F.row_number().over(Window.partitionBy("l").orderBy(F.xxhash64("k"), "k"))
-    picked = rows.withColumn("r", rank).filter(F.col("r") <= share).select("k").distinct()
+    picked = few.withColumn("r", rank).filter(F.col("r") <= share).select("k").distinct()
     chosen = known.join(F.broadcast(picked), "k", "left_semi").select("k", "t", "l")
 
     def features(batches):
@@ -169,10 +194,7 @@ def fit(docs: DataFrame, learn: Column, key: str = "doc_id", text: str = "text",
     names = sorted(set(sample["l"].to_pylist()))
     if not names:
         return None
-    x = np.zeros((len(sample), BUCKETS), np.float32)
-    for i, (at, n) in enumerate(zip(sample["at"], sample["n"], strict=True)):
-        v = n.values.to_numpy()
-        x[i, at.values.to_numpy()] = v / v.sum()
+    x = Shares(*([v.values.to_numpy() for v in sample[c]] for c in ("at", "n")))
     place = {v: i for i, v in enumerate(names)}
     y = np.array([place[v] for v in sample["l"].to_pylist()])
     return train(x, y, names, **options)
