@@ -14,7 +14,7 @@ def op1_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     out = F.coalesce(crc_mod(F.col("doc_id"), 4) == 2, F.lit(False))
     model = language_id.fit(docs, ~out)
-    return language_id.identify(docs, model).withColumn("held_out", out)
+    return language_id.identify(docs, model).select("doc_id", out.alias("held_out"), "lang_pred", "score", "rejected")
 
 
 def op2_html_extraction(spark: SparkSession, sf_dir: str) -> DataFrame:
