@@ -69,6 +69,22 @@ def read_range(uri: str, start: int, n: int) -> bytes:
         return f.read_at(n, start)
 
 
+class Ranged:
+    """An array inside a file, of which only the elements asked for are read."""
+
+    def __init__(self, file, start: int, kind: str, length: int):
+        self.file, self.start, self.dtype, self.length = file, start, np.dtype(kind), length
+
+    def __len__(self) -> int:
+        return self.length
+
+    def __getitem__(self, at):
+        size = self.dtype.itemsize
+        if np.ndim(at) == 0:
+            return np.frombuffer(self.file.read_at(size, self.start + int(at) * size), self.dtype)[0]
+        return np.array([self[i] for i in np.asarray(at).tolist()], self.dtype)
+
+
 class PerfectHash:
     """Minimal perfect hash over distinct 64-bit keys.
 
@@ -161,6 +177,18 @@ class ShardIndex:
         row[~ok] = -1
         return row
 
+    def rows_of(self, keys: np.ndarray) -> np.ndarray:
+        """All rows of distinct keys that the shard has, each found through its slot, key after key."""
+        first = self.find(keys)
+        if (first < 0).any():
+            raise ValueError("the index misses keys")
+        # rows of equal keys stand side by side
+        new = np.ones(len(self.keys), bool)
+        new[1:] = (self.keys[1:] != self.keys[:-1]) | (self.has_key[1:] != self.has_key[:-1])
+        start = np.append(np.flatnonzero(new), len(self.keys))
+        many = start[np.searchsorted(start, first, "right")] - first
+        return np.repeat(first - np.cumsum(many) + many, many) + np.arange(int(many.sum()))
+
     def dump(self) -> bytes:
         out, parts, head = io.BytesIO(), [], {}
         for name in self.FIELDS:
@@ -171,6 +199,19 @@ class ShardIndex:
         out.write(struct.pack("<I", len(meta)) + meta + b"".join(parts))
         return out.getvalue()
 
+    @classmethod
+    def open(cls, uri: str) -> ShardIndex:
+        """For a few look-ups: the head and the level sizes are read, and of all else single elements."""
+        fs, path = _fs(uri)
+        file = fs.open_input_file(path)
+        n = struct.unpack("<I", file.read_at(4, 0))[0]
+        at, arrays = 4 + n, {}
+        for name, (kind, length) in json.loads(file.read_at(n, 4)).items():
+            arrays[name] = Ranged(file, at, kind, length)
+            at += arrays[name].dtype.itemsize * length
+        arrays["sizes"] = arrays["sizes"][np.arange(len(arrays["sizes"]))]
+        return cls(**arrays)
+
     @classmethod
     def parse(cls, data: bytes) -> ShardIndex:
         n = struct.unpack_from("<I", data)[0]

@@ -6,8 +6,8 @@ documents end to end, ``.idx`` the row table and the hash index with fingerprint
 ``read_rows`` reads every shard back; ``lookup`` finds single keys in constant time.
 
 Defined results: null text is an empty text (only the end id is stored); null keys are
-stored first and not indexed; rows of equal keys are all stored, next to each other; extra
-columns are not read; an empty table gives no shard and no rows.
+stored first and not indexed; rows of equal keys are all stored, next to each other, those of different
+texts in the order of the texts' hashes; extra columns are not read; an empty table gives no shard and no rows.
 """
 
 from __future__ import annotations
@@ -174,11 +174,11 @@ def manifest(spark: SparkSession, uri: str) -> DataFrame:
     return m.withColumn("base", F.coalesce(F.sum("n_ids").over(before), F.lit(0)).cast("long"))
 
 
-def read_rows(spark: SparkSession, uri: str) -> DataFrame:
+def read_rows(spark: SparkSession, uri: str, read_bytes: int = 8 << 20) -> DataFrame:
     """Every stored document, read from the files: key, start, n_tokens, ids_crc32.
 
-    Each key is found through the shard's hash index; a key that the index does not lead
-    back to its row is an error.
+    The rows of each key are found through the shard's hash index (a key that it doesn't lead to is
+    an error); rows without a key come from the row table. Ids are read ``read_bytes`` at a time.
     """
     shards = manifest(spark, uri)
     n = shards.count()
@@ -187,31 +187,54 @@ def read_rows(spark: SparkSession, uri: str) -> DataFrame:
     def read(batches):
         for b in lean(batches):
             for s in b.to_pylist():
-                data, idx = read_all(s["ids_uri"]), ShardIndex.parse(read_all(s["idx_uri"]))
-                ids = np.frombuffer(data, f"<u{id_width(data)}", offset=HEADER_SIZE).astype("<u4")
-                known = idx.keys[idx.has_key]
-                row = idx.find(known)
-                if (row < 0).any() or (idx.keys[row] != known).any():
-                    raise ValueError(f"index of {s['idx_uri']} misses keys")
-                crc = [zlib.crc32(ids[a : a + n].data) for a, n in zip(idx.starts.tolist(), idx.lengths.tolist(), strict=True)]
-                yield pa.RecordBatch.from_arrays([pa.array(idx.keys, mask=~idx.has_key), pa.array(idx.starts + s["base"]), pa.array(idx.lengths), pa.array(crc, pa.int64())], names=["doc_id", "start", "n_tokens", "ids_crc32"])
+                idx = ShardIndex.parse(read_all(s["idx_uri"]))
+                rows = np.concatenate([np.flatnonzero(~idx.has_key), idx.rows_of(np.unique(idx.keys[idx.has_key]))])
+                starts, lengths = idx.starts[rows], idx.lengths[rows]
+                crc = [zlib.crc32(ids.astype("<u4").data) for ids in stored(s["ids_uri"], starts, lengths, read_bytes)]
+                yield pa.RecordBatch.from_arrays([pa.array(idx.keys[rows], mask=~idx.has_key[rows]), pa.array(starts + s["base"]), pa.array(lengths), pa.array(crc, pa.int64())], names=["doc_id", "start", "n_tokens", "ids_crc32"])
 
     return shards.mapInArrow(read, "doc_id long, start long, n_tokens long, ids_crc32 long")
 
 
+def stored(uri: str, starts: np.ndarray, lengths: np.ndarray, read_bytes: int):
+    """The ids of rows of a shard; rows that stand end to end are read together."""
+    width, at = id_width(read_range(uri, 0, HEADER_SIZE)), 0
+    ends = starts + lengths
+    apart = np.append(np.flatnonzero(starts[1:] != ends[:-1]) + 1, len(starts))
+    while at < len(starts):
+        last = int(np.searchsorted(ends[at : apart[np.searchsorted(apart, at, "right")]], starts[at] + read_bytes // width, "right")) + at
+        last = max(at + 1, last)
+        raw = np.frombuffer(read_range(uri, HEADER_SIZE + int(starts[at]) * width, int(ends[last - 1] - starts[at]) * width), f"<u{width}")
+        for a, n in zip((starts[at:last] - starts[at]).tolist(), lengths[at:last].tolist(), strict=True):
+            yield raw[a : a + n]
+        at = last
+
+
 def lookup(spark: SparkSession, uri: str, keys: list[int]) -> dict[int, list[np.ndarray]]:
-    """Ids of the rows of a few keys: the shards whose key range holds a key, then its hash slot."""
-    out: dict[int, list[np.ndarray]] = {k: [] for k in keys}
-    for k in keys:
-        m = spark.read.schema(MANIFEST).parquet(f"{uri}/manifest")
-        for s in m.filter((F.col("min_key") <= k) & (F.col("max_key") >= k)).orderBy("part", "seq").toLocalIterator():
-            idx = ShardIndex.parse(read_all(s["idx_uri"]))
-            row, width = int(idx.find(np.array([k], np.int64))[0]), id_width(read_range(s["ids_uri"], 0, HEADER_SIZE))
-            while 0 <= row < len(idx.keys) and idx.has_key[row] and idx.keys[row] == k:
-                raw = read_range(s["ids_uri"], HEADER_SIZE + int(idx.starts[row]) * width, int(idx.lengths[row]) * width)
-                out[k].append(np.frombuffer(raw, f"<u{width}"))
-                row += 1
-    return out
+    """Ids of the rows of some keys, in one job. A key costs a fixed number of small reads in each shard
+    whose key range holds it: bits and ranks of its levels, its slot, its row, its ids."""
+    asked = spark.createDataFrame([(k,) for k in dict.fromkeys(keys)], "k long")
+    m = spark.read.schema(MANIFEST).parquet(f"{uri}/manifest").select("part", "seq", "min_key", "max_key", "ids_uri", "idx_uri")
+    where = m.join(F.broadcast(asked), F.col("k").between(F.col("min_key"), F.col("max_key"))).drop("min_key", "max_key")
+
+    def find(batches):
+        for b in lean(batches):
+            shards: dict = {}
+            for r in b.to_pylist():
+                idx = shards.get(r["idx_uri"]) or shards.setdefault(r["idx_uri"], ShardIndex.open(r["idx_uri"]))
+                row, width, out = int(idx.find(np.array([r["k"]], np.int64))[0]), id_width(read_range(r["ids_uri"], 0, HEADER_SIZE)), []
+                while 0 <= row < len(idx.keys) and idx.has_key[row] and idx.keys[row] == r["k"]:
+                    raw = read_range(r["ids_uri"], HEADER_SIZE + int(idx.starts[row]) * width, int(idx.lengths[row]) * width)
+                    out.append((r["k"], r["part"], r["seq"], row, raw, width))
+                    row += 1
+                if out:
+                    kinds = (pa.int64(), pa.int32(), pa.int32(), pa.int64(), pa.binary(), pa.int32())
+                    yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out, strict=True), kinds, strict=True)], names=["k", "part", "seq", "row", "ids", "width"])
+
+    found: dict[int, list[np.ndarray]] = {k: [] for k in keys}
+    for r in where.mapInArrow(find, "k long, part int, seq int, row long, ids binary, width int").orderBy("k", "part", "seq", "row").toLocalIterator():
+        found[r["k"]].append(np.frombuffer(r["ids"], f"<u{r['width']}"))
+    return found
 
 
 def store_tokens(docs: DataFrame, **options) -> DataFrame:
