@@ -1,19 +1,25 @@
 """N-gram Jaccard self-join in the Jaccard metric space: regions, pivots, windows, recursion.
 
-Documents are sets of word shingles (64-bit hashes), the distance is 1 - Jaccard. Equal sets
-are one node. Shingle sets of a corpus are so sparse that the distance to any fixed pivot is 1
-for nearly all nodes, where the triangle inequality excludes nothing; so the space is first cut
+Documents are sets of word shingles (64-bit hashes), the distance is 1 - Jaccard, which is a metric.
+Equal sets are one node. Shingle sets of a corpus are so sparse that the distance to any fixed pivot
+is 1 for nearly all nodes, where the triangle inequality excludes nothing; so the space is first cut
 into regions in which distances differ: two nodes within the radius must share one of their
 first n - ceil(t n) + 1 shingles in any fixed order of all shingles, and each such shared
 shingle is a region. The order is by hash with the most frequent shingles last, so that common
 passages open no regions.
 
-Within each region one node is the pivot. Every member's exact distance to the pivot is
-worked out (linear in the region's size). Members within the radius are linked to it. Two other
-members can be within the radius of each other only if their distances to the pivot differ
-by no more than the radius (triangle inequality): regions whose members are not all in one class
-by now are joined again within these windows and the size window, pairs across classes only.
-The classes, connected components of the links, are exact.
+1. Each region has a first pivot; members within the radius of it are linked to it. Regions
+   whose members are all in one class by then are settled.
+2. An open region of more than ``LEAF`` members gets several pivots. Every member's distances to
+   them are worked out, and it goes to the Voronoi cell of the nearest. By the triangle inequality
+   a partner of a member with nearest pivot p can lie in the cell of q only if the member's
+   distances to q and p differ by at most two radii: within that window it is replicated to the
+   cell of q. Members farther than ``FAR`` radii from all pivots, and those within one radius of
+   that border, form the cell of the rest. Cells are regions again, and are joined in the same way.
+3. Open regions of at most ``LEAF`` members are joined in one task each. Cells that a level leaves
+   nearly as large as before (distances all alike) are joined in blocks by set size.
+
+No step makes a row for each pair of members. The classes, connected components of the links, are exact.
 
 Defined results: texts without words and null texts are empty sets, linked with nothing; fewer
 words than a shingle form one shingle; rows with equal sets are in one class; a null key stands
@@ -26,21 +32,23 @@ import hashlib
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from fsmeta.llm.common import Rolling, lean, mix, text_bytes
 from fsmeta.llm.components import components
+from fsmeta.llm.mixing import running
 from fsmeta.plans import workspace
 
 PIECE = 1 << 19
 #: The rank table has 2^SLOTS bytes and takes at most TABLE shingles. ZONE: percent of a set's shingles, by hash, that are counted.
 SLOTS, TABLE, ZONE = 24, 4_000_000, 60
-#: Rounds of further pivots in regions that the first has not settled, before windows decide on pairs. More rounds
-#: narrow the windows; where regions are many and small they cost more than they save.
-ROUNDS = 0
-#: Open regions of more members than CROWD are compared in blocks of BLOCK nodes, never as rows of pairs.
-CROWD, BLOCK = 48, 256
+#: Members that a region may have to be joined in one task; pivots of a larger one; radii within which a pivot has a cell.
+LEAF, PIVOTS, FAR = 48, 16, 2
+#: A cell with more than SHRINK of its region's members, or deeper than LEVELS, is joined in blocks of BLOCK nodes.
+SHRINK, LEVELS, BLOCK = 0.9, 12, 256
+#: Rows of one group that a task reads at most, about; groups with more are dealt in parts.
+PART = 512
 #: Nodes whose texts are fetched by a broadcast list (8 bytes each) at most; more are fetched by a shuffle join.
 LISTED = 2_000_000
 
@@ -132,8 +140,8 @@ def first_shingles(s: np.ndarray, ranks: np.ndarray, percent: int) -> np.ndarray
     return s[np.argsort(ranks[slot_of(identity(s))], kind="stable")][:p]
 
 
-def _packed(s: list, nodes: list, bits: int):
-    """Record batch of bucket, shingles, nodes; entries are sorted by shingle."""
+def _packed(s: list, nodes: list, sizes: list, bits: int):
+    """Record batch of bucket, shingles, nodes, sizes; entries are sorted by shingle."""
     flat = np.concatenate(s)
     order = np.argsort(flat)
     flat = flat[order]
@@ -143,36 +151,36 @@ def _packed(s: list, nodes: list, bits: int):
     cut = list(zip(start.tolist(), [*start[1:].tolist(), len(flat)], strict=True))
     columns = {"bucket": pa.array(own), "s": pa.array([short[a:b].tobytes() for a, b in cut], pa.binary())}
     if nodes:
-        who = np.repeat(np.array(nodes, np.int64), [len(x) for x in s])[order]
-        columns["nodes"] = pa.array([who[a:b].tobytes() for a, b in cut], pa.binary())
+        for name, values in (("nodes", np.array(nodes, np.int64)), ("sizes", np.array(sizes, np.int32))):
+            own = np.repeat(values, [len(x) for x in s])[order]
+            columns[name] = pa.array([own[a:b].tobytes() for a, b in cut], pa.binary())
     return pa.RecordBatch.from_pydict(columns)
 
 
-def chosen_rows(rows: DataFrame, key: str) -> dict:
-    """Node -> least key, for nodes with several rows, if they are few enough to be listed: the others
-    of such rows need not be packed again. A matter of speed only."""
-    repeated = rows.groupBy("node").agg(F.count("*").alias("n"), F.min(key).alias("k")).filter("n > 1").select("node", "k")
-    got = repeated.limit(LISTED // 8 + 1).toArrow()
-    return dict(zip(got["node"].to_pylist(), got["k"].to_pylist(), strict=True)) if len(got) <= LISTED // 8 else {}
+def overlap(n: int, percent: int) -> int:
+    """What a set of n shares at least with any partner."""
+    return -(-percent * n // 100)
 
 
-def among(few: np.ndarray, node: int) -> bool:
-    at = int(np.searchsorted(few, node))
-    return at < len(few) and int(few[at]) == node
+def shipped(n: int, percent: int) -> int:
+    """How many shared first shingles a set of n can be held to: it shows n - overlap + this many."""
+    return max(1, min(n // 5, overlap(n, percent)))
 
 
-def needed(n: int) -> int:
-    """How many of its first shingles a set of n must share if it has a partner."""
-    return max(1, n // 5)
+def needed(n: int, percent: int) -> int:
+    """How many of its first shingles a set of n shares if it has a partner: as many as the smallest
+    set that can be one is held to."""
+    return shipped(overlap(n, percent), percent)
 
 
 def crowded(docs: DataFrame, rows: DataFrame, text: str, span: int, percent: int, bits: int) -> DataFrame:
     """node: the nodes that can have a partner at all.
 
     Two sets within the radius share at least k of their first n - ceil(t n) + k shingles by hash, for
-    any k. So of these a node must find k in other nodes too; those that don't are alone. An entry is
-    one number: 24 bits of the shingle (beyond its bucket) and 40 of the node. Clashes of shingles
-    only let a node stay.
+    any k up to what they share at all. A set shows as many shingles as its own k asks for (it rises
+    with n), and must find as many in other nodes as the k of its smallest possible partner; those
+    that don't are alone. An entry is one number: 24 bits of the shingle (beyond its bucket) and 40
+    of the node. Clashes of shingles only let a node stay.
     """
     low = (1 << 40) - 1
 
@@ -184,7 +192,7 @@ def crowded(docs: DataFrame, rows: DataFrame, text: str, span: int, percent: int
                 if not n or (node := node_of(s)) in seen:
                     continue
                 seen.add(node)
-                first = s[: n + (-percent * n // 100) + needed(n)]
+                first = s[: n - overlap(n, percent) + shipped(n, percent)]
                 held.append((first, np.full(len(first), node & low, np.uint64)))
                 size += len(first)
                 if size > 1_500_000:
@@ -239,39 +247,37 @@ def crowded(docs: DataFrame, rows: DataFrame, text: str, span: int, percent: int
     counted = _grouped(packed).mapInArrow(count, "bucket int, who binary, hits binary")
     hits = _grouped(counted).mapInArrow(add_up, "who long, hits long")
     nodes = rows.groupBy("node").agg(F.first("n_shingles").alias("n")).withColumn("who", F.col("node").bitwiseAND(F.lit(low)))
-    return nodes.join(hits, "who").filter(F.col("hits") >= F.greatest(F.lit(1), F.floor(F.col("n") / 5))).select("node", "n")
+    least = F.ceil(F.lit(percent) * F.col("n") / 100)
+    least = F.greatest(F.lit(1), F.least(F.floor(least / 5), F.ceil(F.lit(percent) * least / 100)))
+    return nodes.join(hits, "who").filter(F.col("hits") >= least).select("node", "n")
 
 
-def entries(docs: DataFrame, key: str, text: str, span: int, percent: int, bits: int, chosen: dict, wanted: np.ndarray | None, ranks: np.ndarray | None) -> DataFrame:
-    """bucket, s, nodes: packed first shingles of every node (once a task), told apart by 42 bits.
+def entries(texts: DataFrame, span: int, percent: int, bits: int, ranks: np.ndarray | None) -> DataFrame:
+    """bucket, s, nodes, sizes: packed first shingles of every node, told apart by 42 bits. ``texts``: node, t.
 
     Without ``ranks`` it is for counting: no nodes, and so many shingles by hash as can come
     first once frequent ones have moved last (as a rule; more would cost only speed).
     """
-    shared = docs.sparkSession.sparkContext.broadcast((ranks, chosen, wanted))
+    shared = texts.sparkSession.sparkContext.broadcast(ranks)
 
     def pack(batches):
-        own, first_row, few = shared.value
-        seen, sets, nodes, held = set(), [], [], 0
+        own = shared.value
+        sets, nodes, sizes, held = [], [], [], 0
         for b in lean(batches):
-            for k, s in zip(b.column(1).to_pylist(), sets_of(b.column(0), span), strict=True):
-                if not len(s) or (node := node_of(s)) in seen or first_row.get(node, k) != k:
-                    continue
-                if few is not None and not among(few, node):
-                    continue
-                seen.add(node)
+            for node, s in zip(b.column(0).to_pylist(), sets_of(b.column(1), span), strict=True):
                 first = s[: len(s) * ZONE // 100 + 1] if own is None else first_shingles(s, own, percent)
                 sets.append(first)
                 if own is not None:
                     nodes.append(node)
+                    sizes.append(len(s))
                 held += len(first)
                 if held > 1_500_000:
-                    yield _packed(sets, nodes, bits)
-                    sets, nodes, held = [], [], 0
+                    yield _packed(sets, nodes, sizes, bits)
+                    sets, nodes, sizes, held = [], [], [], 0
         if sets:
-            yield _packed(sets, nodes, bits)
+            yield _packed(sets, nodes, sizes, bits)
 
-    return docs.select(text, key).mapInArrow(pack, "bucket int, s binary" + ("" if ranks is None else ", nodes binary"))
+    return texts.select("node", "t").mapInArrow(pack, "bucket int, s binary" + ("" if ranks is None else ", nodes binary, sizes binary"))
 
 
 def by_bucket(batches):
@@ -293,7 +299,7 @@ def _grouped(packed: DataFrame) -> DataFrame:
     return packed.repartition("bucket").sortWithinPartitions("bucket")
 
 
-def rank_table(docs: DataFrame, key: str, text: str, span: int, percent: int, bits: int, chosen: dict, wanted: np.ndarray | None) -> np.ndarray:
+def rank_table(texts: DataFrame, span: int, percent: int, bits: int) -> np.ndarray:
     """Logarithmic frequency of shingles, by slot: 0 for one node, 1 for two or three, and so on.
 
     The table has 2^SLOTS entries whatever the input; at most ``TABLE`` shingles enter it, the most
@@ -309,7 +315,7 @@ def rank_table(docs: DataFrame, key: str, text: str, span: int, percent: int, bi
                 rank = np.minimum(np.log2(n[many]).astype(np.uint8), 40)
                 yield pa.RecordBatch.from_arrays([pa.array([g["bucket"][0]], pa.int32()), pa.array([s[many].tobytes()], pa.binary()), pa.array([rank.tobytes()], pa.binary())], names=["bucket", "s", "rank"])
 
-    packed = entries(docs, key, text, span, percent, bits, chosen, wanted, None)
+    packed = entries(texts, span, percent, bits, None)
     counted = workspace.store(_grouped(packed).mapInArrow(count, "bucket int, s binary, rank binary"), "ranks")
 
     def spread(batches):
@@ -341,42 +347,42 @@ def rank_table(docs: DataFrame, key: str, text: str, span: int, percent: int, bi
 
 
 def regions(packed: DataFrame, run: int = 1 << 15) -> DataFrame:
-    """s, pivot, nodes: members (packed, in runs) of every region of two nodes or more; the pivot is the
-    least of them. Regions with the same members are the same region: ``s`` is a hash of the members."""
+    """s, pivot, np, nodes, sizes: members (packed, in runs) of every region of two nodes or more; the pivot is
+    the least of them. Regions with the same members are the same region: ``s`` is a hash of the members."""
 
     def gather(batches):
         for g in by_bucket(batches):
-            s = np.concatenate([np.frombuffer(x, np.uint32) for x in g["s"]])
-            who = np.concatenate([np.frombuffer(x, np.int64) for x in g["nodes"]])
+            s, who, n = (np.concatenate([np.frombuffer(x, t) for x in g[c]]) for c, t in (("s", np.uint32), ("nodes", np.int64), ("sizes", np.int32)))
             order = np.lexsort((who, s))
-            s, who = s[order], who[order]
+            s, who, n = s[order], who[order], n[order]
             new = np.ones(len(s), bool)
             new[1:] = (s[1:] != s[:-1]) | (who[1:] != who[:-1])
-            s, who = s[new], who[new]
+            s, who, n = s[new], who[new], n[new]
             start = np.flatnonzero(np.concatenate([[True], s[1:] != s[:-1]]))
             size = np.diff(np.append(start, len(s)))
             out = []
-            for a, n in zip(start[size > 1].tolist(), size[size > 1].tolist(), strict=True):
-                own = who[a : a + n]
-                out += [(node_of(own), int(own[0]), own[c : c + run].tobytes()) for c in range(0, n, run)]
+            for a, m in zip(start[size > 1].tolist(), size[size > 1].tolist(), strict=True):
+                own = who[a : a + m]
+                out += [(node_of(own), int(own[0]), int(n[a]), own[c : c + run].tobytes(), n[a + c : a + min(m, c + run)].tobytes()) for c in range(0, m, run)]
             out = list(dict.fromkeys(out))
             if out:
-                keys, pivots, members = zip(*out, strict=True)
-                yield pa.RecordBatch.from_arrays([pa.array(keys, pa.int64()), pa.array(pivots, pa.int64()), pa.array(members, pa.binary())], names=["s", "pivot", "nodes"])
+                kinds = (pa.int64(), pa.int64(), pa.int64(), pa.binary(), pa.binary())
+                yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*out, strict=True), kinds, strict=True)], names=["s", "pivot", "np", "nodes", "sizes"])
 
-    return _grouped(packed).mapInArrow(gather, "s long, pivot long, nodes binary").distinct()
+    return _grouped(packed).mapInArrow(gather, "s long, pivot long, np long, nodes binary, sizes binary").distinct()
 
 
 def members(found: DataFrame) -> DataFrame:
-    """s, pivot, node: one row a member."""
+    """s, pivot, np, node, n: one row a member, with the sizes of both sets."""
 
     def spread(batches):
         for b in lean(batches):
-            for s, p, raw in zip(*(c.to_pylist() for c in b.columns), strict=True):
+            for s, p, m, raw, sizes in zip(*(c.to_pylist() for c in b.columns), strict=True):
                 who = np.frombuffer(raw, np.int64)
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(who), s)), pa.array(np.full(len(who), p)), pa.array(who)], names=["s", "pivot", "node"])
+                cols = [np.full(len(who), s), np.full(len(who), p), np.full(len(who), m), who, np.frombuffer(sizes, np.int32).astype(np.int64)]
+                yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in cols], names=["s", "pivot", "np", "node", "n"])
 
-    return found.mapInArrow(spread, "s long, pivot long, node long")
+    return found.mapInArrow(spread, "s long, pivot long, np long, node long, n long")
 
 
 def texts_of(docs: DataFrame, nodes: DataFrame, text: str, span: int) -> DataFrame:
@@ -408,73 +414,175 @@ def texts_of(docs: DataFrame, nodes: DataFrame, text: str, span: int) -> DataFra
     return picked.groupBy("node").agg(F.first("t").alias("t"))
 
 
-def distances(pairs: DataFrame, t: DataFrame, span: int) -> DataFrame:
-    """a, b, na, nb, shared: exact set sizes and intersections of pairs of nodes. ``t``: node, t."""
-    joined = pairs.join(t.select(F.col("node").alias("b"), F.col("t").alias("tb")), "b").join(t.select(F.col("node").alias("a"), F.col("t").alias("ta")), "a")
+def common(x: np.ndarray, y: np.ndarray) -> int:
+    at = np.minimum(np.searchsorted(x, y), len(x) - 1)
+    return int((x[at] == y).sum())
+
+
+def within(shared, na, nb, percent: int):
+    return 100 * shared >= percent * (na + nb - shared)
+
+
+LINK = "a long, b long, na long, nb long, shared long"
+
+
+def link_batch(rows: list) -> pa.RecordBatch:
+    cols = list(zip(*rows, strict=True)) or [()] * 5
+    return pa.RecordBatch.from_arrays([pa.array(list(map(int, c)), pa.int64()) for c in cols], names=["a", "b", "na", "nb", "shared"])
+
+
+def star_links(pairs: DataFrame, t: DataFrame, span: int, percent: int) -> DataFrame:
+    """Links among pairs of a pivot and a node (a, b). ``t``: node, t.
+
+    Nodes are dealt by pivot, those of one that has many in parts; the pivot's text goes to each part once.
+    """
+    parts = F.ceil(F.col("n") / PART).cast("int")
+    pivots = pairs.groupBy("a").agg(F.count("*").alias("n")).select("a", parts.alias("parts"))
+    many = pivots.filter("parts > 1")
+    part = F.pmod(F.xxhash64("b"), F.coalesce("parts", F.lit(1))).cast("int")
+    right = pairs.join(many, "a", "left").select("a", part.alias("part"), F.lit(1).alias("kind"), F.col("b").alias("node"))
+    left = pivots.select("a", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("part"), F.lit(0).alias("kind"), F.col("a").alias("node"))
+    rows = left.unionByName(right).join(t, "node").select("a", "part", "kind", "node", "t")
 
     def compare(batches):
-        last, sa = None, None
+        pivot, first = None, None
         for b in lean(batches):
-            a_ids, ta = b.column("a").to_pylist(), b.column("ta")
-            na, nb, shared = [], [], []
-            for i, sb in enumerate(sets_of(b.column("tb"), span)):
-                if a_ids[i] != last:
-                    last, sa = a_ids[i], next(sets_of(ta.slice(i, 1), span))
-                na.append(len(sa))
-                nb.append(len(sb))
-                at = np.minimum(np.searchsorted(sa, sb), len(sa) - 1)
-                shared.append(int((sa[at] == sb).sum()))
-            yield pa.RecordBatch.from_arrays([b.column("a"), b.column("b"), *(pa.array(x, pa.int64()) for x in (na, nb, shared))], names=["a", "b", "na", "nb", "shared"])
-
-    return joined.select("a", "b", "ta", "tb").mapInArrow(compare, "a long, b long, na long, nb long, shared long")
-
-
-def crowd_links(crowds: DataFrame, t: DataFrame, span: int, percent: int) -> DataFrame:
-    """Links between classes inside large open regions (rows: s, pivot, node, label, n).
-
-    Regions that share members are one crowd. Its nodes, ordered by size, form blocks; a pair of blocks
-    goes to one task if the sizes of some two of their nodes are alike, and gives only links that join
-    classes not yet joined there. No pair of nodes is ever a row.
+            out = []
+            for a, kind, node, s in zip(*(b.column(c).to_pylist() for c in ("a", "kind", "node")), sets_of(b.column("t"), span), strict=True):
+                if not kind:
+                    pivot, first = a, s
+                    continue
+                if pivot != a:
+                    raise ValueError("a group without its pivot")
+                shared = common(first, s)
+                if within(shared, len(first), len(s), percent):
+                    out.append((a, node, len(first), len(s), shared))
+            if out:
+                yield link_batch(out)
+
+    return rows.repartition("a", "part").sortWithinPartitions("a", "part", "kind").mapInArrow(compare, LINK)
+
+
+def joined(sets: list, nodes: list, labels: list, percent: int) -> list:
+    """Links among nodes of different classes, one for each two classes that meet (they join there and then)."""
+    n, shared, out = np.array([len(x) for x in sets]), intersections(sets, sets), []
+    ok = np.triu(within(shared, n[:, None], n[None, :], percent), 1)
+    at, up = np.argwhere(ok).tolist(), {}
+    for i, j in at:
+        a, b = root(up, labels[i]), root(up, labels[j])
+        if a != b:
+            up[a] = b
+            out.append((nodes[i], nodes[j], n[i], n[j], shared[i, j]))
+    return out
+
+
+def root(up: dict, x: int) -> int:
+    while (y := up.get(x, x)) != x:
+        up[x] = x = up.get(y, y)
+    return x
+
+
+def leaf_links(cells: DataFrame, t: DataFrame, span: int, percent: int) -> DataFrame:
+    """Links between classes inside small regions (rows: cell, node, label)."""
+
+    def solve(batches):
+        now, sets, nodes, labels, out = None, [], [], [], []
+        for b in lean(batches):
+            for cell, node, label, s in zip(*(b.column(c).to_pylist() for c in ("cell", "node", "label")), sets_of(b.column("t"), span), strict=True):
+                if cell != now and sets:
+                    out += joined(sets, nodes, labels, percent)
+                    sets, nodes, labels = [], [], []
+                now = cell
+                sets.append(s)
+                nodes.append(node)
+                labels.append(label)
+            if out:
+                yield link_batch(out)
+                out = []
+        if sets and (out := joined(sets, nodes, labels, percent)):
+            yield link_batch(out)
+
+    rows = cells.select("cell", "node", "label").join(t, "node").select("cell", "node", "label", "t")
+    return rows.repartition("cell").sortWithinPartitions("cell").mapInArrow(solve, LINK)
+
+
+def voronoi(cells: DataFrame, t: DataFrame, span: int, percent: int, level: int) -> tuple[DataFrame, DataFrame]:
+    """(links of members to pivots; the Voronoi cells of each region, with replicas). Rows: cell, node, n, label, members."""
+    parts = F.ceil(F.col("members") / PART).cast("int")
+    q = F.pmod(F.xxhash64("node", F.lit(level)), F.lit(PIVOTS))
+    pivots = cells.groupBy("cell", q.alias("q")).agg(F.min_by(F.struct("node", "n", "label", "members"), F.xxhash64(F.lit(level), "node")).alias("p")).select("cell", "p.*")
+    left = pivots.select("cell", F.explode(F.sequence(F.lit(0), parts - 1)).alias("part"), F.lit(0).alias("kind"), "node", "n", "label", "members")
+    right = cells.select("cell", F.pmod(F.xxhash64("node"), parts).cast("int").alias("part"), F.lit(1).alias("kind"), "node", "n", "label", "members")
+    rows = left.unionByName(right).join(t, "node").select("cell", "part", "kind", "node", "n", "label", "members", "t")
+    radius = 1 - percent / 100 + 1e-9
+    kinds = "cell long, node long, n long, parent long, a long, b long, na long, nb long, shared long"
+    names = kinds.replace(",", "").split()[0::2]
+
+    def settle(batches):
+        now, own = None, []
+        for b in lean(batches):
+            out = []
+            for cell, part, kind, node, n, label, size, s in zip(*(b.column(c).to_pylist() for c in ("cell", "part", "kind", "node", "n", "label", "members")), sets_of(b.column("t"), span), strict=True):
+                if (cell, part) != now:
+                    now, own = (cell, part), []
+                if not kind:
+                    own.append((node, label, s))
+                    continue
+                far = []
+                for p, other, ps in own:
+                    shared = common(ps, s)
+                    far.append(1 - shared / (len(ps) + len(s) - shared))
+                    if label != other and within(shared, len(ps), len(s), percent):
+                        out.append((None, None, None, None, p, node, len(ps), len(s), shared))
+                least = min(far)
+                into = [own[j][0] for j, d in enumerate(far) if d - least <= 2 * radius] if least <= FAR * radius else []
+                into += [None] if least > (FAR - 1) * radius else []
+                out += [(cell_id(cell, p), node, n, size, None, None, None, None, None) for p in into]
+            if out:
+                yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*out, strict=True)], names=names)
+
+    done = rows.repartition("cell", "part").sortWithinPartitions("cell", "part", "kind", "node").mapInArrow(settle, kinds)
+    done = workspace.store(done, "cells")
+    return done.filter("a is not null").select("a", "b", "na", "nb", "shared"), done.filter("a is null").select("cell", "node", "n", "parent")
+
+
+def cell_id(cell: int, pivot: int | None) -> int:
+    return int.from_bytes(hashlib.blake2b(f"{cell}/{pivot}".encode(), digest_size=8).digest(), "little", signed=True)
+
+
+def block_links(cells: DataFrame, t: DataFrame, span: int, percent: int) -> DataFrame:
+    """Links between classes inside large cells whose distances are all alike (rows: cell, node, label, n).
+
+    The nodes of a cell, ordered by size, form blocks; a pair of blocks goes to one task if the sizes
+    of some two of their nodes are alike, and gives only links that join classes not yet joined there.
     """
-    edges = crowds.select(F.concat(F.lit("r"), "s").alias("a"), F.concat(F.lit("n"), "node").alias("b"))
-    crowd = components(edges).filter(F.col("node").startswith("n")).select(F.substring("node", 2, 30).cast("long").alias("node"), F.col("label").alias("crowd"))
-    rows = crowds.select("node", "label", "n").distinct().join(crowd, "node")
-    place = F.row_number().over(Window.partitionBy("crowd").orderBy("n", "node")) - 1
-    rows = rows.withColumn("block", F.floor(place / BLOCK).cast("int"))
-    ends = rows.groupBy("crowd", "block").agg(F.min("n").alias("low"), F.max("n").alias("high"))
-    other = ends.select("crowd", F.col("block").alias("with"), F.col("low").alias("low2"), F.col("high").alias("high2"))
-    pairs = ends.join(other, "crowd").filter((F.col("block") <= F.col("with")) & (100 * F.col("high") >= percent * F.col("low2")))
-    pairs = pairs.select("crowd", F.col("block").alias("i"), F.col("with").alias("j"))
+    spot = F.col("n") * 64 + F.shiftrightunsigned(F.xxhash64("node"), 58)
+    rows = running(cells.select("cell", "node", "label", "n", F.lit(1).alias("one")), "cell", spot, ["node"], "one")
+    rows = rows.select("cell", "node", "label", "n", F.floor(F.col("before") / BLOCK).cast("int").alias("block"))
+    ends = rows.groupBy("cell", "block").agg(F.min("n").alias("low"), F.max("n").alias("high"))
+    other = ends.select("cell", F.col("block").alias("with"), F.col("low").alias("low2"), F.col("high").alias("high2"))
+    pairs = ends.join(other, "cell").filter((F.col("block") <= F.col("with")) & (100 * F.col("high") >= percent * F.col("low2")))
+    pairs = pairs.select("cell", F.col("block").alias("i"), F.col("with").alias("j"))
     sides = pairs.select("*", F.explode(F.array_distinct(F.array("i", "j"))).alias("block"))
-    sent = rows.join(sides, ["crowd", "block"]).join(t, "node").select("crowd", "i", "j", "block", "node", "label", "t")
+    sent = rows.join(sides, ["cell", "block"]).join(t, "node").select("cell", "i", "j", "block", "node", "label", "t")
 
     def compare(table: pa.Table) -> pa.Table:
         table = table.combine_chunks()
         sets = [s for c in table["t"].chunks for s in sets_of(c, span)]
-        nodes, labels, block = (table[c].to_numpy() for c in ("node", "label", "block"))
+        nodes, labels, block = (table[c].to_pylist() for c in ("node", "label", "block"))
         i, j = table["i"][0].as_py(), table["j"][0].as_py()
-        left, right = np.flatnonzero(block == i), np.flatnonzero(block == j)
+        left, right = ([k for k, b in enumerate(block) if b == side] for side in (i, j))
         shared = intersections([sets[k] for k in left], [sets[k] for k in right])
         na, nb = (np.array([len(sets[k]) for k in side]) for side in (left, right))
-        ok = 100 * shared >= percent * (na[:, None] + nb[None, :] - shared)
-        ok &= labels[left][:, None] != labels[right][None, :]
-        up: dict[int, int] = {}
-
-        def root(x: int) -> int:
-            while (y := up.get(x, x)) != x:
-                up[x] = x = up.get(y, y)
-            return x
-
-        out = []
-        for a, b in np.argwhere(ok).tolist():
-            ra, rb = root(int(labels[left[a]])), root(int(labels[right[b]]))
+        out, up = [], {}
+        for a, b in np.argwhere(within(shared, na[:, None], nb[None, :], percent)).tolist():
+            ra, rb = root(up, labels[left[a]]), root(up, labels[right[b]])
             if ra != rb:
                 up[ra] = rb
                 out.append((nodes[left[a]], nodes[right[b]], na[a], nb[b], shared[a, b]))
-        cols = list(zip(*out, strict=True)) or [()] * 5
-        return pa.table({n: pa.array(list(map(int, c)), pa.int64()) for n, c in zip(("a", "b", "na", "nb", "shared"), cols, strict=True)})
+        return pa.Table.from_batches([link_batch(out)])
 
-    return sent.groupBy("crowd", "i", "j").applyInArrow(compare, "a long, b long, na long, nb long, shared long")
+    return sent.groupBy("cell", "i", "j").applyInArrow(compare, LINK)
 
 
 def intersections(left: list[np.ndarray], right: list[np.ndarray], step: int = 4_000_000) -> np.ndarray:
@@ -513,73 +621,36 @@ def classes(docs: DataFrame, key: str = "doc_id", text: str = "text", span: int
 
     kind = docs.schema[key].dataType.simpleString()
     rows = workspace.store(docs.select(key, text).mapInArrow(describe, f"`{key}` {kind}, n_shingles long, node long"), "rows")
-    # nodes that can have a partner; where they are few their list keeps all others out of what follows
+    # nodes that can have a partner, and one text of each
     sizes = workspace.store(crowded(docs, rows.filter("node is not null"), text, span, percent, bits), "candidates")
-    listed = sizes.select("node").limit(LISTED + 1).toArrow()["node"].to_numpy()
-    wanted = np.sort(listed) if len(listed) <= LISTED else None
-    chosen = chosen_rows(rows.join(sizes.select("node"), "node", "left_semi"), key)
-    ranks = rank_table(docs, key, text, span, percent, bits, chosen, wanted)
-    found = workspace.store(regions(entries(docs, key, text, span, percent, bits, chosen, wanted, ranks)), "regions")
-    del ranks, chosen, wanted, listed
-    own = workspace.store(members(found).join(sizes, "node"), "in_regions")
-    texts = workspace.store(texts_of(docs, own.select("node").distinct(), text, span), "texts")
-    near = 100 * F.col("shared") >= percent * (F.col("na") + F.col("nb") - F.col("shared"))
-
-    def alike(x, y):  # sets within the radius have sizes like that
-        return 100 * F.least(x, y) >= percent * F.greatest(x, y)
-
-    def star(rows_):
-        """Distances of members to their region's pivot, where sizes allow a link."""
-        p = rows_.filter("node = pivot").select("s", F.col("n").alias("np"))
-        pairs = rows_.filter("node <> pivot").join(p, "s").filter(alike("n", "np")).select(F.col("pivot").alias("a"), F.col("node").alias("b")).distinct()
-        return pairs
-
-    known = workspace.store(distances(star(own), texts, span), "distances")
-    first = components(known.filter(near))
-    windows = []
-    open_rows = own
-    for turn in range(ROUNDS + 1):
+    texts = workspace.store(texts_of(docs, sizes.select("node"), text, span), "texts")
+    found = regions(entries(texts, span, percent, bits, rank_table(texts, span, percent, bits)))
+    own = workspace.store(members(found), "in_regions")
+
+    # sets within the radius have sizes like that
+    alike = 100 * F.least("n", "np") >= percent * F.greatest("n", "np")
+    pairs = own.filter((F.col("node") != F.col("pivot")) & alike).select(F.col("pivot").alias("a"), F.col("node").alias("b")).distinct()
+    links = workspace.store(star_links(workspace.store(pairs, "pairs"), texts, span, percent), "links")
+    cells = own.select(F.col("s").alias("cell"), "node", "n", F.lit(None).cast("long").alias("parent"))
+    for level in range(LEVELS + 1):
+        label = components(links)
+        now = cells.join(label, "node", "left").withColumn("label", F.coalesce("label", "node"))
         # regions whose members are not all in one class stay open
-        held = ["s", "node", "n", "pivot", *windows]
-        labelled = open_rows.select(*held).join(first, "node", "left").withColumn("label", F.coalesce("label", "node"))
-        still = labelled.groupBy("s").agg(F.min("label").alias("lo"), F.max("label").alias("hi")).filter("lo <> hi").select("s")
-        labelled = labelled.join(still, "s", "left_semi")
-        # what is known of each member's distance to the region's present pivot
-        gap = known.select(F.least("a", "b").alias("_x"), F.greatest("a", "b").alias("_y"), (1 - F.col("shared") / (F.col("na") + F.col("nb") - F.col("shared"))).alias("_d"))
-        p = labelled.filter("node = pivot").select("s", F.col("n").alias("_np"))
-        seen = labelled.join(p, "s").withColumn("_x", F.least("node", "pivot")).withColumn("_y", F.greatest("node", "pivot")).join(gap, ["_x", "_y"], "left")
-        lo = F.when(F.col("node") == F.col("pivot"), 0.0).otherwise(F.coalesce("_d", 1 - F.least("n", "_np") / F.greatest("n", "_np")))
-        hi = F.when(F.col("node") == F.col("pivot"), 0.0).otherwise(F.coalesce("_d", F.lit(1.0)))
-        open_rows = workspace.store(seen.withColumn(f"lo{turn}", lo).withColumn(f"hi{turn}", hi).select(*held, "label", f"lo{turn}", f"hi{turn}"), "open")
-        windows += [f"lo{turn}", f"hi{turn}"]
-        if turn == ROUNDS or open_rows.isEmpty():
+        still = now.groupBy("cell").agg(F.count("*").alias("members"), F.min("label").alias("_lo"), F.max("label").alias("_hi")).filter("_lo <> _hi").select("cell", "members")
+        now = workspace.store(now.join(still, "cell"), "open")
+        small = F.col("members") <= LEAF
+        alike = ~small & (F.coalesce(F.col("members") > SHRINK * F.col("parent"), F.lit(False)) if level < LEVELS else F.lit(True))
+        kinds = now.agg(*[F.count(F.when(k, 1)) for k in (small, alike, ~small & ~alike)]).first()
+        if kinds[0]:
+            links = links.unionByName(workspace.store(leaf_links(now.filter(small), texts, span, percent), "links"))
+        if kinds[1]:
+            links = links.unionByName(workspace.store(block_links(now.filter(alike), texts, span, percent), "links"))
+        if not kinds[2]:
+            label = components(links) if kinds[0] or kinds[1] else label
             break
-        # another pivot for each open region; members already in its class need not be compared
-        w = open_rows.groupBy("s").agg(F.min_by("node", F.xxhash64("node", F.lit(turn))).alias("_p"))
-        open_rows = open_rows.join(w, "s").withColumn("pivot", F.col("_p")).drop("_p")
-        p = open_rows.filter("node = pivot").select("s", F.col("label").alias("_l"))
-        fresh = star(open_rows.join(p, "s").filter((F.col("label") != F.col("_l")) | (F.col("node") == F.col("pivot"))))
-        fresh = fresh.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
-        fresh = fresh.join(known.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")), ["a", "b"], "left_anti")
-        known = known.unionByName(workspace.store(distances(fresh, texts, span), "distances"))
-        first = components(known.filter(near))
-    links = known.filter(near)
-    if not open_rows.isEmpty():
-        sized = open_rows.groupBy("s").agg(F.count("*").alias("members"))
-        small = open_rows.join(sized.filter(F.col("members") <= CROWD).select("s"), "s", "left_semi")
-        columns = ("s", "node", "label", "n", *windows)
-        x, y = (small.select(*[F.col(c).alias(c + e) for c in columns]) for e in "xy")
-        radius = 1 - percent / 100 + 1e-9
-        window = (x.sx == y.sy) & (x.nodex < y.nodey) & (x.labelx != y.labely) & alike("nx", "ny")
-        for i in range(len(windows) // 2):
-            window &= (F.col(f"lo{i}x") - F.col(f"hi{i}y") <= radius) & (F.col(f"lo{i}y") - F.col(f"hi{i}x") <= radius)
-        again = x.join(y, window).select(F.col("nodex").alias("a"), F.col("nodey").alias("b")).distinct()
-        again = again.join(known.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")), ["a", "b"], "left_anti")
-        links = links.unionByName(workspace.store(distances(workspace.store(again, "again"), texts, span), "distances").filter(near))
-        crowds = open_rows.join(sized.filter(F.col("members") > CROWD).select("s"), "s", "left_semi")
-        links = links.unionByName(workspace.store(crowd_links(crowds, texts, span, percent), "crowds"))
-        first = components(links)
-    member = rows.join(first, "node", "left").withColumn("label", F.coalesce("label", "node"))
+        more, cells = voronoi(now.filter(~small & ~alike), texts, span, percent, level)
+        links = links.unionByName(more)
+    member = rows.join(label, "node", "left").withColumn("label", F.coalesce("label", "node"))
     return member, links
 
 
