@@ -215,15 +215,35 @@ def test_mixing(docs, none, rows):
     assert mix(none).count() == 0
 
 
-def test_schedule_spreads(spark):
+def test_schedule_spreads(spark, monkeypatch):
     from fsmeta.llm import mixing
 
+    monkeypatch.setattr(mixing, "ROWS_A_BUCKET", 64)
     s = spark.createDataFrame([(0, "a", 6000, 6000.0), (1, "b", 2000, 2000.0), (2, "c", 1000, 2000.0)], "sid int, source string, source_size long, target double").withColumns({"rows": F.lit(1), "weight": F.lit(1.0)})
     slots = mixing.schedule(mixing.plan(s, 10)).orderBy("slot").collect()
-    assert len(slots) == 1000
-    half = Counter(r["sid"] for r in slots[:500])
-    assert all(abs(half[k] - n / 2) <= 6 for k, n in ((0, 600), (1, 200), (2, 200)))
-    assert Counter(r["sid"] for r in slots) == {0: 600, 1: 200, 2: 200}
+    assert [r["slot"] for r in slots] == list(range(1000))
+    seen, quota = Counter(), {0: 600, 1: 200, 2: 200}
+    for i, r in enumerate(slots, 1):
+        assert r["rank"] == seen[r["sid"]] and r["block"] == r["rank"] % {0: 600, 1: 200, 2: 100}[r["sid"]]
+        seen[r["sid"]] += 1
+        # every prefix holds each source in its share, but for a few slots
+        assert all(abs(seen[k] - i * n / 1000) <= 4 for k, n in quota.items())
+    assert seen == quota
+
+
+def test_mix_is_what_its_slots_hold(docs, rows):
+    from fsmeta.llm import mixing
+
+    taken, first, n = Counter(), {}, Counter()
+    for r in mixing.mixed(docs, block=16).collect():
+        assert 0 <= r["lo"] < r["hi"]
+        taken[r["doc_id"]] += r["hi"] - r["lo"]
+        first[r["doc_id"]] = min(first.get(r["doc_id"], 1 << 60), r["slot"])
+        n[r["doc_id"]] += 1
+    for r in mixing.mix(docs, block=16).collect():
+        if r["doc_id"] != 1:  # two equal rows
+            assert (r["taken"], r["first_slot"], r["n_slots"]) == (taken[r["doc_id"]], first.get(r["doc_id"]), n[r["doc_id"]])
+    assert sum(r["taken"] for r in mixing.mix(docs, block=16).collect()) == sum(taken.values())
 
 
 def base_of(t):
@@ -307,17 +327,40 @@ def variants(n, seed=3):
     return out + [(1000 + i, text_of(300 + i, 40) + " " + text_of(22, 60)) for i in range(20)]
 
 
-@pytest.mark.parametrize("crowd,block,rounds,listed", [(48, 256, 0, 2_000_000), (4, 8, 3, 2_000_000), (1000, 256, 2, 2_000_000), (0, 16, 0, 5)])
-def test_jaccard_join_near_copies(spark, monkeypatch, crowd, block, rounds, listed):
+@pytest.mark.parametrize("leaf,shrink,pivots,listed,part", [(48, 0.9, 16, 2_000_000, 512), (3, 2.0, 4, 2_000_000, 7), (0, 0.0, 3, 5, 3)])
+def test_jaccard_join_near_copies(spark, monkeypatch, leaf, shrink, pivots, listed, part):
     from fsmeta.llm import jaccard_join as jj
 
-    for name, v in (("CROWD", crowd), ("BLOCK", block), ("ROUNDS", rounds), ("LISTED", listed), ("PIECE", 900)):
+    for name, v in (("LEAF", leaf), ("BLOCK", 16), ("SHRINK", shrink), ("PIVOTS", pivots), ("LISTED", listed), ("PART", part), ("PIECE", 900), ("LEVELS", 3)):
         monkeypatch.setattr(jj, name, v)
     pairs = variants(60)
     d = spark.createDataFrame(pairs, "doc_id long, text string").repartition(4)
     assert as_rows(jj.join_components(d), "doc_id", "n_shingles", "component_id") == components_by_hand(pairs)
 
 
+@pytest.mark.parametrize("percent", [50, 90, 95])
+def test_jaccard_join_thresholds(spark, percent):
+    from fsmeta.llm import jaccard_join as jj
+
+    words = text_of(40, 80).split()
+    pairs = [(i, " ".join(words[:n])) for i, n in enumerate(range(5, 80, 3))] + [(100 + i, " ".join(words[i:])) for i in range(0, 60, 7)] + [(200, " ".join(words[:14])), (201, " ".join(words[:13]))] + variants(12)
+    pairs = [(1000 * (k >= 1000) + i, t) for i, (k, t) in enumerate(pairs)]
+    d = spark.createDataFrame(pairs, "doc_id long, text string").repartition(3)
+    assert as_rows(jj.join_components(d, percent=percent), "doc_id", "n_shingles", "component_id") == components_by_hand(pairs, percent)
+
+
+def test_first_shingles_suffice():
+    """Whatever the sizes of two partners, each finds as many shared first shingles as it needs."""
+    from fsmeta.llm.jaccard_join import needed, overlap, shipped
+
+    for percent in range(5, 101, 5):
+        for n in range(1, 120):
+            assert 1 <= shipped(n, percent) <= overlap(n, percent) <= n
+            for m in range(overlap(n, percent), n + 1):
+                both = min(shipped(n, percent), shipped(m, percent))
+                assert needed(n, percent) <= both and needed(m, percent) <= both
+
+
 def repeats_by_hand(texts, length):
     c = Counter(b[i : i + length] for b in texts for i in range(len(b) - length + 1))
     out = []
@@ -332,7 +375,7 @@ def repeats_by_hand(texts, length):
     return out
 
 
-@pytest.mark.parametrize("length,listed,span_bytes,piece,crowd", [(200, 10**6, 10**8, 1 << 19, 10**5), (200, 0, 0, 1000, 1), (40, 10**6, 0, 300, 2), (7, 0, 10**8, 100, 10**5)])
+@pytest.mark.parametrize("length,listed,span_bytes,piece,crowd", [(200, 10**6, 10**8, 1 << 19, 10**5), (200, 0, 0, 1000, 0), (40, 10**6, 0, 300, 2), (7, 0, 10**8, 100, 10**5)])
 def test_suffix_dedup(spark, docs, none, rows, monkeypatch, length, listed, span_bytes, piece, crowd):
     from fsmeta.llm import suffix_dedup as sd
 
