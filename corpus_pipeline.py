@@ -32,7 +32,8 @@ def classify(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def deduplicate(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each near-duplicate group, that of the least doc_id; texts without words stay."""
+    """One document of each near-duplicate group, that of the least doc_id. Texts without words and rows
+    without a key stay, but of rows equal in key and text one does; an empty table stays empty."""
     member = workspace.store(jaccard_join.join_components(docs), "members")
     sizes = member.agg(F.count("doc_id").alias("n"), F.countDistinct("doc_id").alias("d")).first()
     kept = without(docs, member.filter(F.col("doc_id") != F.col("component_id")).select("doc_id").distinct())
@@ -41,14 +42,17 @@ def deduplicate(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def decontaminate(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that hold no benchmark item."""
+    """Documents that hold no benchmark item. Null texts hold none; rows without a key stay, as they can't be named."""
     found = decontamination.leaks(docs, table(spark, sf_dir, "benchmark"))
     return without(docs, found.select("doc_id").distinct())
 
 
 def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents as often as the mix takes their words, rounded to whole documents."""
-    keyed = docs.withColumn("_row_key", F.xxhash64("doc_id", "text", "source"))
+    """Documents as often as the mix takes their words, rounded to whole documents. Null and empty texts have
+    no words and are not taken; rows equal in key, text and source share what they are taken; an empty table stays empty."""
+    # a hash passes nulls over: what is null counts too
+    parts = ("doc_id", "text", "source")
+    keyed = docs.withColumn("_row_key", F.xxhash64(*parts, *[F.col(c).isNull() for c in parts]))
     mixed = mixing.mix(keyed, key="_row_key")
     copies = mixed.groupBy("doc_id").agg(F.sum("taken").alias("taken"), F.sum("size").alias("size"))
     copies = copies.select(F.col("doc_id").alias("_row_key"), F.round(F.col("taken") / F.greatest("size", F.lit(1))).cast("int").alias("_copies")).filter("_copies > 0")
@@ -57,7 +61,8 @@ def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def write_ids(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """doc_id, start, n_tokens, ids_crc32 of each document, read back from the id files."""
+    """doc_id, start, n_tokens, ids_crc32 of each document, read back from the id files. Null texts are the end
+    id alone; rows without a key come first; repeated rows are all written; an empty table gives no rows."""
     return token_output.store_tokens(docs, cache_entries=300_000)
 
 
