@@ -8,18 +8,23 @@ first n - ceil(t n) + 1 shingles in any fixed order of all shingles, and each su
 shingle is a region. The order is by hash with the most frequent shingles last, so that common
 passages open no regions.
 
-1. Each region has a first pivot; members within the radius of it are linked to it. Regions
-   whose members are all in one class by then are settled.
-2. An open region of more than ``LEAF`` members gets several pivots. Every member's distances to
-   them are worked out, and it goes to the Voronoi cell of the nearest. By the triangle inequality
-   a partner of a member with nearest pivot p can lie in the cell of q only if the member's
+1. Each region has a first pivot, and every member's distance to it is worked out (linear in the
+   region's size). Members within the radius of it are linked to it. Regions whose members are all
+   in one class by then are settled.
+2. In open regions of at most ``LEAF`` members two others can be within the radius of each other only if
+   their distances to the pivot differ by no more than it (triangle inequality) and their sizes
+   allow it; what these windows leave across classes is compared.
+3. Larger open regions that share members become one, and get several pivots. Every member's
+   distances to them are worked out, and it goes to the Voronoi cell of the nearest. By the triangle
+   inequality a partner of a member with nearest pivot p can lie in the cell of q only if the member's
    distances to q and p differ by at most two radii: within that window it is replicated to the
    cell of q. Members farther than ``FAR`` radii from all pivots, and those within one radius of
-   that border, form the cell of the rest. Cells are regions again, and are joined in the same way.
-3. Open regions of at most ``LEAF`` members are joined in one task each. Cells that a level leaves
-   nearly as large as before (distances all alike) are joined in blocks by set size.
+   that border, form the cell of the rest. Open cells are regions again, and are joined in the same way;
+   those of at most ``CELL`` members in one task each. A region whose cells with their replicas would
+   be no less work than itself (distances all alike) is joined in blocks by set size instead.
 
-No step makes a row for each pair of members. The classes, connected components of the links, are exact.
+The rows of step 2 are at most LEAF / 2 for each member of a region; step 3 makes none for pairs. The
+classes, connected components of the links, are exact.
 
 Defined results: texts without words and null texts are empty sets, linked with nothing; fewer
 words than a shingle form one shingle; rows with equal sets are in one class; a null key stands
@@ -43,10 +48,11 @@ from fsmeta.plans import workspace
 PIECE = 1 << 19
 #: The rank table has 2^SLOTS bytes and takes at most TABLE shingles. ZONE: percent of a set's shingles, by hash, that are counted.
 SLOTS, TABLE, ZONE = 24, 4_000_000, 60
-#: Members that a region may have to be joined in one task; pivots of a larger one; radii within which a pivot has a cell.
-LEAF, PIVOTS, FAR = 48, 16, 2
-#: A cell with more than SHRINK of its region's members, or deeper than LEVELS, is joined in blocks of BLOCK nodes.
-SHRINK, LEVELS, BLOCK = 0.9, 12, 256
+#: Members of a region whose windows are looked at as rows; members that one task joins; pivots of a larger region;
+#: radii within which a pivot has a cell.
+LEAF, CELL, PIVOTS, FAR = 48, 512, 16, 2
+#: The cells of a region must need less than SHRINK of its comparisons, else (or deeper than LEVELS) it is joined in blocks of BLOCK nodes.
+SHRINK, LEVELS, BLOCK = 0.5, 12, 256
 #: Rows of one group that a task reads at most, about; groups with more are dealt in parts.
 PART = 512
 #: Nodes whose texts are fetched by a broadcast list (8 bytes each) at most; more are fetched by a shuffle join.
@@ -431,8 +437,8 @@ def link_batch(rows: list) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(list(map(int, c)), pa.int64()) for c in cols], names=["a", "b", "na", "nb", "shared"])
 
 
-def star_links(pairs: DataFrame, t: DataFrame, span: int, percent: int) -> DataFrame:
-    """Links among pairs of a pivot and a node (a, b). ``t``: node, t.
+def star_distances(pairs: DataFrame, t: DataFrame, span: int) -> DataFrame:
+    """Set sizes and intersections of pairs of a pivot and a node (a, b). ``t``: node, t.
 
     Nodes are dealt by pivot, those of one that has many in parts; the pivot's text goes to each part once.
     """
@@ -454,9 +460,7 @@ def star_links(pairs: DataFrame, t: DataFrame, span: int, percent: int) -> DataF
                     continue
                 if pivot != a:
                     raise ValueError("a group without its pivot")
-                shared = common(first, s)
-                if within(shared, len(first), len(s), percent):
-                    out.append((a, node, len(first), len(s), shared))
+                out.append((a, node, len(first), len(s), common(first, s)))
             if out:
                 yield link_batch(out)
 
@@ -466,7 +470,8 @@ def star_links(pairs: DataFrame, t: DataFrame, span: int, percent: int) -> DataF
 def joined(sets: list, nodes: list, labels: list, percent: int) -> list:
     """Links among nodes of different classes, one for each two classes that meet (they join there and then)."""
     n, shared, out = np.array([len(x) for x in sets]), intersections(sets, sets), []
-    ok = np.triu(within(shared, n[:, None], n[None, :], percent), 1)
+    lab = np.array(labels)
+    ok = np.triu(within(shared, n[:, None], n[None, :], percent) & (lab[:, None] != lab[None, :]), 1)
     at, up = np.argwhere(ok).tolist(), {}
     for i, j in at:
         a, b = root(up, labels[i]), root(up, labels[j])
@@ -506,8 +511,9 @@ def leaf_links(cells: DataFrame, t: DataFrame, span: int, percent: int) -> DataF
     return rows.repartition("cell").sortWithinPartitions("cell").mapInArrow(solve, LINK)
 
 
-def voronoi(cells: DataFrame, t: DataFrame, span: int, percent: int, level: int) -> tuple[DataFrame, DataFrame]:
-    """(links of members to pivots; the Voronoi cells of each region, with replicas). Rows: cell, node, n, label, members."""
+def voronoi(cells: DataFrame, t: DataFrame, span: int, percent: int, level: int) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """(links of members to pivots; the Voronoi cells of each region with replicas: cell, node, n, up (the region);
+    the regions whose cells are not worth it). Rows: cell, node, n, label, members."""
     parts = F.ceil(F.col("members") / PART).cast("int")
     q = F.pmod(F.xxhash64("node", F.lit(level)), F.lit(PIVOTS))
     pivots = cells.groupBy("cell", q.alias("q")).agg(F.min_by(F.struct("node", "n", "label", "members"), F.xxhash64(F.lit(level), "node")).alias("p")).select("cell", "p.*")
@@ -515,7 +521,7 @@ def voronoi(cells: DataFrame, t: DataFrame, span: int, percent: int, level: int)
     right = cells.select("cell", F.pmod(F.xxhash64("node"), parts).cast("int").alias("part"), F.lit(1).alias("kind"), "node", "n", "label", "members")
     rows = left.unionByName(right).join(t, "node").select("cell", "part", "kind", "node", "n", "label", "members", "t")
     radius = 1 - percent / 100 + 1e-9
-    kinds = "cell long, node long, n long, parent long, a long, b long, na long, nb long, shared long"
+    kinds = "cell long, node long, n long, up long, members long, a long, b long, na long, nb long, shared long"
     names = kinds.replace(",", "").split()[0::2]
 
     def settle(batches):
@@ -533,17 +539,20 @@ def voronoi(cells: DataFrame, t: DataFrame, span: int, percent: int, level: int)
                     shared = common(ps, s)
                     far.append(1 - shared / (len(ps) + len(s) - shared))
                     if label != other and within(shared, len(ps), len(s), percent):
-                        out.append((None, None, None, None, p, node, len(ps), len(s), shared))
+                        out.append((None, None, None, None, None, p, node, len(ps), len(s), shared))
                 least = min(far)
                 into = [own[j][0] for j, d in enumerate(far) if d - least <= 2 * radius] if least <= FAR * radius else []
                 into += [None] if least > (FAR - 1) * radius else []
-                out += [(cell_id(cell, p), node, n, size, None, None, None, None, None) for p in into]
+                out += [(cell_id(cell, p), node, n, cell, size, None, None, None, None, None) for p in into]
             if out:
                 yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*out, strict=True)], names=names)
 
     done = rows.repartition("cell", "part").sortWithinPartitions("cell", "part", "kind", "node").mapInArrow(settle, kinds)
     done = workspace.store(done, "cells")
-    return done.filter("a is not null").select("a", "b", "na", "nb", "shared"), done.filter("a is null").select("cell", "node", "n", "parent")
+    below = done.filter("a is null")
+    work = below.groupBy("up", "cell").agg(F.count("*").cast("double").alias("m"), F.max("members").cast("double").alias("of")).groupBy("up").agg(F.sum(F.col("m") * F.col("m")).alias("work"), F.max("of").alias("of"))
+    costly = workspace.store(work.filter(F.col("work") > SHRINK * F.col("of") * F.col("of")).select(F.col("up").alias("cell")), "costly")
+    return done.filter("a is not null").select("a", "b", "na", "nb", "shared"), below.select("cell", "node", "n", "up"), costly
 
 
 def cell_id(cell: int, pivot: int | None) -> int:
@@ -607,6 +616,45 @@ def intersections(left: list[np.ndarray], right: list[np.ndarray], step: int = 4
     return out.reshape(len(left), len(right))
 
 
+def alike(x, y, percent: int):
+    """Sets within the radius have sizes like that."""
+    return 100 * F.least(x, y) >= percent * F.greatest(x, y)
+
+
+def distances_to_pivots(own: DataFrame, texts: DataFrame, span: int, percent: int) -> DataFrame:
+    """Of all members to the pivots of their regions, where sizes allow a link."""
+    pairs = own.filter((F.col("node") != F.col("pivot")) & alike("n", "np", percent)).select(F.col("pivot").alias("a"), F.col("node").alias("b")).distinct()
+    return workspace.store(star_distances(workspace.store(pairs, "pairs"), texts, span), "distances")
+
+
+def still_open(cells: DataFrame, label: DataFrame) -> DataFrame:
+    """The rows of regions whose members are not all in one class, with label and members."""
+    now = cells.join(label, "node", "left").withColumn("label", F.coalesce("label", "node"))
+    still = now.groupBy("cell").agg(F.count("*").alias("members"), F.min("label").alias("_lo"), F.max("label").alias("_hi")).filter("_lo <> _hi").select("cell", "members")
+    return now.join(still, "cell")
+
+
+def windowed_pairs(rows: DataFrame, known: DataFrame, percent: int) -> DataFrame:
+    """Pairs (a, b) of members of small regions that neither classes, sizes nor distances to the pivot exclude."""
+    gap = known.select(F.col("a").alias("pivot"), F.col("b").alias("node"), (1 - F.col("shared") / (F.col("na") + F.col("nb") - F.col("shared"))).alias("_d"))
+    # all distances to the pivot itself are known
+    rest = rows.filter("node <> pivot").join(gap, ["pivot", "node"], "left")
+    rest = rest.select("cell", "node", "label", "n", F.coalesce("_d", 1 - F.least("n", "np") / F.greatest("n", "np")).alias("lo"), F.coalesce("_d", F.lit(1.0)).alias("hi"))
+    x, y = (rest.select(*[F.col(c).alias(c + e) for c in rest.columns]) for e in "xy")
+    radius = 1 - percent / 100 + 1e-9
+    window = (F.col("lox") - F.col("hiy") <= radius) & (F.col("loy") - F.col("hix") <= radius)
+    may = (F.col("cellx") == F.col("celly")) & (F.col("nodex") < F.col("nodey")) & (F.col("labelx") != F.col("labely")) & alike("nx", "ny", percent) & window
+    return x.join(y, may).select(F.col("nodex").alias("a"), F.col("nodey").alias("b")).distinct()
+
+
+def crowds(rows: DataFrame) -> DataFrame:
+    """cell, node, n: large open regions, those that share members as one."""
+    rows = workspace.store(rows.select("cell", "node", "n"), "large")
+    edges = rows.select(F.concat(F.lit("r"), "cell").alias("a"), F.concat(F.lit("n"), "node").alias("b"))
+    own = components(edges).filter(F.col("node").startswith("n")).select(F.substring("node", 2, 30).cast("long").alias("node"), F.xxhash64("label").alias("cell"))
+    return workspace.store(rows.select("node", "n").distinct().join(own, "node").select("cell", "node", "n"), "crowds")
+
+
 def classes(docs: DataFrame, key: str = "doc_id", text: str = "text", span: int = 5, percent: int = 75) -> tuple[DataFrame, DataFrame]:
     """(membership: the key, n_shingles, node, label for each row; links: a, b, na, nb, shared
     between nodes). Links connect each class; pairs already in one class are not tried again."""
@@ -627,29 +675,30 @@ def classes(docs: DataFrame, key: str = "doc_id", text: str = "text", span: int
     found = regions(entries(texts, span, percent, bits, rank_table(texts, span, percent, bits)))
     own = workspace.store(members(found), "in_regions")
 
-    # sets within the radius have sizes like that
-    alike = 100 * F.least("n", "np") >= percent * F.greatest("n", "np")
-    pairs = own.filter((F.col("node") != F.col("pivot")) & alike).select(F.col("pivot").alias("a"), F.col("node").alias("b")).distinct()
-    links = workspace.store(star_links(workspace.store(pairs, "pairs"), texts, span, percent), "links")
-    cells = own.select(F.col("s").alias("cell"), "node", "n", F.lit(None).cast("long").alias("parent"))
+    near = within(F.col("shared"), F.col("na"), F.col("nb"), percent)
+    known = distances_to_pivots(own, texts, span, percent)
+    links = known.filter(near)
+    label = components(links)
+    open_rows = workspace.store(still_open(own.withColumnRenamed("s", "cell"), label), "open")
+    small = windowed_pairs(open_rows.filter(F.col("members") <= LEAF), known, percent)
+    links = links.unionByName(workspace.store(star_distances(workspace.store(small, "pairs"), texts, span).filter(near), "links"))
+    cells = crowds(open_rows.filter(F.col("members") > LEAF))
     for level in range(LEVELS + 1):
         label = components(links)
-        now = cells.join(label, "node", "left").withColumn("label", F.coalesce("label", "node"))
-        # regions whose members are not all in one class stay open
-        still = now.groupBy("cell").agg(F.count("*").alias("members"), F.min("label").alias("_lo"), F.max("label").alias("_hi")).filter("_lo <> _hi").select("cell", "members")
-        now = workspace.store(now.join(still, "cell"), "open")
-        small = F.col("members") <= LEAF
-        alike = ~small & (F.coalesce(F.col("members") > SHRINK * F.col("parent"), F.lit(False)) if level < LEVELS else F.lit(True))
-        kinds = now.agg(*[F.count(F.when(k, 1)) for k in (small, alike, ~small & ~alike)]).first()
+        now = workspace.store(still_open(cells, label), "open")
+        small = F.col("members") <= CELL
+        kinds = now.agg(F.count(F.when(small, 1)), F.count(F.when(~small, 1))).first()
         if kinds[0]:
             links = links.unionByName(workspace.store(leaf_links(now.filter(small), texts, span, percent), "links"))
         if kinds[1]:
-            links = links.unionByName(workspace.store(block_links(now.filter(alike), texts, span, percent), "links"))
-        if not kinds[2]:
+            wide = now.filter(~small)
+            more, cells, costly = voronoi(wide, texts, span, percent, level)
+            costly = costly if level < LEVELS else wide.select("cell").distinct()
+            links = links.unionByName(more).unionByName(workspace.store(block_links(wide.join(costly, "cell", "left_semi"), texts, span, percent), "links"))
+            cells = cells.join(costly.withColumnRenamed("cell", "up"), "up", "left_anti").drop("up")
+        if not kinds[1] or level == LEVELS:
             label = components(links) if kinds[0] or kinds[1] else label
             break
-        more, cells = voronoi(now.filter(~small & ~alike), texts, span, percent, level)
-        links = links.unionByName(more)
     member = rows.join(label, "node", "left").withColumn("label", F.coalesce("label", "node"))
     return member, links
 

@@ -327,11 +327,11 @@ def variants(n, seed=3):
     return out + [(1000 + i, text_of(300 + i, 40) + " " + text_of(22, 60)) for i in range(20)]
 
 
-@pytest.mark.parametrize("leaf,shrink,pivots,listed,part", [(48, 0.9, 16, 2_000_000, 512), (3, 2.0, 4, 2_000_000, 7), (0, 0.0, 3, 5, 3)])
+@pytest.mark.parametrize("leaf,shrink,pivots,listed,part", [(48, 0.9, 16, 2_000_000, 512), (3, 20.0, 4, 2_000_000, 7), (0, 0.0, 3, 5, 3)])
 def test_jaccard_join_near_copies(spark, monkeypatch, leaf, shrink, pivots, listed, part):
     from fsmeta.llm import jaccard_join as jj
 
-    for name, v in (("LEAF", leaf), ("BLOCK", 16), ("SHRINK", shrink), ("PIVOTS", pivots), ("LISTED", listed), ("PART", part), ("PIECE", 900), ("LEVELS", 3)):
+    for name, v in (("LEAF", leaf), ("CELL", leaf), ("BLOCK", 16), ("SHRINK", shrink), ("PIVOTS", pivots), ("LISTED", listed), ("PART", part), ("PIECE", 900), ("LEVELS", 2)):
         monkeypatch.setattr(jj, name, v)
     pairs = variants(60)
     d = spark.createDataFrame(pairs, "doc_id long, text string").repartition(4)
