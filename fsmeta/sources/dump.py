@@ -66,7 +66,8 @@ class DumpReader(DataSourceReader):
         where = f" WHERE {' AND '.join(self.where)}" if self.where else ""
         for p in partition.paths:
             with sqlite3.connect(f"file:{p}?mode=ro", uri=True) as con:
-                folder = "/" + os.path.relpath(os.path.dirname(p), self.root).strip("./")
+                folder = os.path.relpath(os.path.dirname(p), self.root)
+                folder = "/" if folder == "." else "/" + folder
                 bound = [folder] * self.columns.count("path") + self.values
                 for row in con.execute(f"SELECT {wanted} FROM {self.table}{where}", bound):
                     yield tuple(row)

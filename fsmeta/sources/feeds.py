@@ -16,16 +16,35 @@ class Lines(InputPartition):
 
 class ChangelogReader(DataSourceStreamReader):
     """A folder with one append-only text file per source, ``<source_id>.log``. Offsets are bytes per file;
-    ``commit`` notes what has been consumed, as the feed's own clearing does."""
+    ``commit`` notes what has been consumed, as the feed's own clearing does, and a new query begins there.
+    Offsets stand after whole lines only: what is still being written is left for the next micro-batch."""
 
     def __init__(self, options: dict):
         self.root = options["path"].removeprefix("file://")
 
     def initialOffset(self) -> dict:  # noqa: N802
-        return {}
+        try:
+            with open(os.path.join(self.root, "cleared.json")) as f:
+                return json.load(f)
+        except FileNotFoundError:
+            return {}
 
     def latestOffset(self) -> dict:  # noqa: N802
-        return {n: os.path.getsize(os.path.join(self.root, n)) for n in sorted(os.listdir(self.root)) if n.endswith(".log")}
+        return {n: self._whole(os.path.join(self.root, n)) for n in sorted(os.listdir(self.root)) if n.endswith(".log")}
+
+    @staticmethod
+    def _whole(path: str, step: int = 1 << 16) -> int:
+        """The place after the last line end of a file."""
+        with open(path, "rb") as f:
+            at = f.seek(0, os.SEEK_END)
+            while at > 0:
+                start = max(0, at - step)
+                f.seek(start)
+                found = f.read(at - start).rfind(b"\n")
+                if found >= 0:
+                    return start + found + 1
+                at = start
+        return 0
 
     def partitions(self, start: dict, end: dict) -> list[Lines]:
         return [Lines(os.path.join(self.root, n), int(start.get(n, 0)), int(e)) for n, e in end.items() if int(e) > int(start.get(n, 0))]
@@ -34,13 +53,19 @@ class ChangelogReader(DataSourceStreamReader):
         source = int(os.path.basename(partition.path).removesuffix(".log"))
         with open(partition.path, "rb") as f:
             f.seek(partition.start)
-            for line in f.read(partition.end - partition.start).decode().splitlines():
-                if line:
+            left = partition.end - partition.start
+            for raw in f:  # lines end at a line feed only: names may hold other separators
+                left -= len(raw)
+                if left < 0:
+                    break
+                if line := raw.removesuffix(b"\n").removesuffix(b"\r").decode(errors="replace"):
                     yield (source, line)
 
     def commit(self, end: dict) -> None:
-        with open(os.path.join(self.root, "cleared.json"), "w") as f:
+        part = os.path.join(self.root, "cleared.json.part")
+        with open(part, "w") as f:
             json.dump(end, f)
+        os.replace(part, os.path.join(self.root, "cleared.json"))
 
 
 class ChangelogSource(DataSource):
