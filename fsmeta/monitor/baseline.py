@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import time
 from collections import OrderedDict
 
 import pyarrow as pa
@@ -25,8 +26,6 @@ def per_event_lookup(events: DataFrame, cache_size: int = 1_000_000, drop: tuple
     rows = (rows.repartition(parts, "source_id") if parts else rows.repartition("source_id")).sortWithinPartitions("source_id", "seq")
 
     def work(batches):
-        import time
-
         source, cache, n, calls, hits = None, OrderedDict(), 0, 0, 0
 
         def out():
@@ -55,3 +54,33 @@ def per_event_lookup(events: DataFrame, cache_size: int = 1_000_000, drop: tuple
             yield out()
 
     return rows.mapInArrow(work, "source_id long, events long, calls long, hits long").withColumn("modelled_s", F.col("calls") * LOOKUP_S)
+
+
+class _Asker:
+    """Asks the file system for an object's path at each event whose id has no living entry."""
+
+    def __init__(self, counters, cache_size: int, wait_s: float):
+        self.counters, self.cache, self.size, self.wait_s = counters, OrderedDict(), cache_size, wait_s
+
+    def __call__(self, e) -> None:
+        if e.fid in self.cache:
+            self.counters.lookup_hits += 1
+            self.cache.move_to_end(e.fid)
+        else:
+            self.counters.lookups += 1
+            if self.wait_s:
+                time.sleep(self.wait_s)
+            self.cache[e.fid] = None
+            if len(self.cache) > self.size:
+                self.cache.popitem(last=False)
+        if e.op in ("UNLINK", "RMDIR", "RENAME"):
+            self.cache.pop(e.fid, None)
+
+
+def lookup_pipeline(events: DataFrame, nodes: DataFrame, cache_size: int = 1_000_000, wait_s: float = LOOKUP_S, drop: tuple[str, ...] = (), want: str = "actions", parts: int | None = None) -> DataFrame:
+    """The look-up baseline as a whole: one event at a time, no reduction, a real wait for each external
+    look-up, and the same lists as the stateful monitor gives."""
+    from fsmeta.monitor import run
+    from fsmeta.monitor.state import PAIRS
+
+    return run._drive(events, nodes, False, 1, drop, None, "carried", parts, want, None, None, PAIRS, "batch", lambda counters: _Asker(counters, cache_size, wait_s))

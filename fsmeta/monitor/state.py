@@ -2,7 +2,8 @@
 
 ``StateManager`` works on a key-value store, so the same rules run inside a batch task (plain
 dictionaries) and inside ``transformWithStateInPandas`` (map state). Paths come from parents;
-only an object whose ancestors are unknown is resolved outside, once, and then kept.
+only an object whose ancestors are unknown is resolved outside, once, and then kept. What can't be
+resolved is counted (``unresolved``) and waits in the state: it is shown when its ancestors come.
 """
 
 from __future__ import annotations
@@ -53,6 +54,7 @@ class CostCounters:
     lookup_hits: int = 0
     stat_calls: int = 0
     evicted: int = 0
+    unresolved: int = 0
     updates: int = 0
     deletes: int = 0
 
@@ -84,22 +86,42 @@ class DictStore:
         return list(self.below.get(fid, ()))
 
 
-def reduce_batch(batch: list[Event], counters: CostCounters) -> list[Event]:
-    """The three rules on one batch, in sequence order."""
-    if any(e.op == "RENAME" and e.is_dir for e in batch):
-        counters.overrides += 1
+#: Pairs of operations that cancel each other where they are the first and the last of an object in a batch.
+PAIRS = (("CREATE", "UNLINK"), ("MKDIR", "RMDIR"))
+
+
+def _is_override(e: Event) -> bool:
+    return e.op == "RENAME" and e.is_dir
+
+
+def reduce_batch(batch: list[Event], counters: CostCounters, pairs: tuple[tuple[str, str], ...] = PAIRS, override: str = "batch") -> list[Event]:
+    """The three rules on one batch, in sequence order. A batch with a directory rename passes as it is
+    (``override='batch'``), or is cut into stretches around each such rename (``'barrier'``)."""
+    renames = [i for i, e in enumerate(batch) if _is_override(e)]
+    if not renames:
+        return _reduced(batch, counters, pairs)
+    counters.overrides += 1
+    if override == "batch":
         return batch
+    out, at = [], 0
+    for i in renames:
+        out += [*_reduced(batch[at:i], counters, pairs), batch[i]]
+        at = i + 1
+    return out + _reduced(batch[at:], counters, pairs)
+
+
+def _reduced(batch: list[Event], counters: CostCounters, pairs: tuple[tuple[str, str], ...]) -> list[Event]:
     slots: dict[int, list[Event]] = {}
     for e in batch:
         slots.setdefault(e.fid, []).append(e)
     out = []
     for own in slots.values():
         first, last = own[0], own[-1]
-        if (first.op, last.op) == ("CREATE", "UNLINK"):
-            counters.cancelled_files += 1
-            continue
-        if (first.op, last.op) == ("MKDIR", "RMDIR"):
-            counters.cancelled_dirs += 1
+        if (first.op, last.op) in pairs:
+            if last.is_dir:
+                counters.cancelled_dirs += 1
+            else:
+                counters.cancelled_files += 1
             continue
         counters.coalesced += len(own) - 1
         if len(own) == 1:
@@ -123,24 +145,33 @@ class Spilled:
     def __init__(self, outer: Callable[[int], NodeRow | None] | None = None):
         self.outer, self.db = outer, sqlite3.connect("")
         self.db.execute("CREATE TABLE node (fid INTEGER PRIMARY KEY, parent_fid, name, is_dir, shown, size)")
+        self.db.execute("CREATE INDEX below ON node (parent_fid)")
 
     def put(self, fid: int, node: NodeRow) -> None:
         self.db.execute("INSERT OR REPLACE INTO node VALUES (?, ?, ?, ?, ?, ?)", (fid, *node))
 
     def get(self, fid: int) -> NodeRow | None:
+        """A node that is here moves back to the state."""
         row = self.db.execute("SELECT parent_fid, name, is_dir, shown, size FROM node WHERE fid = ?", (fid,)).fetchone()
         if row is not None:
+            self.db.execute("DELETE FROM node WHERE fid = ?", (fid,))
             return NodeRow(row[0], row[1], bool(row[2]), row[3], row[4])
         return self.outer(fid) if self.outer is not None else None
 
+    def children(self, fid: int) -> list[int]:
+        return [r[0] for r in self.db.execute("SELECT fid FROM node WHERE parent_fid = ?", (fid,))]
+
 
 @dataclass
 class StateManager:
     store: object = field(default_factory=DictStore)
     resolver: Callable[[int], NodeRow | None] | None = None
     spill: Callable[[int, NodeRow], None] | None = None  # takes evicted nodes, for the resolver
+    below: Callable[[int], Iterable[int]] | None = None  # children among evicted nodes
     max_dirs: int | None = None
     stat_mode: str = "carried"
+    pairs: tuple[tuple[str, str], ...] = PAIRS
+    override: str = "batch"
     counters: CostCounters = field(default_factory=CostCounters)
 
     def __post_init__(self):
@@ -166,6 +197,11 @@ class StateManager:
             elif node.shown is None:
                 self.store.put(fid, node._replace(shown=self.path(fid)))
 
+    def children(self, fid: int) -> list[int]:
+        """In the state and, where a directory was evicted with what it holds, outside."""
+        own = list(self.store.children(fid))
+        return own if self.below is None else own + [c for c in self.below(fid) if self.store.get(c) is None]
+
     def node(self, fid: int | None) -> NodeRow | None:
         """From the state, or once from outside."""
         if fid is None:
@@ -194,7 +230,7 @@ class StateManager:
     def process(self, batch: list[Event], reduce: bool = True) -> list[Action]:
         """Both lists of a batch in one, deletes first."""
         self.counters.batches += 1
-        events = reduce_batch(batch, self.counters) if reduce else batch
+        events = reduce_batch(batch, self.counters, self.pairs, self.override) if reduce else batch
         self.out: dict[tuple[str, int, str], Action] = {}
         for e in events:
             self.handlers[e.op](e)
@@ -209,6 +245,7 @@ class StateManager:
         """Give the index an object's present path; an older one that it has is deleted."""
         node, path = self.node(fid), self.path(fid)
         if node is None or path is None:
+            self.counters.unresolved += 1
             return
         size = node.size if size is None else size
         if node.shown is not None and node.shown != path:
@@ -227,19 +264,35 @@ class StateManager:
 
     def _create(self, e: Event) -> None:
         self.store.put(e.fid, NodeRow(e.parent_fid, e.name, e.is_dir, None, e.size))
-        if not e.is_dir:
+        if e.is_dir:
+            self._show_below(e.fid, e.seq)  # what waited for it
+        else:
             self._show(e.fid, e.seq, e.size)
 
+    def _show_below(self, fid: int, seq: int) -> None:
+        todo = [fid]
+        while todo:
+            for c in self.children(todo.pop()):
+                n = self.node(c)
+                if n is None:
+                    continue
+                if n.is_dir:
+                    todo.append(c)
+                else:
+                    self._show(c, seq, None)
+
     def _remove(self, e: Event) -> None:
         node = self.node(e.fid)
         if node is not None:
             if node.shown is not None:
                 self._hide(e.fid, node.shown, e.seq)
             self.store.remove(e.fid)
+        elif not e.is_dir:
+            self.counters.unresolved += 1
         self.recent.pop(e.fid, None)
 
     def _update(self, e: Event) -> None:
-        if not e.is_dir and self.node(e.fid) is not None:
+        if not e.is_dir:
             self._show(e.fid, e.seq, e.size)
 
     def _rename(self, e: Event) -> None:
@@ -247,32 +300,25 @@ class StateManager:
         if node is None:
             node = NodeRow(None, e.name, e.is_dir, None, e.size)
         self.store.put(e.fid, node._replace(parent_fid=e.parent_fid, name=e.name, size=node.size if e.is_dir or e.size is None else e.size))
-        if not e.is_dir:
+        if e.is_dir:
+            self._show_below(e.fid, e.seq)
+        else:
             self._show(e.fid, e.seq, e.size)
-            return
-        todo = [e.fid]
-        while todo:
-            for c in self.store.children(todo.pop()):
-                n = self.store.get(c)
-                if n is None:
-                    continue
-                if n.is_dir:
-                    todo.append(c)
-                elif n.shown is not None:
-                    self._show(c, e.seq, None)
 
     def _evict(self) -> None:
-        """Least recently used directories go; they come back through the resolver. A directory that still
-        has children in the state stays, as an ancestor of what lives."""
+        """Least recently used directories go with the files in them; they come back through the resolver. A
+        directory with others in the state stays, as an ancestor of what lives, and so does one whose files wait."""
         spare = len(self.recent) - self.max_dirs
         for fid in list(self.recent):
             if spare <= 0:
                 return
-            if not self.store.children(fid):
-                node = self.store.get(fid)
-                if node is not None and self.spill is not None:
-                    self.spill(fid, node)
-                self.store.remove(fid)
-                del self.recent[fid]
-                self.counters.evicted += 1
+            held = [(c, self.store.get(c)) for c in self.store.children(fid)]
+            if any(n is not None and (n.is_dir or n.shown is None) for _, n in held):
+                continue
+            for c, n in [*held, (fid, self.store.get(fid))]:
+                if n is not None and self.spill is not None:
+                    self.spill(c, n)
+                self.store.remove(c)
+            del self.recent[fid]
+            self.counters.evicted += 1
             spare -= 1

@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
 
 from fsmeta.monitor.run import ACTIONS, Resolver
-from fsmeta.monitor.state import Event, NodeRow, StateManager
+from fsmeta.monitor.state import PAIRS, Event, NodeRow, StateManager
 
 EVENTS = "source_id long, seq long, ts timestamp, op string, fid long, is_dir boolean, parent_fid long, name string, size long"
 
@@ -18,8 +18,8 @@ EVENTS = "source_id long, seq long, ts timestamp, op string, fid long, is_dir bo
 class MapStore:
     """The state manager's store on map states; what a batch touches is kept in memory and written back once."""
 
-    def __init__(self, nodes, below):
-        self.nodes, self.below_, self.seen, self.dirty, self.kids, self.kid_dirty = nodes, below, {}, set(), {}, set()
+    def __init__(self, nodes, below, renew: bool = False):
+        self.nodes, self.below_, self.seen, self.dirty, self.kids, self.kid_dirty, self.renew = nodes, below, {}, set(), {}, set(), renew
 
     def get(self, fid: int) -> NodeRow | None:
         if fid not in self.seen:
@@ -55,6 +55,12 @@ class MapStore:
         return list(self._kids(fid))
 
     def flush(self) -> None:
+        """Write back. With a time to live, what was read is written too: ancestors in use do not expire."""
+        if self.renew:
+            self.dirty |= {fid for fid, node in self.seen.items() if node is not None}
+            for node in self.seen.values():
+                if node is not None and node.parent_fid is not None and self._kids(node.parent_fid):
+                    self.kid_dirty.add(node.parent_fid)
         for fid in self.dirty:
             node = self.seen[fid]
             if node is not None:
@@ -69,32 +75,44 @@ class MapStore:
 
 
 class MetadataStateProcessor(StatefulProcessor):
-    """Batches close at ``max_events`` or with the micro-batch (the trigger is the idle limit)."""
+    """Batches close at ``max_events``, or with the micro-batch; with ``idle_ms`` not with the micro-batch but
+    after a pause of that length (between two events, or until a timer fires), and what is open is kept in
+    the state, so that events of several micro-batches meet in one batch."""
 
-    def __init__(self, max_events: int = 1000, drop: tuple[str, ...] = ("OPEN",), reduce: bool = True, ttl_ms: int | None = None, resolver: Resolver | None = None):
+    def __init__(self, max_events: int = 1000, drop: tuple[str, ...] = ("OPEN",), reduce: bool = True, ttl_ms: int | None = None, resolver: Resolver | None = None, idle_ms: int | None = None, pairs: tuple[tuple[str, str], ...] = PAIRS, override: str = "batch"):
         if ttl_ms is not None and resolver is None:
             raise ValueError("ttl_ms needs a resolver: expired nodes would be lost")
-        self.resolver = resolver
+        self.resolver, self.idle_ms, self.rules = resolver, idle_ms, {"pairs": pairs, "override": override}
         self.max_events, self.drop, self.reduce_, self.ttl_ms = max_events, drop, reduce, ttl_ms
 
     def init(self, handle: StatefulProcessorHandle) -> None:
         node = "parent_fid long, name string, is_dir boolean, shown string, size long"
+        self.handle = handle
         self.nodes = handle.getMapState("nodes", "fid long", node, self.ttl_ms)
         self.below = handle.getMapState("below", "fid long", "fids string", self.ttl_ms)
-        self.last = handle.getValueState("last", "seq long, batch long")
+        self.last = handle.getValueState("last", "seq long, batch long, at double, timer long")
+        self.open = handle.getListState("open", "seq long, op string, fid long, is_dir boolean, parent_fid long, name string, size long")
+
+    def _manager(self, source: int) -> StateManager:
+        return StateManager(MapStore(self.nodes, self.below, self.ttl_ms is not None), None if self.resolver is None else lambda fid: self.resolver(source, fid), **self.rules)
+
+    def _frame(self, out: list) -> pd.DataFrame:
+        frame = pd.DataFrame(out, columns=["action", "source_id", "fid", "path", "size", "last_seq", "batch_id"])
+        return frame.astype({"size": "Int64"})
 
     def handleInputRows(self, key, rows: Iterator[pd.DataFrame], timerValues) -> Iterator[pd.DataFrame]:  # noqa: N803
-        seq, batch = self.last.get() if self.last.exists() else (-(1 << 60), 0)
+        seq, batch, at, timer = self.last.get() if self.last.exists() else (-(1 << 60), 0, None, None)
         got = pd.concat(list(rows)).sort_values("seq")
         source = int(key[0])
-        manager = StateManager(MapStore(self.nodes, self.below), None if self.resolver is None else lambda fid: self.resolver(source, fid))
+        manager = self._manager(source)
         none = lambda v, kind: None if pd.isna(v) else kind(v)
-        out, pending, loaded = [], [], []
+        held = [Event(*e) for e in self.open.get()] if self.idle_ms is not None and self.open.exists() else []
+        out, pending, loaded = [], held, []
 
         def close():
             nonlocal pending, batch
             for a in manager.process(pending, self.reduce_):
-                out.append((a.action, int(key[0]), a.fid, a.path, a.size, a.last_seq, batch))
+                out.append((a.action, source, a.fid, a.path, a.size, a.last_seq, batch))
             pending, batch = [], batch + 1
 
         for r in got.itertuples(index=False):
@@ -109,16 +127,44 @@ class MetadataStateProcessor(StatefulProcessor):
             if e.seq <= seq or e.op in self.drop:  # replayed, or of little information
                 continue
             seq = e.seq
+            if self.idle_ms is not None and not pd.isna(r.ts):
+                now = r.ts.timestamp()
+                if pending and at is not None and 1000 * (now - at) > self.idle_ms:
+                    close()
+                at = now
             pending.append(e)
             if len(pending) >= self.max_events:
                 close()
         manager.settle(loaded)
-        if pending:
+        if pending and self.idle_ms is None:
             close()
         manager.store.flush()
-        self.last.update((seq, batch))
-        frame = pd.DataFrame(out, columns=["action", "source_id", "fid", "path", "size", "last_seq", "batch_id"])
-        yield frame.astype({"size": "Int64"})
+        if self.idle_ms is not None:
+            self._keep(pending)
+            if timer is not None:
+                self.handle.deleteTimer(timer)
+            timer = timerValues.getCurrentProcessingTimeInMs() + self.idle_ms if pending else None
+            if timer is not None:
+                self.handle.registerTimer(timer)
+        self.last.update((seq, batch, at, timer))
+        yield self._frame(out)
+
+    def _keep(self, pending: list[Event]) -> None:
+        if pending:
+            self.open.put([tuple(e) for e in pending])
+        elif self.open.exists():
+            self.open.clear()
+
+    def handleExpiredTimer(self, key, timerValues, expiredTimerInfo) -> Iterator[pd.DataFrame]:  # noqa: N803
+        """Nothing came for a while: the open batch closes."""
+        seq, batch, at, _ = self.last.get()
+        pending = [Event(*e) for e in self.open.get()] if self.open.exists() else []
+        manager = self._manager(int(key[0]))
+        out = [(a.action, int(key[0]), a.fid, a.path, a.size, a.last_seq, batch) for a in manager.process(pending, self.reduce_)] if pending else []
+        manager.store.flush()
+        self._keep([])
+        self.last.update((seq, batch + bool(pending), at, None))
+        yield self._frame(out)
 
     def close(self) -> None:
         pass
@@ -128,10 +174,12 @@ def read_events(spark: SparkSession, path: str, files_per_trigger: int = 1) -> D
     return spark.readStream.schema(EVENTS).option("maxFilesPerTrigger", files_per_trigger).parquet(path)
 
 
-def actions_stream(events: DataFrame, max_events: int = 1000, drop: tuple[str, ...] = ("OPEN",), reduce: bool = True, ttl_ms: int | None = None, resolver: Resolver | None = None) -> DataFrame:
-    """Needs the RocksDB state store provider in the session (a runtime setting)."""
+def actions_stream(events: DataFrame, max_events: int = 1000, drop: tuple[str, ...] = ("OPEN",), reduce: bool = True, ttl_ms: int | None = None, resolver: Resolver | None = None, idle_ms: int | None = None, pairs: tuple[tuple[str, str], ...] = PAIRS, override: str = "batch") -> DataFrame:
+    """Needs the RocksDB state store provider in the session (a runtime setting). With ``ttl_ms`` or ``idle_ms``
+    the engine keeps looking at its timers, so a query with the available-now trigger does not end by itself."""
     keyed = events.groupBy("source_id")
-    return keyed.transformWithStateInPandas(MetadataStateProcessor(max_events, drop, reduce, ttl_ms, resolver), ACTIONS, "append", "none")
+    mode = "none" if ttl_ms is None and idle_ms is None else "processingTime"
+    return keyed.transformWithStateInPandas(MetadataStateProcessor(max_events, drop, reduce, ttl_ms, resolver, idle_ms, pairs, override), ACTIONS, "append", mode)
 
 
 def activity(events: DataFrame, width: str = "1 day", slide: str | None = None, late: str = "1 hour") -> DataFrame:
