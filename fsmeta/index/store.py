@@ -13,6 +13,14 @@ def bootstrap(rows: DataFrame) -> DataFrame:
     return rows.select("path", "source_id", "fid", "size", F.lit(0).cast("long").alias("last_seq"))
 
 
+def latest(actions: DataFrame) -> DataFrame:
+    """Per path the action of the highest sequence, an update before a delete where equal. Doing it again changes nothing."""
+    rank = F.when(F.col("action") == "delete", 0).otherwise(1)
+    w = Window.partitionBy("source_id", "path").orderBy(F.desc("last_seq"), rank.desc())
+    rows = actions.select("action", "path", "source_id", "fid", F.col("size").cast("long").alias("size"), "last_seq")
+    return rows.withColumn("_n", F.row_number().over(w)).filter("_n = 1").drop("_n")
+
+
 def apply(index: DataFrame, actions: DataFrame) -> DataFrame:
     """The index after the actions: per path the one of the highest sequence wins, deletes before
     updates where equal. Applying the same actions again changes nothing."""

@@ -7,6 +7,8 @@ import json
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from fsmeta.plans import workspace
+
 VALUES = ("type", "mode", "uid", "gid", "size", "atime", "ctime", "mtime", "fileset", "checksum", "project")
 
 
@@ -29,6 +31,27 @@ def live(spark: SparkSession, path: str) -> int | None:
         raise
 
 
+def cut(spark: SparkSession, path: str, version: int | None = None) -> dict[int, int]:
+    """Per source, the last event sequence that a version (the newest by default) covers."""
+    version = live(spark, path) if version is None else version
+    if version is None:
+        return {}
+    row = spark.read.schema("version long, note string").json(f"{path}/manifest/v{version}").first()
+    return {int(k): int(v) for k, v in json.loads(row["note"])["cut"].items()}
+
+
+def expire(spark: SparkSession, path: str, keep: int = 2) -> list[int]:
+    """Remove all but the newest ``keep`` published versions, each manifest before its data; gives the removed ones."""
+    if live(spark, path) is None:
+        return []
+    have = sorted(r[0] for r in spark.read.schema("version long, note string").option("recursiveFileLookup", "true").json(f"{path}/manifest").select("version").distinct().toLocalIterator())
+    gone = have[: max(0, len(have) - keep)]
+    for v in gone:
+        workspace.remove(spark, f"{path}/manifest/v{v}")
+        workspace.remove(spark, f"{path}/data/version={v}")
+    return gone
+
+
 def current(spark: SparkSession, path: str) -> DataFrame:
     version = live(spark, path)
     if version is None:
