@@ -72,16 +72,30 @@ def dd_buckets(df: DataFrame, low: int, high: int, kinds: tuple[str, ...] = ("us
     return ddsketch.buckets(expand(d, low, high, kinds, dir_filter), ("kind", "id"), ATTRIBUTES, alpha)
 
 
+def plain_id():
+    """A principal of the counting table as the aggregate side names it."""
+    return F.when(F.col("kind") == "dir", F.col("id")).otherwise(F.substring("id", 2, 100))
+
+
 def complete_principals(seen: DataFrame, counts: DataFrame) -> DataFrame:
     """Principals with the counting table's number of objects, and whether all have arrived (``complete``)."""
-    named = counts.select("kind", F.when(F.col("kind") == "dir", F.col("id")).otherwise(F.substring("id", 2, 100)).alias("id"), F.col("n").alias("expected"))
+    named = counts.select("kind", plain_id().alias("id"), F.col("n").alias("expected"))
     return named.join(seen, ["kind", "id"], "left").withColumn("complete", F.coalesce(F.col("file_count") == F.col("expected"), F.lit(False)))
 
 
+def complete_by_shard(arrived: DataFrame, counts: DataFrame) -> DataFrame:
+    """kind, id, shards, missing (shards whose objects have not all arrived), complete. Both tables:
+    kind, id, shard_id, n; ``counts`` from the counting stage, ``arrived`` from what is summed up here."""
+    a = arrived.select("kind", "id", "shard_id", F.col("n").alias("_have"))
+    j = counts.join(a, ["kind", "id", "shard_id"], "left")
+    missing = F.count_if(F.coalesce(F.col("_have") != F.col("n"), F.lit(True)))
+    out = j.groupBy("kind", "id").agg(F.count("*").alias("shards"), missing.alias("missing"))
+    return out.select("kind", plain_id().alias("id"), "shards", "missing", (F.col("missing") == 0).alias("complete"))
+
+
 def aggregate(df: DataFrame, low: int = 1, high: int = 5, kinds: tuple[str, ...] = ("user", "group", "dir"), qs: tuple[float, ...] = QUANTILES, sketch: str = "dd", alpha: float = 0.01, dir_filter: str | None = None, after: bool = True) -> DataFrame:
     """kind, id, file_count and <attr>_min, _max, _mean, _sum, _pNN for each attribute."""
     base = totals(df, low, high, kinds, dir_filter)
-    base = base.withColumns({f"{a}_mean": F.col(f"{a}_sum") / F.col("file_count") for a in ATTRIBUTES})
     if sketch == "dd":
         q = ddsketch.quantiles(dd_buckets(df, low, high, kinds, alpha, after, dir_filter), ("kind", "id", "attr"), qs, alpha)
     elif sketch == "exact":
@@ -90,6 +104,12 @@ def aggregate(df: DataFrame, low: int = 1, high: int = 5, kinds: tuple[str, ...]
         from fsmeta.sketch.base import quantiles
 
         q = quantiles(expand(numbers(df), low, high, kinds, dir_filter), ("kind", "id"), ATTRIBUTES, qs, sketch)
+    return with_quantiles(base, q, qs)
+
+
+def with_quantiles(base: DataFrame, q: DataFrame, qs: tuple[float, ...]) -> DataFrame:
+    """Totals with means and, from kind, id, attr, q, one column a quantile, clamped by the exact ends."""
+    base = base.withColumns({f"{a}_mean": F.col(f"{a}_sum") / F.col("file_count") for a in ATTRIBUTES})
     names = [(i, name_of(x)) for i, x in enumerate(qs)]
     wide = q.groupBy("kind", "id").agg(*[F.max(F.when(F.col("attr") == a, F.get("q", i))).alias(f"{a}_{n}") for a in ATTRIBUTES for i, n in names])
     j = base.join(wide, ["kind", "id"])

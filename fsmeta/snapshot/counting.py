@@ -28,16 +28,17 @@ def shard_counts(df: DataFrame, directory_max: int, num_shards: int = 64, kinds:
     return spread.groupBy(F.col("p.kind").alias("kind"), F.col("p.id").alias("id"), "shard_id").agg(F.sum("n").alias("n"))
 
 
-def recursive_counts(counts: DataFrame) -> DataFrame:
-    """id, n: totals of every directory with all its descendants, from the counts without."""
-    own = counts.filter("kind = 'dir'").groupBy("id").agg(F.sum("n").alias("n"))
+def recursive_counts(counts: DataFrame, keep: tuple[str, ...] = ()) -> DataFrame:
+    """id, n: totals of every directory with all its descendants, from the counts without (by ``keep``)."""
+    own = counts.filter("kind = 'dir'").groupBy("id", *keep).agg(F.sum("n").alias("n"))
     names = F.filter(F.split("id", "/"), lambda x: x != "")
     above = F.transform(F.sequence(F.lit(0), F.size(names)), lambda i: F.concat(F.lit("/"), F.array_join(F.slice(names, 1, i), "/")))
-    return own.select(F.explode(above).alias("id"), "n").groupBy("id").agg(F.sum("n").alias("n"))
+    return own.select(F.explode(above).alias("id"), *keep, "n").groupBy("id", *keep).agg(F.sum("n").alias("n"))
 
 
-def merge_counts(counts: DataFrame, low: int = 1) -> DataFrame:
-    """kind, id, n: one row a principal, shards added up; directories with descendants, from level ``low``."""
-    flat = counts.filter("kind <> 'dir'").groupBy("kind", "id").agg(F.sum("n").alias("n"))
-    dirs = recursive_counts(counts).filter(F.size(F.filter(F.split("id", "/"), lambda x: x != "")) >= low)
-    return flat.unionByName(dirs.select(F.lit("dir").alias("kind"), "id", "n"))
+def merge_counts(counts: DataFrame, low: int = 1, by_shard: bool = False) -> DataFrame:
+    """kind, id, n: one row a principal, shards added up (or a row a shard); directories with descendants, from level ``low``."""
+    keep = ("shard_id",) if by_shard else ()
+    flat = counts.filter("kind <> 'dir'").groupBy("kind", "id", *keep).agg(F.sum("n").alias("n"))
+    dirs = recursive_counts(counts, keep).filter(F.size(F.filter(F.split("id", "/"), lambda x: x != "")) >= low)
+    return flat.unionByName(dirs.select(F.lit("dir").alias("kind"), "id", *keep, "n"))
