@@ -20,8 +20,41 @@ NUMPY = {"req": Req, "tdigest": TDigest}
 ALGORITHMS = ("exact", "dd", "kll", "req", "tdigest", "gk")
 
 
-def partial(df: DataFrame, by: tuple[str, ...], attrs: tuple[str, ...], algo: str, held: int = 20_000, **params) -> DataFrame:
-    """by..., attr, part, sketch, n, low, high: one row for each group in each task."""
+def _codes(columns: list[pa.Array]) -> tuple[np.ndarray, list[tuple]]:
+    """(group of each row, the groups' keys)."""
+    code = np.zeros(len(columns[0]), np.int64)
+    for c in columns:
+        d = c.dictionary_encode(null_encoding="encode")
+        code = code * (len(d.dictionary) + 1) + d.indices.to_numpy(zero_copy_only=False)
+    _, first, at = np.unique(code, return_index=True, return_inverse=True)
+    return at, list(zip(*(c.take(pa.array(first)).to_pylist() for c in columns), strict=True))
+
+
+class _Growing:
+    """A sketch with a buffer of values that it has not taken in yet."""
+
+    BUFFER = 4096
+
+    def __init__(self, sketch):
+        self.sketch, self.parts, self.held, self.n, self.low, self.high = sketch, [], 0, 0, np.inf, -np.inf
+
+    def add(self, v: np.ndarray) -> None:
+        self.parts.append(v)
+        self.held += len(v)
+        self.n += len(v)
+        self.low, self.high = min(self.low, float(v.min())), max(self.high, float(v.max()))
+        if self.held >= self.BUFFER:
+            self.settle()
+
+    def settle(self) -> None:
+        if self.parts:
+            self.sketch.add(np.sort(np.concatenate(self.parts)))
+            self.parts, self.held = [], 0
+
+
+def partial(df: DataFrame, by: tuple[str, ...], attrs: tuple[str, ...], algo: str, held: int = 20_000, buffered: int = 4_000_000, **params) -> DataFrame:
+    """by..., attr, part, sketch, n, low, high: one row for each group in each task. A task holds at most
+    ``held`` groups and some ``buffered`` values."""
     kind = NUMPY[algo]
     rows = melt(df, by, attrs)
     schema = rows.drop("value").schema.simpleString().removeprefix("struct<").removesuffix(">").replace(":", " ")
@@ -29,29 +62,35 @@ def partial(df: DataFrame, by: tuple[str, ...], attrs: tuple[str, ...], algo: st
     def build(batches):
         from pyspark import TaskContext
 
-        part, own = TaskContext.get().partitionId() % 32, {}
+        part, own, waiting = TaskContext.get().partitionId() % 32, {}, 0
 
         def flush():
-            keys = list(zip(*own, strict=True))
-            cols = [pa.array(c) for c in keys]
+            cols = [pa.array(c) for c in zip(*own, strict=True)]
             made = list(own.values())
+            for g in made:
+                g.settle()
             return pa.RecordBatch.from_arrays(
-                [*cols, pa.array([part] * len(own), pa.int32()), pa.array([s.dump() for s, *_ in made], pa.binary()), pa.array([n for _, n, _, _ in made], pa.int64()), pa.array([a for *_, a, _ in made]), pa.array([b for *_, b in made])],
+                [*cols, pa.array([part] * len(own), pa.int32()), pa.array([g.sketch.dump() for g in made], pa.binary()), pa.array([g.n for g in made], pa.int64()), pa.array([g.low for g in made]), pa.array([g.high for g in made])],
                 names=[*by, "attr", "part", "sketch", "n", "low", "high"],
             )
 
         for b in batches:
-            keys = list(zip(*(c.to_pylist() for c in b.columns[:-1]), strict=True))
+            if not b.num_rows:
+                continue
+            at, keys = _codes(b.columns[:-1])
             values = b.column(b.num_columns - 1).to_numpy()
-            ids: dict = {}
-            at = np.array([ids.setdefault(k, len(ids)) for k in keys])
             order = np.argsort(at, kind="stable")
-            cuts = np.searchsorted(at[order], np.arange(len(ids) + 1))
-            for k, i in ids.items():
-                v = np.sort(values[order[cuts[i] : cuts[i + 1]]])
-                s, n, lo, hi = own.get(k) or (kind(**params), 0, np.inf, -np.inf)
-                s.add(v)
-                own[k] = (s, n + len(v), min(lo, float(v[0])), max(hi, float(v[-1])))
+            cuts = np.searchsorted(at[order], np.arange(len(keys) + 1))
+            values = values[order]
+            for k, lo, hi in zip(keys, cuts.tolist(), cuts[1:].tolist(), strict=False):
+                if k not in own:
+                    own[k] = _Growing(kind(**params))
+                own[k].add(values[lo:hi])
+            waiting += len(values)
+            if waiting > buffered:
+                for g in own.values():
+                    g.settle()
+                waiting = 0
             if len(own) > held:
                 yield flush()
                 own = {}
@@ -62,19 +101,35 @@ def partial(df: DataFrame, by: tuple[str, ...], attrs: tuple[str, ...], algo: st
 
 
 def merge(parts: DataFrame, keys: tuple[str, ...], algo: str) -> DataFrame:
-    """keys..., sketch, n, low, high."""
+    """keys..., sketch, n, low, high. Sketches of a key are merged as they stream by, the largest first."""
     kind = NUMPY[algo]
     schema = parts.select(*keys).schema.simpleString().removeprefix("struct<").removesuffix(">").replace(":", " ")
+    rows = parts.select(*keys, "sketch", "n", "low", "high").repartition(*keys).sortWithinPartitions(*keys, F.desc("n"), "sketch")
 
-    def join(t: pa.Table) -> pa.Table:
-        raw = t.sort_by([("n", "descending"), ("sketch", "ascending")])["sketch"].to_pylist()
-        s = kind.load(raw[0])
-        for r in raw[1:]:
-            s.merge(kind.load(r))
-        head = [t[k].slice(0, 1).combine_chunks() for k in keys]
-        return pa.Table.from_arrays([*head, pa.array([s.dump()], pa.binary()), pa.array([sum(t["n"].to_pylist())], pa.int64()), pa.array([min(t["low"].to_pylist())]), pa.array([max(t["high"].to_pylist())])], names=[*keys, "sketch", "n", "low", "high"])
+    def join(batches):
+        types = None
 
-    return parts.groupBy(*keys).applyInArrow(join, f"{schema}, sketch binary, n long, low double, high double")
+        def out():
+            cols = list(zip(*done, strict=True))
+            return pa.RecordBatch.from_arrays([*(pa.array(c, t) for c, t in zip(cols, types, strict=False)), pa.array([s.dump() for s in cols[-4]], pa.binary()), *(pa.array(c) for c in cols[-3:])], names=[*keys, "sketch", "n", "low", "high"])
+
+        now, done = None, []
+        for b in batches:
+            types = [b.schema.field(k).type for k in keys]
+            for *key, raw, n, low, high in zip(*(c.to_pylist() for c in b.columns), strict=True):
+                if key == now:
+                    done[-1][-4].merge(kind.load(raw))
+                    done[-1][-3:] = [done[-1][-3] + n, min(done[-1][-2], low), max(done[-1][-1], high)]
+                    continue
+                if len(done) >= 1024:
+                    yield out()
+                    done = []
+                now = key
+                done.append([*key, kind.load(raw), n, low, high])
+        if done:
+            yield out()
+
+    return rows.mapInArrow(join, f"{schema}, sketch binary, n long, low double, high double")
 
 
 def estimates(merged: DataFrame, keys: tuple[str, ...], qs: tuple[float, ...], algo: str) -> DataFrame:
