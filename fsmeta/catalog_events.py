@@ -8,6 +8,8 @@ from pyspark.sql import functions as F
 from fsmeta.index import store
 from fsmeta.monitor import baseline, batching, ingest, notify, run, setbased
 from fsmeta.monitor import reduce as rd
+from fsmeta.plans import workspace
+from fsmeta.snapshot import versioning
 from fsmeta.workloads import events as ev
 
 R: dict = {}
@@ -105,6 +107,44 @@ def _stateful_files(s, d):
     return store.apply(index, a).select("source_id", "fid", "path", "size")
 
 
+def _evicted(s, d):
+    """The same with room for five directories a source."""
+    a = run.monitor(ev.changes(s, d), ev.changes_tree(s, d), True, BATCH, max_dirs=5)
+    return store.apply(_empty(s), a).select("source_id", "fid", "path", "size")
+
+
+def _looked_up(s, d):
+    """The same without a node table: directories come from a resolver."""
+    a = run.monitor(ev.changes(s, d), None, True, BATCH, resolver=run.table_resolver(ev.changes_tree(s, d)))
+    return store.apply(_empty(s), a).select("source_id", "fid", "path", "size")
+
+
+_INDEX = stack("SELECT source_id, fid, path, size FROM p1 WHERE NOT is_dir", **_FULL)
+add("evicted_state", _evicted, _INDEX)
+add("root_lookups", _looked_up, _INDEX)
+# of the directories that exist before the events, those that an event names are each looked up once, and their ancestors
+add("root_lookup_counts", lambda s, d: run.costs(ev.create_delete(s, d, 2), None, False, 300, resolver=run.table_resolver(ev.roots(ev.create_delete(s, d, 2)))).select("source_id", "lookups", "unresolved", "updates"), stack("SELECT source_id, CAST(1 AS BIGINT) AS lookups, CAST(0 AS BIGINT) AS unresolved, CAST(sum(updates) AS BIGINT) AS updates FROM (SELECT source_id, batch_id, count(DISTINCT fid) FILTER (last <> 'UNLINK') AS updates FROM (SELECT source_id, batch_id, fid, arg_max(op, seq) AS last FROM b GROUP BY 1, 2, 3) GROUP BY 1, 2) GROUP BY 1", ev.SQL["create_delete_2"], 300))
+# without node table and resolver, creations and updates of files show nothing and are counted
+add("unresolved_events", lambda s, d: run.costs(ev.create_delete(s, d, 2), None, False, 300).select("source_id", "events_in", "unresolved", "updates", "deletes"), stack("SELECT source_id, count(*) AS events_in, count(*) FILTER (op IN ('CREATE', 'CLOSE')) AS unresolved, CAST(0 AS BIGINT) AS updates, CAST(0 AS BIGINT) AS deletes FROM c GROUP BY 1", ev.SQL["create_delete_2"], 300))
+
+
+def _unified(s, d):
+    """A snapshot after the first half of the events, then all events again, those that it covers passed over."""
+    from fsmeta import session
+
+    c = ev.changes(s, d)
+    cut = {r["source_id"]: r["m"] for r in c.groupBy("source_id").agg(F.expr("CAST(max(seq) / 2 AS BIGINT)").alias("m")).collect()}  # a row a source
+    at = s.createDataFrame(sorted(cut.items()), "source_id long, at long")
+    nodes = workspace.store(setbased.apply_events(ev.changes_tree(s, d), c.join(F.broadcast(at), "source_id").filter("seq <= at").drop("at")).drop("last_seq"), "nodes")
+    files = setbased.index_of(setbased.resolve_paths(nodes))
+    one = session.open(s, workspace.fresh(s, "unified"), max_events=BATCH, idle="100000 days")
+    versioning.publish(files, f"{one.path}/primary", 1, cut)
+    one.notify(one.monitor(c, nodes), 0)
+    one.notify(one.monitor(c, nodes), 1)  # replayed
+    return one.index(one.primary()).select("source_id", "fid", "path", "size")
+
+
+add("index_unified", _unified, _INDEX)
 add("monitor_stateful_files", _stateful_files, stack("SELECT source_id, fid, path, size FROM p1 WHERE NOT is_dir", **_FULL))
 
 
@@ -117,19 +157,38 @@ def _descendants(s, d):
 
 
 add("dir_rename_descendants", _descendants, stack("SELECT p1.source_id, p1.fid, pb.path AS old, p1.path FROM p1 JOIN pb ON p1.source_id = pb.source_id AND p1.fid = pb.fid WHERE NOT p1.is_dir AND pb.path <> p1.path", **_FULL, cp="SELECT * FROM c WHERE NOT (op = 'RENAME' AND is_dir)", nb=_AFTER.format(ev="cp"), pb=_PATHS.format(n="nb", p="pb")))
-add("notify_requests", lambda s, d: notify.to_requests(run.monitor(ev.changes(s, d), ev.changes_tree(s, d), True, BATCH)).groupBy("kind").agg(F.sum("n_records").alias("records"), F.count("*").alias("requests")), None)
+# one list entry for each change that a batch leaves: unreduced, every file event but its opens shows something
+add("notify_requests", lambda s, d: notify.to_requests(run.monitor(ev.create_delete(s, d, 2), ev.roots(ev.create_delete(s, d, 2)), False, 301), 100).groupBy("source_id", "kind").agg(F.sum("n_records").alias("records"), F.count("*").alias("requests")), stack("SELECT source_id, kind, CAST(sum(n) AS BIGINT) AS records, CAST(sum(ceil(n / 100)) AS BIGINT) AS requests FROM (SELECT source_id, batch_id, 'ingest' AS kind, count(*) FILTER (last <> 'UNLINK') AS n FROM l GROUP BY 1, 2 UNION ALL SELECT source_id, batch_id, 'delete', count(*) FILTER (last = 'UNLINK') FROM l GROUP BY 1, 2) WHERE n > 0 GROUP BY 1, 2", ev.SQL["create_delete_2"], 301, l="SELECT source_id, batch_id, fid, arg_max(op, seq) AS last FROM b GROUP BY 1, 2, 3"))
 add("monitor_costs", lambda s, d: run.costs(ev.changes(s, d), ev.changes_tree(s, d), True, BATCH).select("source_id", "events_in", "opens_dropped", "cancelled_files", "cancelled_dirs", "coalesced", "overrides"), stack("SELECT source_id, (SELECT count(*) FROM c WHERE c.source_id = x.source_id) AS events_in, (SELECT count(*) FROM c WHERE c.source_id = x.source_id AND op = 'OPEN') AS opens_dropped, (SELECT count(*) FROM g WHERE g.source_id = x.source_id AND first_op = 'CREATE' AND last_op = 'UNLINK') AS cancelled_files, (SELECT count(*) FROM g WHERE g.source_id = x.source_id AND first_op = 'MKDIR' AND last_op = 'RMDIR') AS cancelled_dirs, CAST((SELECT coalesce(sum(events - 1), 0) FROM g WHERE g.source_id = x.source_id AND NOT " + _CANCEL + ") AS BIGINT) AS coalesced, (SELECT count(*) FROM raw WHERE raw.source_id = x.source_id) AS overrides FROM (SELECT DISTINCT source_id FROM c) x"))
 
 # --- baselines and workloads
 add("passthrough", lambda s, d: baseline.passthrough(ev.changes(s, d)).groupBy("source_id").agg(F.count("*").alias("events")), stack("SELECT source_id, count(*) AS events FROM c GROUP BY 1"))
 _CALLS = "SELECT source_id, count(*) AS events, count(*) FILTER (miss) AS calls, count(*) FILTER (NOT miss) AS hits FROM (SELECT source_id, coalesce(lag(op) OVER (PARTITION BY source_id, fid ORDER BY seq) IN ('UNLINK', 'RMDIR', 'RENAME'), true) AS miss FROM c) GROUP BY 1"
 add("lookup_baseline_counts", lambda s, d: baseline.per_event_lookup(ev.changes(s, d)).drop("modelled_s"), stack(_CALLS))
-for _w, _f, _n in (("mixed_ops", ev.mixed_ops, 700), ("create_delete", ev.create_delete, 300), ("tree_read", ev.tree_read, 1000)):
+_COUNTS = "SELECT source_id, (SELECT count(DISTINCT batch_id) FROM b WHERE b.source_id = x.source_id) AS batches, (SELECT count(*) FROM b WHERE b.source_id = x.source_id) AS events_in, (SELECT count(*) FROM s WHERE s.source_id = x.source_id) AS events_out, (SELECT count(*) FROM g WHERE g.source_id = x.source_id AND first_op = 'CREATE' AND last_op = 'UNLINK') AS cancelled_files, (SELECT count(*) FROM g WHERE g.source_id = x.source_id AND first_op = 'MKDIR' AND last_op = 'RMDIR') AS cancelled_dirs, CAST((SELECT coalesce(sum(events - 1), 0) FROM g WHERE g.source_id = x.source_id AND NOT " + _CANCEL + ") AS BIGINT) AS coalesced FROM (SELECT DISTINCT source_id FROM c) x"
+
+
+def _reduced_counts(make, sources, n):
+    def run_(s, d):
+        b = batching.assign_batches(ingest.filter_low_information(make(s, d, sources)), n, LONG)
+        stats = rd.reduce_stats(b, rd.reduce(b)).drop("cancelled_events")
+        return stats.join(b.groupBy("source_id").agg(F.countDistinct("batch_id").alias("batches")), "source_id")
+
+    return run_
+
+
+# batch sizes that the scripts' steps do not divide: pairs cut by a batch's end survive
+add("lookup_pipeline", lambda s, d: store.apply(_empty(s), baseline.lookup_pipeline(ev.changes(s, d), ev.changes_tree(s, d), wait_s=0.0, drop=("OPEN",))).select("source_id", "fid", "path", "size"), _INDEX)
+add("lookup_pipeline_calls", lambda s, d: baseline.lookup_pipeline(ev.create_delete(s, d, 2), ev.roots(ev.create_delete(s, d, 2)), wait_s=0.0, want="costs").select("source_id", F.col("events_in").alias("events"), F.col("lookups").alias("calls"), F.col("lookup_hits").alias("hits")), stack(_CALLS, ev.SQL["create_delete_2"]))
+_LAG = "epoch(applied) - epoch(ts)"
+add("freshness_lag", lambda s, d: store.freshness(ev.changes(s, d).withColumn("applied", F.col("ts") + F.make_dt_interval(F.lit(0), F.lit(0), F.lit(0), F.col("seq") % 97))), stack(f"SELECT quantile_cont({_LAG}, 0.5) AS p50, quantile_cont({_LAG}, 0.99) AS p99 FROM (SELECT ts, ts + to_seconds(seq % 97) AS applied FROM c)"))
+for _w, _f, _n in (("mixed_ops", ev.mixed_ops, 704), ("create_delete", ev.create_delete, 301), ("tree_read", ev.tree_read, 1000)):
     for _m in (1, 2, 4):
-        add(f"{_w}_reduce_{_m}", lambda s, d, f=_f, m=_m, n=_n: rd.reduce(batching.assign_batches(ingest.filter_low_information(f(s, d, m)), n, LONG)).groupBy("source_id", "op").agg(F.count("*").alias("events")), stack("SELECT source_id, op, count(*) AS events FROM s GROUP BY 1, 2", ev.SQL[f"{_w}_{_m}"], _n))
+        add(f"{_w}_reduce_{_m}", _reduced_counts(_f, _m, _n), stack(_COUNTS, ev.SQL[f"{_w}_{_m}"], _n))
     add(f"{_w}_lookups", lambda s, d, f=_f: baseline.per_event_lookup(f(s, d, 1)).drop("modelled_s"), stack(_CALLS, ev.SQL[f"{_w}_1"]))
-add("filesets_5", lambda s, d: run.costs(ev.create_delete(s, d, 5), ev.roots(ev.create_delete(s, d, 5)), True, 300).select("source_id", "events_in", "opens_dropped", "cancelled_files"), stack("SELECT source_id, count(*) AS events_in, count(*) FILTER (op = 'OPEN') AS opens_dropped, (SELECT count(*) FROM g WHERE g.source_id = c.source_id AND first_op = 'CREATE' AND last_op = 'UNLINK') AS cancelled_files FROM c GROUP BY source_id", ev.SQL["create_delete_5"], 300))
-add("tree_read_stateful", lambda s, d: run.costs(ev.tree_read(s, d, 1), ev.read_tree(s, d, 1), True, 1000, stat_mode="call").select("source_id", "events_in", "opens_dropped", "updates"), stack("SELECT source_id, count(*) AS events_in, count(*) FILTER (op = 'OPEN') AS opens_dropped, (SELECT count(*) FROM s) AS updates FROM c GROUP BY source_id", ev.SQL["tree_read_1"], 1000))
+for _m in (1, 2, 3, 4, 5):
+    add(f"filesets_{_m}", lambda s, d, m=_m: run.costs(ev.create_delete(s, d, m), ev.roots(ev.create_delete(s, d, m)), True, 300).select("source_id", "events_in", "opens_dropped", "cancelled_files"), stack("SELECT source_id, count(*) AS events_in, count(*) FILTER (op = 'OPEN') AS opens_dropped, (SELECT count(*) FROM g WHERE g.source_id = c.source_id AND first_op = 'CREATE' AND last_op = 'UNLINK') AS cancelled_files FROM c GROUP BY source_id", ev.SQL[f"create_delete_{_m}"], 300))
+add("tree_read_stateful", lambda s, d: run.costs(ev.tree_read(s, d, 1), ev.read_tree(s, d, 1), True, 1000, stat_mode="call").select("source_id", "events_in", "opens_dropped", "updates", "stat_calls"), stack("SELECT source_id, count(*) AS events_in, count(*) FILTER (op = 'OPEN') AS opens_dropped, (SELECT count(*) FROM s) AS updates, (SELECT count(*) FROM s) AS stat_calls FROM c GROUP BY source_id", ev.SQL["tree_read_1"], 1000))
 
 
 def _partitions(parts):

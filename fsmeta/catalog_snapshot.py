@@ -8,6 +8,7 @@ from fsmeta import fixtures as fx
 from fsmeta.fixtures import with_views
 from fsmeta.functions.paths import escape_path, mode_text, unescape_path
 from fsmeta.index import search as q
+from fsmeta.plans import workspace
 from fsmeta.sketch import base, error
 from fsmeta.sketch.exact import exact_spilling
 from fsmeta.snapshot import aggregate as ag
@@ -15,6 +16,7 @@ from fsmeta.snapshot import counting as ct
 from fsmeta.snapshot import preprocess as pp
 from fsmeta.snapshot import primary as pr
 from fsmeta.snapshot import versioning as vs
+from fsmeta.streaming.snapshot import AggregateEmitter
 
 AS_OF = "2001-12-31"
 QS = ag.QUANTILES
@@ -80,7 +82,29 @@ add("count_user", lambda s, d: ct.merge_counts(ct.shard_counts(fx.fs_large(s, d)
 add("count_group", lambda s, d: ct.merge_counts(ct.shard_counts(fx.fs_large(s, d), HIGH)).filter("kind = 'group'").select("id", "n"), with_views("SELECT 'g' || gid AS id, CAST(count(*) AS BIGINT) AS n FROM fs_large GROUP BY gid", "fs_large"))
 add("count_dir_nonrecursive", lambda s, d: ct.shard_counts(fx.fs_large(s, d), HIGH).filter("kind = 'dir'").groupBy("id").agg(F.sum("n").alias("n")), with_views("SELECT '/' || array_to_string(names[:5], '/') AS id, CAST(count(*) AS BIGINT) AS n FROM named GROUP BY 1", "fs_large", named=_dirs))
 add("count_dir_recursive", lambda s, d: ct.recursive_counts(ct.shard_counts(fx.fs_large(s, d), HIGH)), with_views("SELECT '/' || array_to_string(names[:lvl], '/') AS id, CAST(count(*) AS BIGINT) AS n FROM named, range(0, 6) t(lvl) WHERE lvl <= least(5, len(names)) GROUP BY 1", "fs_large", named=_dirs))
-add("count_shards", lambda s, d: ct.shard_counts(fx.fs_large(s, d), HIGH, 16).groupBy("shard_id", "kind").agg(F.sum("n").alias("n")), None)
+add("count_shards", lambda s, d: ct.shard_counts(fx.fs_large(s, d), HIGH, 16).groupBy("kind", "id").agg(F.sum("n").alias("n"), (F.max("shard_id") < 16).alias("in_range")), with_views("SELECT 'user' AS kind, 'u' || uid AS id, CAST(count(*) AS BIGINT) AS n, true AS in_range FROM fs_large GROUP BY uid UNION ALL SELECT 'group', 'g' || gid, count(*), true FROM fs_large GROUP BY gid UNION ALL SELECT 'dir', '/' || array_to_string(names[:5], '/'), count(*), true FROM named GROUP BY 2", "fs_large", named=_dirs))
+
+
+def _gate(s, d):
+    """Rows of some sizes never arrive: the principals that lack them are told."""
+    rows = fx.fs_large(s, d)
+    counts, arrived = (ct.merge_counts(ct.shard_counts(r, HIGH, 16, ("user", "group")), by_shard=True) for r in (rows, rows.filter("size % 101 <> 3")))
+    return ag.complete_by_shard(arrived, counts).select("kind", "id", "complete")
+
+
+add("completeness_gate", _gate, with_views(" UNION ALL ".join(f"SELECT '{k}' AS kind, CAST({c} AS VARCHAR) AS id, NOT bool_or(size % 101 = 3) AS complete FROM fs_large GROUP BY {c}" for k, c in (("user", "uid"), ("group", "gid"))), "fs_large"))
+
+
+def _chunks_by_source(s, d):
+    """Chunks that close after whole sources only: rows, and sources found in more than one chunk."""
+    at = workspace.fresh(s, "chunks")
+    pp.write_chunks(fx.fs_medium(s, d).select("path", "uid", "size"), at, 400, align="source", source="uid")
+    back = s.read.schema("path string, uid long, size long").option("escape", "\\").csv(at).select("uid", F.input_file_name().alias("file"))
+    per = back.groupBy("uid").agg(F.count("*").alias("n"), F.countDistinct(F.regexp_extract("file", "chunk=([0-9]+)", 1)).alias("chunks"))
+    return per.agg(F.sum("n").alias("n"), F.count_if(F.col("chunks") > 1).alias("cut"))
+
+
+add("chunks_by_source", _chunks_by_source, with_views("SELECT CAST(count(*) AS BIGINT) AS n, CAST(0 AS BIGINT) AS cut FROM fs_medium", "fs_medium"))
 
 # --- aggregate index
 _id = {"user": "CAST(uid AS VARCHAR)", "group": "CAST(gid AS VARCHAR)", "dir": "dir"}
@@ -128,6 +152,20 @@ def _dd(kind: str, after: bool = True):
 for _k in ("user", "group", "dir"):
     add(f"aggregate_exact_{_k}", _agg(_k, "exact"), _agg_sql(_k))
     add(f"dd_quantiles_{_k}", _dd(_k), _dd_sql(_k))
+
+
+def _streamed(s, d):
+    """The same from three micro-batches, each principal sent when its last object has come."""
+    rows = fx.fs_large(s, d)
+    counts = ct.merge_counts(ct.shard_counts(rows, HIGH, 16, ("user",)))
+    e = AggregateEmitter(workspace.fresh(s, "streamed"), workspace.store(counts, "counts"), LOW, HIGH, ("user",))
+    for epoch in range(3):
+        e(rows.filter(F.col("size") % 3 == epoch), epoch)
+    out = F.explode(F.array(*[F.struct(F.lit(x).alias("attr"), *[F.round(f"{x}_{ag.name_of(p)}", 3).alias(ag.name_of(p)) for p in QS]) for x in ag.ATTRIBUTES]))
+    return e.emitted(s).select("id", out.alias("x")).select("id", "x.*")
+
+
+add("aggregate_streamed", _streamed, _dd_sql("user"))
 add("dd_expand_first_dir", _dd("dir", after=False), _dd_sql("dir"))
 add("aggregate_complete", lambda s, d: ag.complete_principals(ag.totals(fx.fs_large(s, d), LOW, HIGH).select("kind", "id", "file_count"), ct.merge_counts(ct.shard_counts(fx.fs_large(s, d), HIGH))).groupBy("kind", "complete").agg(F.count("*").alias("principals")), with_views("SELECT 'user' AS kind, true AS complete, count(DISTINCT uid) AS principals FROM fs_large UNION ALL SELECT 'group', true, count(DISTINCT gid) FROM fs_large UNION ALL SELECT 'dir', true, count(DISTINCT dir) FROM pre", "fs_large", named=_dirs, pre=_pre))
 add("aggregate_documents", lambda s, d: ag.to_documents(ag.aggregate(fx.fs_large(s, d))).select("subject", F.array_join("visible_to", ",").alias("visible"), F.col("content.file_count").alias("file_count"), F.col("content.size.total").alias("total")), with_views("SELECT 'user:' || uid AS subject, 'user:' || uid || ',group:admins' AS visible, count(*) AS file_count, CAST(sum(size) AS DOUBLE) AS total FROM fs_large GROUP BY uid UNION ALL SELECT 'group:' || gid, 'group:' || gid || ',group:admins', count(*), CAST(sum(size) AS DOUBLE) FROM fs_large GROUP BY gid UNION ALL SELECT 'dir:' || dir, 'public,group:admins', count(*), CAST(sum(size) AS DOUBLE) FROM pre GROUP BY dir", "fs_large", named=_dirs, pre=_pre))
@@ -169,11 +207,16 @@ def _dd_promise(s, d):
 add("dd_value_error", _dd_promise, with_views("SELECT DISTINCT uid, a.attr, true AS kept FROM fs_large, (VALUES ('size'), ('atime'), ('ctime'), ('mtime')) a(attr)", "fs_large"))
 
 
+def _principals(s, d, view):
+    """Every object under its user and its group."""
+    n = ag.numbers(fx.SNAPSHOTS[view](s, d))
+    both = F.array(*[F.struct(F.lit(k).alias("kind"), F.col(c).cast("long").alias("id")) for k, c in (("user", "uid"), ("group", "gid"))])
+    return n.select(F.explode(both).alias("p"), *ag.ATTRIBUTES).select("p.kind", "p.id", *ag.ATTRIBUTES)
+
+
 def _sweep(view):
     def run(s, d):
-        n, by = ag.numbers(fx.SNAPSHOTS[view](s, d)), ("kind", "id")
-        both = F.array(*[F.struct(F.lit(k).alias("kind"), F.col(c).cast("long").alias("id")) for k, c in (("user", "uid"), ("group", "gid"))])
-        df = n.select(F.explode(both).alias("p"), *ag.ATTRIBUTES).select("p.kind", "p.id", *ag.ATTRIBUTES)
+        df, by = _principals(s, d, view), ("kind", "id")
         out = None
         for a in ("dd", "kll", "req", "tdigest"):
             e = error.errors(df, by, ag.ATTRIBUTES, QS, a)
@@ -187,6 +230,33 @@ for _view in ("fs_small", "fs_medium", "fs_large"):
     add(f"accuracy_{_view}", _sweep(_view), None)
 
 
+def _accuracy_dd(view):
+    def run(s, d):
+        return error.errors(_principals(s, d, view), ("kind", "id"), ag.ATTRIBUTES, QS, "dd").select(*[F.round(c, 6).alias(c) for c in ("rank_error_min", "rank_error_max", "value_error_min", "value_error_max")])
+
+    return run
+
+
+def _accuracy_sql(view: str) -> str:
+    """The default summarizer's line of the comparison: bucket estimates against exact quantiles and places."""
+    rows = " UNION ALL ".join(f"SELECT '{k}' AS kind, {c} AS id, '{a}' AS attr, {e} AS v FROM {view}" for k, c in (("user", "uid"), ("group", "gid")) for a, e in _num.items())
+    qs = ", ".join(f"({x}::DOUBLE)" for x in QS)
+    parts = {
+        "melt": f"SELECT * FROM ({rows}) m WHERE (kind, id) IN (SELECT (kind, id) FROM (SELECT 'user' AS kind, uid AS id FROM {view} UNION ALL SELECT 'group', gid FROM {view}) GROUP BY ALL HAVING count(*) >= 100)",
+        "b": "SELECT kind, id, attr, CASE WHEN v = 0 THEN NULL ELSE CAST(ceil(ln(v) / ln(1.01 / 0.99)) AS BIGINT) END AS bucket, count(*) AS n FROM melt GROUP BY ALL",
+        "run": "SELECT *, sum(n) OVER (PARTITION BY kind, id, attr ORDER BY bucket NULLS FIRST) AS upto, sum(n) OVER (PARTITION BY kind, id, attr) AS total FROM b",
+        "e": f"SELECT kind, id, attr, q, min_by(coalesce(2 * pow(1.01 / 0.99, bucket) / (1.01 / 0.99 + 1), 0.0), upto) FILTER (upto > q * (total - 1)) AS est FROM run, (VALUES {qs}) t(q) GROUP BY ALL",
+        "p": "SELECT e.kind, e.id, e.attr, e.q, any_value(est) AS est, count(*) AS n, count(*) FILTER (v < est) AS lo, count(*) FILTER (v <= est) AS hi, quantile_cont(v, [" + ", ".join(map(str, QS)) + "]) AS true_all FROM e JOIN melt USING (kind, id, attr) GROUP BY e.kind, e.id, e.attr, e.q",
+        "x": "SELECT q, greatest(0.0, lo - q * n, q * n - hi) / n AS re, CASE WHEN t = est THEN 0.0 WHEN t <> 0 THEN abs(est - t) / abs(t) END AS ve FROM (SELECT *, true_all[list_position([" + ", ".join(map(str, QS)) + "]::DOUBLE[], q)] AS t FROM p)",
+        "m": "SELECT q, avg(re) AS re, avg(ve) AS ve FROM x GROUP BY q",
+    }
+    return with_views("SELECT round(min(re), 6) AS rank_error_min, round(max(re), 6) AS rank_error_max, round(min(ve), 6) AS value_error_min, round(max(ve), 6) AS value_error_max FROM m", view, **parts)
+
+
+for _view in ("fs_small", "fs_medium", "fs_large"):
+    add(f"accuracy_dd_{_view}", _accuracy_dd(_view), _accuracy_sql(_view))
+
+
 def _rank_dd(s, d):
     n = ag.numbers(fx.fs_large(s, d))
     est = base.quantiles(n, ("gid",), ("size",), QS, "dd")

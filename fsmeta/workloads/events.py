@@ -50,7 +50,7 @@ GAMMA_SIZES = tuple(int(16_384 * x) for x in (0.06, 0.13, 0.19, 0.25, 0.31, 0.38
 SQL = {
     "changes": _CHANGES.replace("KEY_OF", "json_extract(props, '$.k')"),
     "changes_tree": _TREE,
-    **{f"{n}_{m}": q.replace("SOURCES", str(m)) for n, q in (("mixed_ops", _MIXED), ("create_delete", _CYCLE), ("tree_read", _READ)) for m in (1, 2, 4, 5)},
+    **{f"{n}_{m}": q.replace("SOURCES", str(m)) for n, q in (("mixed_ops", _MIXED), ("create_delete", _CYCLE), ("tree_read", _READ)) for m in (1, 2, 3, 4, 5)},
 }
 
 
@@ -94,15 +94,18 @@ def roots(events: DataFrame) -> DataFrame:
 
 
 def read_tree(spark: SparkSession, sf_dir: str, sources: int = 1) -> DataFrame:
-    """The populated tree of the read workload: three directory levels by base-20 digits, one file a part."""
-    parts = spark.read.parquet(f"{sf_dir}/lineitem.parquet").selectExpr("l_partkey AS p").distinct().selectExpr("p", "row_number() OVER (ORDER BY p) - 1 AS i")
-    each = spark.range(sources).withColumnRenamed("id", "source_id")
-    top = each.selectExpr("source_id", "-1 - source_id AS fid", "CAST(NULL AS BIGINT) AS parent_fid", "concat('s', source_id) AS name", "true AS is_dir", "CAST(NULL AS BIGINT) AS size")
+    """The populated tree of the read workload: three directory levels by base-20 digits, one file a part.
+    Parts are numbered by running sums: those of buckets of keys first, then inside each bucket."""
+    parts = spark.read.parquet(f"{sf_dir}/lineitem.parquet").selectExpr("l_partkey AS p", "floor(l_partkey / 4096) AS bucket").distinct()
+    before = parts.groupBy("bucket").count().selectExpr("bucket", "coalesce(sum(count) OVER (ORDER BY bucket ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS base")
+    parts = parts.join(before, "bucket").selectExpr("p", "base + row_number() OVER (PARTITION BY bucket ORDER BY p) - 1 AS i")
+    every = f"explode(sequence(CAST(0 AS BIGINT), {sources - 1})) AS source_id"
+    top = spark.range(sources).withColumnRenamed("id", "source_id").selectExpr("source_id", "-1 - source_id AS fid", "CAST(NULL AS BIGINT) AS parent_fid", "concat('s', source_id) AS name", "true AS is_dir", "CAST(NULL AS BIGINT) AS size")
     keys = parts.selectExpr("i", "p % 20 AS a", "floor(p / 20) % 20 AS b", "floor(p / 400) % 20 AS c")
     sizes = ", ".join(map(str, GAMMA_SIZES))
     out = top
     for level, (fid, parent, name) in enumerate((("100 + a", "-1 - source_id", "a"), ("10000 + a * 20 + b", "100 + a", "b"), ("1000000 + a * 400 + b * 20 + c", "10000 + a * 20 + b", "c"))):
         cols = "abc"[: level + 1]
-        out = out.union(keys.select(*cols).distinct().join(each).selectExpr("source_id", f"CAST({fid} AS BIGINT) AS fid", f"CAST({parent} AS BIGINT) AS parent_fid", f"concat('d', {name}) AS name", "true AS is_dir", "CAST(NULL AS BIGINT) AS size"))
-    files = keys.join(each).selectExpr("source_id", "CAST(3000000 + i AS BIGINT) AS fid", "CAST(1000000 + a * 400 + b * 20 + c AS BIGINT) AS parent_fid", "concat('f', i) AS name", "false AS is_dir", f"CAST(element_at(array({sizes}), CAST(i % 20 + 1 AS INT)) AS BIGINT) AS size")
+        out = out.union(keys.select(*cols).distinct().selectExpr("*", every).selectExpr("source_id", f"CAST({fid} AS BIGINT) AS fid", f"CAST({parent} AS BIGINT) AS parent_fid", f"concat('d', {name}) AS name", "true AS is_dir", "CAST(NULL AS BIGINT) AS size"))
+    files = keys.selectExpr("*", every).selectExpr("source_id", "CAST(3000000 + i AS BIGINT) AS fid", "CAST(1000000 + a * 400 + b * 20 + c AS BIGINT) AS parent_fid", "concat('f', i) AS name", "false AS is_dir", f"CAST(element_at(array({sizes}), CAST(i % 20 + 1 AS INT)) AS BIGINT) AS size")
     return out.union(files)
