@@ -24,10 +24,13 @@ def main() -> None:
     from pyspark.sql import SparkSession
 
     from fsmeta import catalog, fixtures
+    from fsmeta.index import search
     from fsmeta.monitor import baseline, run
+    from fsmeta.plans import workspace
     from fsmeta.sketch import base
     from fsmeta.snapshot import aggregate as ag
     from fsmeta.workloads import events as ev
+    from fsmeta.workloads import stages
 
     sf = os.environ.get("BENCH_SF_DIR", "/root/testdata/sf0.1")
     cpus = os.environ.get("BENCH_CPUS", str(os.cpu_count()))
@@ -61,7 +64,7 @@ def main() -> None:
     rates = {}
     loads = {"mixed_ops": (ev.mixed_ops, ev.roots, 1400), "create_delete": (ev.create_delete, ev.roots, 1200), "tree_read": (ev.tree_read, None, 1000)}
     for name, (make, tree, batch) in loads.items():
-        for sources in (1, 4):
+        for sources in (1, 2, 4):
             events = make(spark, sf, sources).cache()
             n = events.count()
             nodes = (tree(events) if tree else ev.read_tree(spark, sf, sources)).cache()
@@ -69,15 +72,41 @@ def main() -> None:
             plans = {"stateful": run.monitor(events, nodes, False, batch), "stateful_reduced": run.monitor(events, nodes, True, batch)}
             if sources == 1:
                 plans["passthrough"] = baseline.passthrough(events)
-                b = baseline.per_event_lookup(events).agg({"modelled_s": "sum"}).first()[0]
-                rates[f"{name}_lookup_modelled"] = round(n / b)
+                # every look-up really waits; the first few thousand events show the rate
+                some = events.filter(events.seq < events.agg({"seq": "min"}).first()[0] + 4000).cache()
+                got = run.throughput(baseline.lookup_pipeline(some, nodes), some.count())
+                rates[f"{name}_lookup_measured"] = got["events_per_s"]
+                some.unpersist()
             for kind, plan in plans.items():
                 got = run.throughput(plan, n)
                 rates[f"{name}_{kind}_{sources}"] = got["events_per_s"]
                 took[f"{name}_{kind}_{sources}"] = got["seconds"]
             events.unpersist()
             nodes.unpersist()
-    print(json.dumps({"metric": "sum of headline query times", "value": round(sum(took.values()), 3), "unit": "sec", "queries": took, "sf": sf, "events_per_s": rates, "objects": objects, "objects_per_s_primary": round(objects / took["primary_records"])}))
+    for filesets in (1, 2, 3, 4, 5):
+        events = ev.create_delete(spark, sf, filesets).cache()
+        n, roots = events.count(), ev.roots(events).cache()
+        for kind, reduce in (("filesets", False), ("filesets_reduced", True)):
+            rates[f"{kind}_{filesets}"] = run.throughput(run.monitor(events, roots, reduce, 1200), n)["events_per_s"]
+        events.unpersist()
+    for parts in (1, 2, 4, 8, 16):  # partitions of the queue of one fileset, before its one owner
+        events = ev.create_delete(spark, sf, 1).repartition(parts).cache()
+        n = events.count()
+        rates[f"partitions_{parts}"] = run.throughput(run.monitor(events, ev.roots(events), True, 1200), n)["events_per_s"]
+        events.unpersist()
+    ratios = {
+        **{f"{w}_reduction_{m}": round(rates[f"{w}_stateful_reduced_{m}"] / rates[f"{w}_stateful_{m}"], 2) for w in loads for m in (1, 2, 4)},
+        **{f"{w}_1_to_{m}": round(rates[f"{w}_stateful_{m}"] / rates[f"{w}_stateful_1"], 2) for w in loads for m in (2, 4)},
+        **{f"{w}_over_lookup": round(rates[f"{w}_stateful_1"] / rates[f"{w}_lookup_measured"], 1) for w in loads},
+        **{f"sketch_{a}_over_dd": round(took[f"sketch_{a}_users_groups"] / took["sketch_dd_users_groups"], 2) for a in ("exact", "kll", "req", "tdigest")},
+    }
+    # the same question by both routes, from tables that are there already
+    agg = workspace.store(ag.totals(fixtures.fs_large(spark, sf), 0, 4, ("dir",)), "bench")
+    primary = workspace.store(fixtures.fs_large(spark, sf), "bench")
+    clock("route_aggregate", lambda: sink(search.search(agg, [search.Match("file_count", "gt", 650)])))
+    clock("route_primary", lambda: sink(search.search(ag.totals(primary, 0, 4, ("dir",)), [search.Match("file_count", "gt", 650)])))
+    sweep = stages.sweep(spark, sf)
+    print(json.dumps({"metric": "sum of headline query times", "value": round(sum(took.values()), 3), "unit": "sec", "queries": took, "sf": sf, "events_per_s": rates, "ratios": ratios, "stages": sweep, "objects": objects, "objects_per_s_primary": round(objects / took["primary_records"])}))
     spark.stop()
 
 

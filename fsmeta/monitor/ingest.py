@@ -18,15 +18,17 @@ def _op(column, ops: dict):
 
 
 def render_changelog(events: DataFrame) -> DataFrame:
-    """Lines as the text feed has them: seq, code, time, t=[fid], p=[parent], s=[is_dir] and the name last."""
+    """Lines as the text feed has them: seq, code, time, t=[fid], d=[is_dir], p=[parent] and the name last. A rename
+    names the moved object as its source, s=[fid], and where known the parent it comes from, sp=[parent]."""
     code = _op(F.col("op"), {v: k for k, v in TEXT_OPS.items()})
     part = lambda tag, c: F.when(F.col(c).isNotNull(), F.concat(F.lit(f" {tag}=["), F.col(c).cast("string"), F.lit("]"))).otherwise("")
-    line = F.concat(F.col("seq").cast("string"), F.lit(" "), code, F.lit(" "), F.date_format(F.col("ts").cast("timestamp"), "yyyy-MM-dd'T'HH:mm:ss.SSSSSS"), part("t", "fid"), part("d", "is_dir"), part("p", "parent_fid"), F.when(F.col("name").isNotNull(), F.concat(F.lit(" "), "name")).otherwise(""))
+    line = F.concat(F.col("seq").cast("string"), F.lit(" "), code, F.lit(" "), F.date_format(F.col("ts").cast("timestamp"), "yyyy-MM-dd'T'HH:mm:ss.SSSSSS"), F.when(F.col("op") == "RENAME", part("s", "fid")).otherwise(part("t", "fid")), part("sp", "source_parent_fid") if "source_parent_fid" in events.columns else F.lit(""), part("d", "is_dir"), part("p", "parent_fid"), F.when(F.col("name").isNotNull(), F.concat(F.lit(" "), "name")).otherwise(""))
     return events.select("source_id", line.alias("line"))
 
 
 def parse_changelog(lines: DataFrame) -> DataFrame:
-    """The text feed: no path and no stat in it, and none is looked up here."""
+    """The text feed: no path and no stat in it, and none is looked up here. What a line has depends on its
+    operation: renames give the moved object and its former parent as sources, others a target."""
     x = F.col("line")
     number = lambda tag: F.nullif(F.regexp_extract(x, rf" {tag}=\[(-?\d+)\]", 1), F.lit("")).cast("long")
     return lines.select(
@@ -34,11 +36,12 @@ def parse_changelog(lines: DataFrame) -> DataFrame:
         F.split(x, " ")[0].cast("long").alias("seq"),
         F.to_timestamp_ntz(F.split(x, " ")[2], F.lit("yyyy-MM-dd'T'HH:mm:ss.SSSSSS")).alias("ts"),
         _op(F.split(x, " ")[1], TEXT_OPS).alias("op"),
-        number("t").alias("fid"),
+        F.coalesce(number("s"), number("t")).alias("fid"),
         (F.regexp_extract(x, r" d=\[(\w+)\]", 1) == "true").alias("is_dir"),
         number("p").alias("parent_fid"),
         F.nullif(F.regexp_extract(x, r" p=\[-?\d+\] (.*)$", 1), F.lit("")).alias("name"),
         F.lit(None).cast("long").alias("size"),
+        number("sp").alias("source_parent_fid"),
     )
 
 

@@ -40,4 +40,13 @@ def store(df: DataFrame, name: str) -> DataFrame:
     depends on lineage or on any executor."""
     path = fresh(df.sparkSession, name)
     df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    out = df.sparkSession.read.schema(df.schema).parquet(path)
+    out._scratch = path
+    return out
+
+
+def drop(df: DataFrame | None) -> None:
+    """Delete a table that ``store`` made, once nothing lazy reads it any more."""
+    path = None if df is None else df.__dict__.get("_scratch")
+    if path is not None:
+        remove(df.sparkSession, path)

@@ -13,6 +13,7 @@ from fsmeta.functions import paths
 from fsmeta.index import reports, search, store
 from fsmeta.monitor import ingest, notify, run
 from fsmeta.plans import workspace
+from fsmeta.sketch import error
 from fsmeta.snapshot import aggregate, counting, preprocess, primary, versioning
 from fsmeta.streaming.snapshot import AggregateEmitter
 
@@ -44,6 +45,18 @@ class Session:
         versioning.publish(agg.join(gate.filter("complete").select("kind", "id"), ["kind", "id"], "left_semi"), f"{self.path}/aggregate", version)
         versioning.publish(gate.filter("not complete"), f"{self.path}/incomplete", version)
 
+    def chunks(self, raw: DataFrame, align: str = "row", source: str = "source") -> str:
+        """Write a raw snapshot's reduced rows as chunks of the configured size; gives their folder."""
+        at = workspace.fresh(self.spark, "chunks")
+        preprocess.write_chunks(preprocess.preprocess(raw), at, self.config.chunk_rows, align, source)
+        return at
+
+    def accuracy(self, algo: str | None = None) -> DataFrame:
+        """Errors of the configured (or named) summarizer over users and groups with enough files."""
+        c = self.config
+        rows = aggregate.expand(aggregate.numbers(self.primary()), *c.depth(), ("user", "group"))
+        return error.errors(rows, ("kind", "id"), aggregate.ATTRIBUTES, c.quantiles, algo or c.sketch, c.min_files)
+
     def incomplete(self) -> DataFrame:
         """Principals of the live version that the aggregate index lacks: kind, id, shards, missing."""
         return versioning.current(self.spark, f"{self.path}/incomplete")

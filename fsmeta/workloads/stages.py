@@ -1,6 +1,6 @@
 """Seconds of the three snapshot stages from chunked input, and their sum against a first configuration.
 
-``python -m fsmeta.workloads.stages /root/testdata/sf0.1`` prints one line a configuration.
+``python -m fsmeta.workloads.stages /root/testdata/sf0.1 8`` prints one line a configuration, with 8 cores.
 """
 
 from __future__ import annotations
@@ -38,7 +38,7 @@ def run_stages(rows: DataFrame, low: int = 1, high: int = 5) -> dict[str, float]
     return out
 
 
-def sweep(spark: SparkSession, sf_dir: str, targets: tuple[int, ...] = (1_000_000, 100_000)) -> list[dict]:
+def sweep(spark: SparkSession, sf_dir: str, targets: tuple[int, ...] = (100_000, 10_000)) -> list[dict]:
     out = []
     for view, make in fx.SNAPSHOTS.items():
         first = None
@@ -51,7 +51,15 @@ def sweep(spark: SparkSession, sf_dir: str, targets: tuple[int, ...] = (1_000_00
     return out
 
 
+def main(sf_dir: str, cores: str) -> None:
+    """One line a configuration, with this number of cores (the sweep over workers is a run for each)."""
+    session = SparkSession.builder.master(f"local[{cores}]").config("spark.driver.memory", "6g").config("spark.ui.enabled", "false").config("spark.ui.showConsoleProgress", "false").getOrCreate()
+    session.sparkContext.setLogLevel("ERROR")
+    run_stages(chunked(session, fx.fs_small(session, sf_dir), 1_000_000))  # starts the engine
+    for line in sweep(session, sf_dir):
+        print({"cores": cores, **line}, flush=True)
+    session.stop()
+
+
 if __name__ == "__main__":
-    session = SparkSession.builder.master("local[*]").config("spark.driver.memory", "6g").config("spark.ui.enabled", "false").getOrCreate()
-    for line in sweep(session, sys.argv[1] if len(sys.argv) > 1 else "/root/testdata/sf0.1"):
-        print(line)
+    main(sys.argv[1] if len(sys.argv) > 1 else "/root/testdata/sf0.1", sys.argv[2] if len(sys.argv) > 2 else "*")
