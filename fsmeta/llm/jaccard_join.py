@@ -3,10 +3,11 @@
 Documents are sets of word shingles (64-bit hashes), the distance is 1 - Jaccard, which is a metric.
 Equal sets are one node. Shingle sets of a corpus are so sparse that the distance to any fixed pivot
 is 1 for nearly all nodes, where the triangle inequality excludes nothing; so the space is first cut
-into regions in which distances differ: two nodes within the radius must share one of their
-first n - ceil(t n) + 1 shingles in any fixed order of all shingles, and each such shared
-shingle is a region. The order is by hash with the most frequent shingles last, so that common
-passages open no regions.
+into regions in which distances differ: of two nodes within the radius, the larger (n shingles) must
+have one of its first n - ceil(t n) + 1 shingles, in any fixed order of all shingles, among the first
+m - ceil(2 t m / (1 + t)) + 1 of the smaller (m shingles, its core). Each such shared shingle is a region,
+if it is in the core of a member; smaller members without it in theirs are left out. The order is by
+hash with the most frequent shingles last, so that common passages open no regions.
 
 1. Each region has a first pivot, and every member's distance to it is worked out (linear in the
    region's size). Members within the radius of it are linked to it. Regions whose members are all
@@ -52,7 +53,7 @@ SLOTS, TABLE, ZONE = 24, 4_000_000, 60
 #: radii within which a pivot has a cell.
 LEAF, CELL, PIVOTS, FAR = 48, 512, 16, 2
 #: The cells of a region must need less than SHRINK of its comparisons, else (or deeper than LEVELS) it is joined in blocks of BLOCK nodes.
-SHRINK, LEVELS, BLOCK = 0.5, 12, 256
+SHRINK, LEVELS, BLOCK = 0.5, 12, 512
 #: Rows of one group that a task reads at most, about; groups with more are dealt in parts.
 PART = 512
 #: Nodes whose texts are fetched by a broadcast list (8 bytes each) at most; more are fetched by a shuffle join.
@@ -139,6 +140,11 @@ def slot_of(ident: np.ndarray) -> np.ndarray:
     return ((ident * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(64 - SLOTS)).astype(np.int64)
 
 
+def core(n: int, percent: int) -> int:
+    """How many first shingles of a set of n any larger (or equal) partner has one of."""
+    return n + (-2 * percent * n // (100 + percent)) + 1
+
+
 def first_shingles(s: np.ndarray, ranks: np.ndarray, percent: int) -> np.ndarray:
     """The shingles one of which any partner of the set shares, in the order that puts rarer ones first."""
     n = len(s)
@@ -157,9 +163,9 @@ def _packed(s: list, nodes: list, sizes: list, bits: int):
     cut = list(zip(start.tolist(), [*start[1:].tolist(), len(flat)], strict=True))
     columns = {"bucket": pa.array(own), "s": pa.array([short[a:b].tobytes() for a, b in cut], pa.binary())}
     if nodes:
-        for name, values in (("nodes", np.array(nodes, np.int64)), ("sizes", np.array(sizes, np.int32))):
-            own = np.repeat(values, [len(x) for x in s])[order]
-            columns[name] = pa.array([own[a:b].tobytes() for a, b in cut], pa.binary())
+        who = np.repeat(np.array(nodes, np.int64), [len(x) for x in s])
+        for name, values in (("nodes", who[order]), ("sizes", np.concatenate(sizes)[order])):
+            columns[name] = pa.array([values[a:b].tobytes() for a, b in cut], pa.binary())
     return pa.RecordBatch.from_pydict(columns)
 
 
@@ -275,7 +281,8 @@ def entries(texts: DataFrame, span: int, percent: int, bits: int, ranks: np.ndar
                 sets.append(first)
                 if own is not None:
                     nodes.append(node)
-                    sizes.append(len(s))
+                    # negative where the shingle is not in the set's core
+                    sizes.append(np.where(np.arange(len(first)) < core(len(s), percent), len(s), -len(s)).astype(np.int32))
                 held += len(first)
                 if held > 1_500_000:
                     yield _packed(sets, nodes, sizes, bits)
@@ -354,7 +361,7 @@ def rank_table(texts: DataFrame, span: int, percent: int, bits: int) -> np.ndarr
 
 def regions(packed: DataFrame, run: int = 1 << 15) -> DataFrame:
     """s, pivot, np, nodes, sizes: members (packed, in runs) of every region of two nodes or more; the pivot is
-    the least of them. Regions with the same members are the same region: ``s`` is a hash of the members."""
+    the least of them. Regions with the same members and cores are the same region: ``s`` is a hash of them."""
 
     def gather(batches):
         for g in by_bucket(batches):
@@ -368,8 +375,14 @@ def regions(packed: DataFrame, run: int = 1 << 15) -> DataFrame:
             size = np.diff(np.append(start, len(s)))
             out = []
             for a, m in zip(start[size > 1].tolist(), size[size > 1].tolist(), strict=True):
-                own = who[a : a + m]
-                out += [(node_of(own), int(own[0]), int(n[a]), own[c : c + run].tobytes(), n[a + c : a + min(m, c + run)].tobytes()) for c in range(0, m, run)]
+                own, size_ = who[a : a + m], n[a : a + m]
+                if (size_ < 0).all():
+                    continue
+                keep = np.abs(size_) >= size_[size_ > 0].min()
+                own, size_ = own[keep], size_[keep]
+                if len(own) > 1:
+                    key = node_of(np.concatenate([own, size_.astype(np.int64)]))
+                    out += [(key, int(own[0]), int(abs(size_[0])), own[c : c + run].tobytes(), size_[c : c + run].tobytes()) for c in range(0, len(own), run)]
             out = list(dict.fromkeys(out))
             if out:
                 kinds = (pa.int64(), pa.int64(), pa.int64(), pa.binary(), pa.binary())
@@ -379,16 +392,17 @@ def regions(packed: DataFrame, run: int = 1 << 15) -> DataFrame:
 
 
 def members(found: DataFrame) -> DataFrame:
-    """s, pivot, np, node, n: one row a member, with the sizes of both sets."""
+    """s, pivot, np, node, n, inner: one row a member, with the sizes of both sets and whether its core has the shingle."""
 
     def spread(batches):
         for b in lean(batches):
             for s, p, m, raw, sizes in zip(*(c.to_pylist() for c in b.columns), strict=True):
                 who = np.frombuffer(raw, np.int64)
-                cols = [np.full(len(who), s), np.full(len(who), p), np.full(len(who), m), who, np.frombuffer(sizes, np.int32).astype(np.int64)]
-                yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in cols], names=["s", "pivot", "np", "node", "n"])
+                n = np.frombuffer(sizes, np.int32).astype(np.int64)
+                cols = [np.full(len(who), s), np.full(len(who), p), np.full(len(who), m), who, np.abs(n)]
+                yield pa.RecordBatch.from_arrays([*(pa.array(c, pa.int64()) for c in cols), pa.array(n > 0)], names=["s", "pivot", "np", "node", "n", "inner"])
 
-    return found.mapInArrow(spread, "s long, pivot long, np long, node long, n long")
+    return found.mapInArrow(spread, "s long, pivot long, np long, node long, n long, inner boolean")
 
 
 def texts_of(docs: DataFrame, nodes: DataFrame, text: str, span: int) -> DataFrame:
@@ -562,16 +576,22 @@ def cell_id(cell: int, pivot: int | None) -> int:
 def block_links(cells: DataFrame, t: DataFrame, span: int, percent: int) -> DataFrame:
     """Links between classes inside large cells whose distances are all alike (rows: cell, node, label, n).
 
-    The nodes of a cell, ordered by size, form blocks; a pair of blocks goes to one task if the sizes
-    of some two of their nodes are alike, and gives only links that join classes not yet joined there.
+    The nodes of a class with many members in the cell form blocks of their own, all others mixed ones, both in
+    the order of set sizes. A pair of blocks goes to one task if the sizes of some two of their nodes are
+    alike, unless both are of one class, and gives only links that join classes not yet joined there.
     """
+    big = cells.groupBy("cell", "label").agg(F.count("*").alias("_m")).filter(F.col("_m") >= BLOCK).select("cell", "label", F.col("label").alias("own"))
+    grouped = cells.join(big, ["cell", "label"], "left").withColumn("side", F.xxhash64("cell", "own", F.col("own").isNull()))
     spot = F.col("n") * 64 + F.shiftrightunsigned(F.xxhash64("node"), 58)
-    rows = running(cells.select("cell", "node", "label", "n", F.lit(1).alias("one")), "cell", spot, ["node"], "one")
-    rows = rows.select("cell", "node", "label", "n", F.floor(F.col("before") / BLOCK).cast("int").alias("block"))
-    ends = rows.groupBy("cell", "block").agg(F.min("n").alias("low"), F.max("n").alias("high"))
-    other = ends.select("cell", F.col("block").alias("with"), F.col("low").alias("low2"), F.col("high").alias("high2"))
-    pairs = ends.join(other, "cell").filter((F.col("block") <= F.col("with")) & (100 * F.col("high") >= percent * F.col("low2")))
-    pairs = pairs.select("cell", F.col("block").alias("i"), F.col("with").alias("j"))
+    rows = running(grouped.select("cell", "side", "own", "node", "label", "n", F.lit(1).alias("one")), "side", spot, ["node"], "one")
+    block = F.xxhash64("side", F.floor(F.col("before") / BLOCK))
+    rows = workspace.store(rows.select("cell", "own", "node", "label", "n", block.alias("block")), "blocks")
+    ends = rows.groupBy("cell", "block").agg(F.min("n").alias("low"), F.max("n").alias("high"), F.max("own").alias("own"))
+    other = ends.select("cell", *[F.col(c).alias(c + "2") for c in ("block", "low", "high", "own")])
+    sizes = (100 * F.col("high") >= percent * F.col("low2")) & (100 * F.col("high2") >= percent * F.col("low"))
+    apart = ~F.coalesce(F.col("own") == F.col("own2"), F.lit(False))
+    pairs = ends.join(other, "cell").filter((F.col("block") <= F.col("block2")) & sizes & apart)
+    pairs = pairs.select("cell", F.col("block").alias("i"), F.col("block2").alias("j"))
     sides = pairs.select("*", F.explode(F.array_distinct(F.array("i", "j"))).alias("block"))
     sent = rows.join(sides, ["cell", "block"]).join(t, "node").select("cell", "i", "j", "block", "node", "label", "t")
 
@@ -584,7 +604,8 @@ def block_links(cells: DataFrame, t: DataFrame, span: int, percent: int) -> Data
         shared = intersections([sets[k] for k in left], [sets[k] for k in right])
         na, nb = (np.array([len(sets[k]) for k in side]) for side in (left, right))
         out, up = [], {}
-        for a, b in np.argwhere(within(shared, na[:, None], nb[None, :], percent)).tolist():
+        la, lb = (np.array([labels[k] for k in side]) for side in (left, right))
+        for a, b in np.argwhere(within(shared, na[:, None], nb[None, :], percent) & (la[:, None] != lb[None, :])).tolist():
             ra, rb = root(up, labels[left[a]]), root(up, labels[right[b]])
             if ra != rb:
                 up[ra] = rb
@@ -639,10 +660,12 @@ def windowed_pairs(rows: DataFrame, known: DataFrame, percent: int) -> DataFrame
     gap = known.select(F.col("a").alias("pivot"), F.col("b").alias("node"), (1 - F.col("shared") / (F.col("na") + F.col("nb") - F.col("shared"))).alias("_d"))
     # all distances to the pivot itself are known
     rest = rows.filter("node <> pivot").join(gap, ["pivot", "node"], "left")
-    rest = rest.select("cell", "node", "label", "n", F.coalesce("_d", 1 - F.least("n", "np") / F.greatest("n", "np")).alias("lo"), F.coalesce("_d", F.lit(1.0)).alias("hi"))
+    rest = rest.select("cell", "node", "label", "n", "inner", F.coalesce("_d", 1 - F.least("n", "np") / F.greatest("n", "np")).alias("lo"), F.coalesce("_d", F.lit(1.0)).alias("hi"))
     x, y = (rest.select(*[F.col(c).alias(c + e) for c in rest.columns]) for e in "xy")
     radius = 1 - percent / 100 + 1e-9
     window = (F.col("lox") - F.col("hiy") <= radius) & (F.col("loy") - F.col("hix") <= radius)
+    # the shingle is in the core of the smaller
+    window &= (F.col("innerx") & (F.col("nx") <= F.col("ny"))) | (F.col("innery") & (F.col("ny") <= F.col("nx")))
     may = (F.col("cellx") == F.col("celly")) & (F.col("nodex") < F.col("nodey")) & (F.col("labelx") != F.col("labely")) & alike("nx", "ny", percent) & window
     return x.join(y, may).select(F.col("nodex").alias("a"), F.col("nodey").alias("b")).distinct()
 
@@ -694,7 +717,10 @@ def classes(docs: DataFrame, key: str = "doc_id", text: str = "text", span: int
             wide = now.filter(~small)
             more, cells, costly = voronoi(wide, texts, span, percent, level)
             costly = costly if level < LEVELS else wide.select("cell").distinct()
-            links = links.unionByName(more).unionByName(workspace.store(block_links(wide.join(costly, "cell", "left_semi"), texts, span, percent), "links"))
+            links = links.unionByName(more)
+            # what the pivots have joined by now need not be compared in blocks
+            left = workspace.store(still_open(wide.join(costly, "cell", "left_semi").select("cell", "node", "n"), components(links)), "open")
+            links = links.unionByName(workspace.store(block_links(left, texts, span, percent), "links"))
             cells = cells.join(costly.withColumnRenamed("cell", "up"), "up", "left_anti").drop("up")
         if not kinds[1] or level == LEVELS:
             label = components(links) if kinds[0] or kinds[1] else label

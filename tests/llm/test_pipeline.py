@@ -67,3 +67,35 @@ def test_held_out_accuracy(spark):
     assert lang.agg(F.avg((F.col("lang") == F.col("lang_pred")).cast("int"))).first()[0] > 0.97
     q = queries.op10_quality_classifier(spark, sf).join(spark.read.parquet(f"{sf}/labels.parquet"), "doc_id").filter("held_out")
     assert q.agg(F.avg((F.col("quality") == F.col("predicted")).cast("int"))).first()[0] > 0.95
+
+
+def test_stages_take_odd_rows(spark, sf):
+    """Null keys, repeated ids, null, empty and very long texts, null sources; and an empty table."""
+    import corpus_pipeline as cp
+
+    docs = spark.read.parquet(f"{sf}/documents.parquet")
+    rest = [f.name for f in docs.schema.fields if f.name not in ("doc_id", "text", "source")]
+    some = docs.limit(60).collect()
+    row = lambda k, t, s: tuple({"doc_id": k, "text": t, "source": s}.get(f.name, some[0][f.name]) for f in docs.schema.fields)
+    long = " ".join(r["text"] or "" for r in some) * 40
+    odd = [row(None, some[1]["text"], "a"), row(None, None, None), row(some[2]["doc_id"], some[3]["text"], None), row(some[2]["doc_id"], some[2]["text"], some[2]["source"]), row(10**9, "", "b"), row(10**9 + 1, long, "b"), row(10**9 + 1, long, "b")]
+    assert rest
+    table = spark.createDataFrame([tuple(r) for r in some] + odd, docs.schema)
+    for make in (table, table.limit(0)):
+        now = cp.workspace.store(make, "odd")
+        for name, stage in cp.STAGES:
+            before = Counter((r["doc_id"], r["text"]) for r in now.select("doc_id", "text").collect()) if "text" in now.columns else None
+            out = stage(spark, now, sf)
+            if name == cp.STAGES[-1][0]:
+                got = out.collect()
+                assert Counter(r["doc_id"] for r in got) == Counter(k for (k, _), n in before.items() for _ in range(n))
+                continue
+            assert out.columns == docs.columns
+            now = cp.workspace.store(out, name)
+            after = Counter((r["doc_id"], r["text"]) for r in now.select("doc_id", "text").collect())
+            assert set(after) <= set(before)
+            if name == "jaccard_join" and make is table:
+                assert max(after.values()) == 1
+                assert {k for k in before if k[0] is None} <= set(after)  # rows without a key stay
+            if name == "decontamination":
+                assert {k for k in before if k[0] is None} <= set(after)
