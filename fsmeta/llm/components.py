@@ -1,7 +1,9 @@
 """Connected components of an edge table by alternating large and small stars.
 
 Each round is two shuffle joins with a minimum per node; rounds are logarithmic in the
-number of nodes. Every round's edges go to the shared folder, so lineage stays short.
+number of nodes. Every round's edges go to the shared folder, so lineage stays short; those of
+the round before are deleted. A hub's rows are 16 bytes each, and its join is one that the engine
+splits where it is skewed.
 """
 
 from __future__ import annotations
@@ -34,7 +36,8 @@ def components(edges: DataFrame, most_rounds: int = 60) -> DataFrame:
         if tuple(mark) == state or not mark[0]:
             break
         state = tuple(mark)
-        now = workspace.store(_small(_large(now)), "edges")
+        before, now = now, workspace.store(_small(_large(now)), "edges")
+        workspace.drop(before)
     else:
         raise RuntimeError("components did not settle")
     return now.select(F.col("a").alias("node"), F.col("b").alias("label")).union(now.select(F.col("b").alias("node"), F.col("b").alias("label"))).distinct()

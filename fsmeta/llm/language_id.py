@@ -176,9 +176,9 @@ def fit(docs: DataFrame, learn: Column, key: str = "doc_id", text: str = "text",
     rows = known.select("k", "l")
     sizes = workspace.store(rows.groupBy("l").agg(F.count("*").alias("n")), "languages")
     share = min(per_language, max(least, sample_rows // max(1, sizes.count())))
-    # a threshold on the hash first: it lets through some four times the share, so that few rows are ranked
+    # a threshold on the hash first: it lets through the share and ten standard deviations, so that few rows are ranked
     luck = F.xxhash64("k") / 2.0**64 + 0.5
-    few = rows.join(sizes, "l").filter(luck * F.col("n") < 4 * share + 100)
+    few = rows.join(sizes, "l").filter(luck * F.col("n") < share + 10 * share**0.5 + 100)
     rank = F.row_number().over(Window.partitionBy("l").orderBy(F.xxhash64("k"), "k"))
     picked = few.withColumn("r", rank).filter(F.col("r") <= share).select("k").distinct()
     chosen = known.join(F.broadcast(picked), "k", "left_semi").select("k", "t", "l")

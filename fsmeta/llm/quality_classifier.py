@@ -141,9 +141,9 @@ def fit(docs: DataFrame, labels: DataFrame, learn: Column, key: str = "doc_id",
     known = labels.select(labels[key].alias("k"), labels[label].cast("int").alias("y")).filter(F.col("k").isNotNull() & F.col("y").isin(0, 1) & learn)
     sizes = {r["y"]: r["n"] for r in known.groupBy("y").agg(F.count("*").alias("n")).collect()}  # two rows at most
     prior = (sizes.get(1, 0) + 1) / (sum(sizes.values()) + 2)
-    # a threshold on the hash first: it lets through some four times the sample, so that few rows are ranked
+    # a threshold on the hash first: it lets through the sample and ten standard deviations, so that few rows are ranked
     luck = F.xxhash64("k") / 2.0**64 + 0.5
-    few = known.filter(luck * F.when(F.col("y") == 1, sizes.get(1, 0)).otherwise(sizes.get(0, 0)) < 4 * per_class + 100)
+    few = known.filter(luck * F.when(F.col("y") == 1, sizes.get(1, 0)).otherwise(sizes.get(0, 0)) < per_class + 10 * per_class**0.5 + 100)
     rank = F.row_number().over(Window.partitionBy("y").orderBy(F.xxhash64("k"), "k"))
     picked = few.withColumn("r", rank).filter(F.col("r") <= per_class).select("k", "y")
     chosen = docs.select(docs[key].alias("k"), docs[text].alias("t")).join(F.broadcast(picked), "k")
