@@ -81,5 +81,8 @@ ORACLE_SQL = None
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     for name, stage in STAGES[:-1]:
-        docs = workspace.store(stage(spark, docs, sf_dir), name)
-    return STAGES[-1][1](spark, docs, sf_dir)
+        before, docs = docs, workspace.store(stage(spark, docs, sf_dir), name)
+        workspace.drop(before)  # only what a stage wrote
+    out = STAGES[-1][1](spark, docs, sf_dir)  # reads the id files, which are written by now
+    workspace.drop(docs)
+    return out
