@@ -58,6 +58,7 @@ def _records(s, d):
 
 add("primary_records", _records, with_views(f"SELECT path AS subject, 'user:' || uid || ',group:' || gid || ',group:admins' AS visible, {_mode_sql()} AS mode, size, strftime(atime, '%Y-%m-%dT%H:%M:%SZ') AS atime, strftime(mtime, '%Y-%m-%dT%H:%M:%SZ') AS mtime, mode AS raw_mode FROM fs_large", "fs_large"))
 add("primary_requests", lambda s, d: pr.request_log(pr.to_requests(pr.to_records(fx.fs_large(s, d)))).agg(F.sum("n_records").alias("records"), (F.max("n_bytes") <= (10 << 20)).alias("within_limit")), with_views("SELECT CAST(count(*) AS BIGINT) AS records, true AS within_limit FROM fs_large", "fs_large"))
+add("primary_submission", lambda s, d: pr.audit(pr.submit(pr.to_requests(pr.to_records(fx.fs_large(s, d)), max_bytes=1 << 20)), workspace.fresh(s, "log"), 1).agg(F.sum("n_records").alias("records"), F.bool_and(F.col("task_id").isNotNull()).alias("accepted"), F.max("tries").alias("tries")), with_views("SELECT CAST(count(*) AS BIGINT) AS records, true AS accepted, CAST(1 AS INT) AS tries FROM fs_large", "fs_large"))
 add("primary_index_stats", lambda s, d: pr.index_stats(fx.fs_large(s, d)), with_views("SELECT count(*) AS records, CAST(sum(size) AS BIGINT) AS bytes, count(DISTINCT uid) AS users, count(DISTINCT gid) AS groups, count(*) FILTER (type = 'l') AS links FROM fs_large", "fs_large"))
 
 # --- versions

@@ -79,6 +79,11 @@ class Session:
         c = self.config
         return primary.to_requests(primary.to_records(self.primary(), c.admins), c.request_bytes, c.request_wait_s, versioning.live(self.spark, f"{self.path}/primary"))
 
+    def submit(self, send=primary.receipt) -> DataFrame:
+        """Send the live version's requests and keep the log of the service's ids."""
+        version = versioning.live(self.spark, f"{self.path}/primary")
+        return primary.audit(primary.submit(self.requests(), send), f"{self.path}/requests", version)
+
     def primary(self) -> DataFrame:
         return versioning.current(self.spark, f"{self.path}/primary")
 

@@ -19,10 +19,14 @@ def gamma(alpha: float) -> float:
     return (1 + alpha) / (1 - alpha)
 
 
-def buckets(df: DataFrame, by: tuple[str, ...], attrs: tuple[str, ...], alpha: float = 0.01) -> DataFrame:
+def bucketed(df: DataFrame, by: tuple[str, ...], attrs: tuple[str, ...], alpha: float = 0.01) -> DataFrame:
+    """by..., attr, value, sign, bucket: one row a value."""
     v = F.col("value")
-    rows = melt(df, by, attrs).select(*by, "attr", F.signum(v).cast("int").alias("sign"), F.when(v == 0, 0).otherwise(F.ceil(F.log(F.abs(v)) / F.lit(math.log(gamma(alpha))))).cast("long").alias("bucket"))
-    return rows.groupBy(*by, "attr", "sign", "bucket").agg(F.count("*").alias("n"))
+    return melt(df, by, attrs).select(*by, "attr", "value", F.signum(v).cast("int").alias("sign"), F.when(v == 0, 0).otherwise(F.ceil(F.log(F.abs(v)) / F.lit(math.log(gamma(alpha))))).cast("long").alias("bucket"))
+
+
+def buckets(df: DataFrame, by: tuple[str, ...], attrs: tuple[str, ...], alpha: float = 0.01) -> DataFrame:
+    return bucketed(df, by, attrs, alpha).groupBy(*by, "attr", "sign", "bucket").agg(F.count("*").alias("n"))
 
 
 def merge(parts: DataFrame, keys: tuple[str, ...]) -> DataFrame:

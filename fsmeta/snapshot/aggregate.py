@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from fsmeta.fixtures import epoch
 from fsmeta.functions.paths import prefix, prefixes
 from fsmeta.sketch import dd as ddsketch
-from fsmeta.sketch.exact import exact
+from fsmeta.sketch.exact import exact_selected
 
 ATTRIBUTES = ("size", "atime", "ctime", "mtime")
 QUANTILES = (0.10, 0.25, 0.50, 0.75, 0.90, 0.99)
@@ -99,7 +99,8 @@ def aggregate(df: DataFrame, low: int = 1, high: int = 5, kinds: tuple[str, ...]
     if sketch == "dd":
         q = ddsketch.quantiles(dd_buckets(df, low, high, kinds, alpha, after, dir_filter), ("kind", "id", "attr"), qs, alpha)
     elif sketch == "exact":
-        q = exact(expand(numbers(df), low, high, kinds, dir_filter), ("kind", "id"), ATTRIBUTES, qs)
+        counts = dd_buckets(df, low, high, kinds, alpha, after, dir_filter)
+        q = exact_selected(expand(numbers(df), low, high, kinds, dir_filter), ("kind", "id"), ATTRIBUTES, qs, counts, alpha)
     else:
         from fsmeta.sketch.base import quantiles
 

@@ -3,6 +3,8 @@
 from __future__ import annotations
 
 import time
+import zlib
+from collections.abc import Callable
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -62,6 +64,41 @@ def to_requests(records: DataFrame, max_bytes: int = 10 << 20, max_wait_s: float
     return lines.mapInArrow(pack, "request_id string, n_records long, n_bytes long, first_path string, payload string")
 
 
+def receipt(payload: str) -> str:
+    """Stands in for an ingest service: the id that it would answer with."""
+    return f"task-{zlib.crc32(payload.encode()):08x}"
+
+
+def submit(requests: DataFrame, send: Callable[[str], str] = receipt, attempts: int = 3) -> DataFrame:
+    """Send every request; one log row each: request_id, task_id (the service's asynchronous id, null if it was
+    refused ``attempts`` times), n_records, n_bytes, tries. ``send`` runs in the tasks."""
+
+    def work(batches):
+        for b in batches:
+            out = []
+            for r in b.to_pylist():
+                task, tries = None, 0
+                while task is None and tries < attempts:
+                    tries += 1
+                    try:
+                        task = send(r["payload"])
+                    except OSError:
+                        time.sleep(0.1 * tries)
+                out.append((r["request_id"], task, r["n_records"], r["n_bytes"], tries))
+            if out:
+                kinds = (pa.string(), pa.string(), pa.int64(), pa.int64(), pa.int32())
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out, strict=True), kinds, strict=True)], names=["request_id", "task_id", "n_records", "n_bytes", "tries"])
+
+    return requests.mapInArrow(work, "request_id string, task_id string, n_records long, n_bytes long, tries int")
+
+
+def audit(log: DataFrame, path: str, version: int) -> DataFrame:
+    """Keep a version's submission log (written once: sending is not done again when it is read); gives it."""
+    at = f"{path}/version={version}"
+    log.write.mode("overwrite").parquet(at)
+    return log.sparkSession.read.schema(log.schema).parquet(at)
+
+
 def request_log(requests: DataFrame, kind: str = "ingest") -> DataFrame:
     return requests.select("request_id", F.lit(kind).alias("kind"), "n_records", "n_bytes", "first_path")
 

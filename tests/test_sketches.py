@@ -5,7 +5,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from fsmeta.sketch import base, dd, error
-from fsmeta.sketch.exact import exact, exact_spilling
+from fsmeta.sketch.exact import exact, exact_selected, exact_spilling
 from fsmeta.sketch.req import Req
 from fsmeta.sketch.tdigest import TDigest
 
@@ -48,8 +48,9 @@ def test_dd_merge_and_collapse(df):
 
 def test_exact_forms_agree(df):
     a = {(r["g"], i): v for r in exact(df, ("g",), ("v",), QS).collect() for i, v in enumerate(r["q"])}
-    b = {(r["g"], i): v for r in exact_spilling(df, ("g",), ("v",), QS).collect() for i, v in enumerate(r["q"])}
-    assert a.keys() == b.keys() and all(abs(a[k] - b[k]) < 1e-6 for k in a)
+    for form in (exact_spilling, exact_selected):
+        b = {(r["g"], i): v for r in form(df, ("g",), ("v",), QS).collect() for i, v in enumerate(r["q"])}
+        assert a.keys() == b.keys() and all(abs(a[k] - b[k]) < 1e-6 for k in a)
 
 
 def test_errors_by_hand(spark):

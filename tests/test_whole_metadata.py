@@ -60,3 +60,29 @@ def test_limits_need_a_resolver():
     for make in (lambda: StateManager(max_dirs=3), lambda: MetadataStateProcessor(ttl_ms=1000)):
         with pytest.raises(ValueError):
             make()
+
+
+def test_requests_are_tried_again_and_refusals_are_logged(spark, sf, tmp_path):
+    from fsmeta import fixtures as fx
+    from fsmeta.snapshot import primary as pr
+
+    marks = str(tmp_path)
+
+    def send(payload):
+        import os
+        import zlib
+
+        mark = f"{marks}/{zlib.crc32(payload.encode())}"
+        if not os.path.exists(mark):
+            open(mark, "w").close()
+            raise OSError("busy")
+        return "ok"
+
+    def never(payload):
+        raise OSError("down")
+
+    requests = pr.to_requests(pr.to_records(fx.fs_medium(spark, sf)), max_bytes=100_000).cache()
+    log = pr.audit(pr.submit(requests, send), f"{tmp_path}/log", 1).collect()
+    assert len(log) == requests.count() > 1 and {(r["task_id"], r["tries"]) for r in log} == {("ok", 2)}
+    assert {(r["task_id"], r["tries"]) for r in pr.submit(requests, never, 2).collect()} == {(None, 2)}
+    requests.unpersist()
