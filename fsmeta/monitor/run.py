@@ -44,7 +44,9 @@ def _ordered(events: DataFrame, nodes: DataFrame | None, parts: int | None, time
     if nodes is not None:
         at = [F.lit(None).cast("double").alias("at")] if timed else []
         e = nodes.select("source_id", F.lit(-1).cast("long").alias("seq"), F.lit("NODE").alias("op"), "fid", "is_dir", "parent_fid", "name", "size", *at).unionByName(e)
-    e = e.repartition(parts, "source_id") if parts else e.repartition("source_id")
+    # sources are told apart by number, so that a few of them do not meet in one task by chance
+    parts = parts or int(events.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    e = e.repartitionById(parts, F.pmod("source_id", F.lit(parts)).cast("int"))
     return e.sortWithinPartitions("source_id", "seq")
 
 

@@ -38,10 +38,10 @@ def run_stages(rows: DataFrame, low: int = 1, high: int = 5) -> dict[str, float]
     return out
 
 
-def sweep(spark: SparkSession, sf_dir: str, targets: tuple[int, ...] = (100_000, 10_000)) -> list[dict]:
+def sweep(spark: SparkSession, sf_dir: str, targets: tuple[int, ...] = (100_000, 10_000), views: tuple[str, ...] = tuple(fx.SNAPSHOTS)) -> list[dict]:
     out = []
-    for view, make in fx.SNAPSHOTS.items():
-        first = None
+    for view in views:
+        make, first = fx.SNAPSHOTS[view], None
         for target in targets:
             rows = chunked(spark, make(spark, sf_dir), target)
             stages = run_stages(rows)
