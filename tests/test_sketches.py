@@ -89,3 +89,33 @@ def test_numpy_sketches_merge(kind):
     for q, v in zip(QS, s.quantiles(QS), strict=True):
         assert abs(np.searchsorted(every, v) / len(every) - q) < 0.03
     assert kind is TDigest or len(s.dump()) < 40_000
+
+
+@pytest.mark.parametrize("kind", ["req", "tdigest"])
+def test_small_groups_are_not_cut_up(spark, kind):
+    """More groups than a task holds sketches of, each met again and again: one row for each, and nothing lost."""
+    groups, times = 25_000, 10
+    d = spark.range(groups * times, numPartitions=1).selectExpr(f"id % {groups} AS g", "CAST(id AS DOUBLE) AS v")
+    parts = base.partial(d, ("g",), ("v",), kind)
+    assert parts.agg(F.count("*"), F.sum("n"), F.min("n"), F.max("high")).first()[:] == (groups, groups * times, times, groups * times - 1.0)
+    got = base.quantiles(d, ("g",), ("v",), (0.0, 1.0), kind).agg(F.count("*"), F.count_if(F.get("q", 0) == F.col("g")), F.count_if(F.get("q", 1) == F.col("g") + groups * (times - 1))).first()
+    assert got[:] == (groups,) * 3
+
+
+def test_estimates_of_small_groups_do_not_hang_on_partitions(spark):
+    rng = np.random.default_rng(7)
+    rows = [(g, float(v), None if v > 1.5 else float(-v)) for g in range(3) for v in rng.lognormal(0, 1, 70 * (g + 1))] + [(None, 1.0, None)]
+    d = spark.createDataFrame(rows, "g long, v double, w double")
+    for kind in ("req", "tdigest"):
+        one, more = (sorted(((r["g"], r["attr"], r["q"]) for r in base.quantiles(d.repartition(n), ("g",), ("v", "w"), QS, kind).collect()), key=repr) for n in (1, 7))
+        assert one == more and len(one) == 7
+
+
+def test_large_groups_come_as_sketches_among_small_ones(spark):
+    d = spark.range(12_000, numPartitions=3).selectExpr("CASE WHEN id % 3 = 0 THEN id ELSE -1 END AS g", "CAST(id AS DOUBLE) AS v", "CASE WHEN id % 2 = 0 THEN CAST(-id AS DOUBLE) END AS w")
+    for kind in ("req", "tdigest"):
+        parts = base.partial(d, ("g",), ("v", "w"), kind, held=1, buffered=1000, block=1000)
+        assert {(r["g"] == -1, r["plain"]) for r in parts.select("g", "plain").distinct().collect()} == {(True, False), (False, True)}
+        est = base.quantiles(d, ("g",), ("v", "w"), QS, kind, held=1, buffered=1000, block=1000)
+        e = error.rank_error(d, est, ("g",), ("v", "w"), QS)
+        assert e.count() == 6 * (4_001 + 2_001) and e.filter("g = -1 AND rank_error > 0.05").isEmpty()
