@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from fsmeta.sketch.exact import exact, melt
+from fsmeta.sketch.exact import exact
 
 
 def value_error(truth: DataFrame, estimate: DataFrame, keys: tuple[str, ...], qs: tuple[float, ...]) -> DataFrame:
@@ -19,13 +19,19 @@ def value_error(truth: DataFrame, estimate: DataFrame, keys: tuple[str, ...], qs
 def rank_error(df: DataFrame, estimate: DataFrame, by: tuple[str, ...], attrs: tuple[str, ...], qs: tuple[float, ...], tie: str = "closest") -> DataFrame:
     """keys..., quantile, rank_error = |place of the estimate in the sorted values - q n| / n.
 
-    One pass: values meet their group's six estimates and are counted below and up to each. ``left``
-    takes the place before equal values, ``right`` the one after, ``closest`` the nearer.
+    One pass: rows meet the estimates of all attributes of their group, and values are counted below and up
+    to each. ``left`` takes the place before equal values, ``right`` the one after, ``closest`` the nearer.
     """
     keys = (*by, "attr")
-    j = melt(df, by, attrs).join(estimate.select(*keys, F.col("q").alias("e")), list(keys))
-    v = F.col("value")
-    counted = j.groupBy(*keys).agg(F.count("*").alias("n"), *[f for i in range(len(qs)) for f in (F.count_if(v < F.get("e", i)).alias(f"l{i}"), F.count_if(v <= F.get("e", i)).alias(f"r{i}"))])
+    wide = estimate.groupBy(*by).agg(*[F.max(F.when(F.col("attr") == a, F.col("q"))).alias(f"_e{j}") for j, a in enumerate(attrs)])
+    rows = df.select(*by, *[F.col(a).cast("double").alias(f"_v{j}") for j, a in enumerate(attrs)])
+    rows = rows.join(wide, list(by)) if by else rows.crossJoin(F.broadcast(wide))
+    below = [F.count_if(F.col(f"_v{j}") < F.get(f"_e{j}", i)).alias(f"l{j}_{i}") for j in range(len(attrs)) for i in range(len(qs))]
+    upto = [F.count_if(F.col(f"_v{j}") <= F.get(f"_e{j}", i)).alias(f"r{j}_{i}") for j in range(len(attrs)) for i in range(len(qs))]
+    there = [F.count(F.when(F.col(f"_e{j}").isNotNull(), F.col(f"_v{j}"))).alias(f"n{j}") for j in range(len(attrs))]
+    counts = rows.groupBy(*by).agg(*there, *below, *upto)
+    places = [F.struct(F.lit(a).alias("attr"), F.col(f"n{j}").alias("n"), *[F.col(f"{s}{j}_{i}").alias(f"{s}{i}") for i in range(len(qs)) for s in "lr"]) for j, a in enumerate(attrs)]
+    counted = counts.select(*by, F.explode(F.array(*places)).alias("p")).select(*by, "p.*").filter("n > 0")
 
     def one(i: int, q: float):
         want, lo, hi = F.lit(q) * F.col("n"), F.col(f"l{i}"), F.col(f"r{i}")
