@@ -171,8 +171,7 @@ _COUNTS = "SELECT source_id, (SELECT count(DISTINCT batch_id) FROM b WHERE b.sou
 def _reduced_counts(make, sources, n):
     def run_(s, d):
         b = batching.assign_batches(ingest.filter_low_information(make(s, d, sources)), n, LONG)
-        stats = rd.reduce_stats(b, rd.reduce(b)).drop("cancelled_events")
-        return stats.join(b.groupBy("source_id").agg(F.countDistinct("batch_id").alias("batches")), "source_id")
+        return rd.batch_stats(b).drop("cancelled_events")
 
     return run_
 

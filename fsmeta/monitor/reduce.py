@@ -48,6 +48,7 @@ def coalesced(batched: DataFrame, extra: tuple[str, ...] = ()) -> DataFrame:
         F.min_by("op", "seq").alias("first_op"),
         F.max_by("op", "seq").alias("last_op"),
         F.max(F.when(F.col("op") == "RENAME", 1).otherwise(0)).alias("renamed"),
+        F.max(F.when(dir_rename(), 1).otherwise(0)).alias("dir_renamed"),
         F.max_by("is_dir", "seq").alias("is_dir"),
         F.max_by(structural, F.when(structural.isNotNull(), F.col("seq"))).alias("place"),
         F.max_by("size", F.when(F.col("size").isNotNull(), F.col("seq"))).alias("size"),
@@ -92,3 +93,21 @@ def reduce_stats(batched: DataFrame, reduced: DataFrame, opens: DataFrame | None
     if opens is not None:
         out = out.join(opens.filter("op = 'OPEN'").groupBy("source_id").agg(F.count("*").alias("opens_dropped")), "source_id", "left")
     return out.na.fill(0)
+
+
+def batch_stats(batched: DataFrame) -> DataFrame:
+    """What ``reduce_stats`` says of ``reduce`` with its standard rules, and the number of batches, from one pass over
+    the groups of each batch: a batch with a directory rename passes, so its groups count as events only."""
+    file_, dir_ = CANCEL_FILE.drops(), CANCEL_DIR.drops()
+    batches = coalesced(batched).groupBy("source_id", "batch_id").agg(
+        F.max("dir_renamed").alias("raw"),
+        F.sum("events").alias("events_in"),
+        F.count_if(~(file_ | dir_)).alias("left"),
+        F.count_if(file_).alias("cancelled_files"),
+        F.count_if(dir_).alias("cancelled_dirs"),
+        F.coalesce(F.sum(F.when(file_ | dir_, F.col("events"))), F.lit(0)).alias("cancelled_events"),
+    )
+    plain = F.col("raw") == 0
+    counts = {c: F.when(plain, F.col(c)).otherwise(0) for c in ("cancelled_files", "cancelled_dirs", "cancelled_events")}
+    counts |= {"events_in": F.col("events_in"), "events_out": F.when(plain, F.col("left")).otherwise(F.col("events_in")), "coalesced": F.when(plain, F.col("events_in") - F.col("cancelled_events") - F.col("left")).otherwise(0)}
+    return batches.groupBy("source_id").agg(F.count("*").alias("batches"), *[F.sum(v).alias(k) for k, v in counts.items()])

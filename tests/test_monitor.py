@@ -192,3 +192,39 @@ def test_windows_and_duplicates_in_a_stream(spark, sf, tmp_path):
             q.awaitTermination(60)
             assert spark.table(name).count() == c.count()
     assert isinstance(DictStore().children(1), list)
+
+
+def test_batches_by_stretches(spark):
+    """A large source in many pieces, uneven numbers, a small source beside it: batches are those of the whole order."""
+    rows = [(s, i * i if i % 3 else i * i * i, "CREATE", i) for s, n in ((1, 400), (None, 30), (2, 5)) for i in range(n)]
+    e = spark.createDataFrame(rows, "source_id long, seq long, op string, fid long").withColumn("ts", F.timestamp_seconds(F.lit(0)).cast("timestamp_ntz"))
+    want = {}
+    for s in (1, None, 2):
+        order = sorted({(q, f) for x, q, _, f in rows if x == s}, key=lambda x: x[0])
+        want |= {(s, f): (i, q) for i, (q, f) in enumerate(order)}
+    got = batching.assign_batches(e, 7, "100000 days", stretch=16).collect()
+    assert len(got) == len(rows)
+    # numbers that two events share may come either way
+    ties = {(s, q): [want[s, f][0] // 7 for x, q2, _, f in rows if (x, q2) == (s, q)] for s, q, _, _ in rows}
+    assert all(r["batch_id"] in ties[r["source_id"], r["seq"]] for r in got)
+    sizes = [n for s in (1, None, 2) for n in sorted(r["count"] for r in batching.assign_batches(e, 7, "100000 days", stretch=16).groupBy("source_id", "batch_id").count().filter(F.col("source_id").eqNullSafe(F.lit(s))).collect())]
+    assert sizes == [1] + [7] * 57 + [2] + [7] * 4 + [5]
+
+
+@pytest.mark.parametrize("stretch", [50, batching.STRETCH])
+def test_batches_and_their_counts_from_one_pass(spark, sf, stretch):
+    for c in (ev.changes(spark, sf), ev.mixed_ops(spark, sf, 2)):
+        c = ingest.filter_low_information(c)
+        whole = batching.assign_batches(c, 30, "100000 days")
+        b = batching.assign_batches(c, 30, "100000 days", stretch=stretch)
+        assert b.columns == whole.columns and b.schema["batch_id"].dataType == whole.schema["batch_id"].dataType
+        key = ("source_id", "seq", "batch_id")
+        assert b.select(*key).exceptAll(whole.select(*key)).isEmpty() and b.count() == whole.count()
+        stats, want = rd.batch_stats(b), rd.reduce_stats(b, rd.reduce(b))
+        assert stats.select(want.columns).exceptAll(want).isEmpty() and stats.count() == want.count()
+        assert {r["source_id"]: r["batches"] for r in stats.collect()} == {r["source_id"]: r["n"] for r in b.groupBy("source_id").agg(F.countDistinct("batch_id").alias("n")).collect()}
+
+
+def test_pauses_still_end_batches(spark):
+    e = spark.range(100).selectExpr("1L AS source_id", "id AS seq", "CAST(timestamp_seconds(id + id div 10 * 60) AS timestamp_ntz) AS ts")
+    assert sorted(r["count"] for r in batching.assign_batches(e, 7, "5 seconds", stretch=16).groupBy("batch_id").count().collect()) == [3] * 10 + [7] * 10
